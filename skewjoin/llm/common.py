@@ -2,15 +2,22 @@
 
 from __future__ import annotations
 
+import sys
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import cloudpickle
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from . import wordhash
+
+# functions travel to the executors by value, so the package need not be installed there
+cloudpickle.register_pickle_by_value(sys.modules[__name__.partition(".")[0]])
+
 #: Bytes of text that one vectorised step takes at once (a longer text is taken alone).
 SLICE_BYTES = 6 << 20
 
@@ -57,6 +64,8 @@ def column(batch: pa.RecordBatch, name: str) -> pa.Array:
 def map_batches(df: DataFrame, fn: Callable[[pa.RecordBatch], Iterator[pa.RecordBatch]], schema: str) -> DataFrame:
     """mapInArrow with a function of one batch; empty batches are passed over."""
 
+    wordhash.forget()
+
     def run(batches):
         for batch in batches:
             if batch.num_rows:

@@ -44,6 +44,11 @@ def powers(n: int, base: int) -> np.ndarray:
     return have[:n]
 
 
+def forget() -> None:
+    """Empty the table of powers, so that it isn't shipped with a function."""
+    _CACHE.clear()
+
+
 _BYTE_A = mix64(np.arange(256, dtype=np.uint64), 11)
 _BYTE_B = mix64(np.arange(256, dtype=np.uint64), 12)
 _LOWER = np.arange(256, dtype=np.uint8)
