@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
-from . import rules
+from . import langid, quality, rules
 
 QUERIES = {
+    "op1_language_id": langid.op1,
+    "op4_quality_classifier": quality.op4,
     "op9_quality_rules": rules.op9,
 }
 
