@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from . import langid, quality, rules
+from . import langid, quality, rules, toxicity
 
 QUERIES = {
     "op1_language_id": langid.op1,
     "op4_quality_classifier": quality.op4,
+    "op7_toxicity": toxicity.op7,
     "op9_quality_rules": rules.op9,
 }
 

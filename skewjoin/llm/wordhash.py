@@ -73,13 +73,18 @@ def buffers(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return raw, offsets - offsets[0]
 
 
+#: Everything but ASCII letters and the bytes of other scripts.
+NOT_LETTER = np.ones(256, dtype=bool)
+NOT_LETTER[65:91] = NOT_LETTER[97:123] = NOT_LETTER[128:] = False
+
+
 class Words:
     """start, end: byte bounds of each word; first: index of each text's first word (n + 1)."""
 
-    def __init__(self, raw: np.ndarray, offsets: np.ndarray, lower: bool = False):
+    def __init__(self, raw: np.ndarray, offsets: np.ndarray, lower: bool = False, gap: np.ndarray = _SPACE):
         self.raw = _LOWER[raw] if lower else raw
         self.offsets = offsets
-        word = ~_SPACE[raw]
+        word = ~gap[raw]
         edge = np.empty(len(raw) + 1, dtype=bool)
         if len(raw):
             np.not_equal(word[1:], word[:-1], out=edge[1:-1])
