@@ -2,15 +2,17 @@
 
 from __future__ import annotations
 
-from . import langid, quality, rules, toxicity
+from . import langid, quality, rules, substr, toxicity
 
 QUERIES = {
     "op1_language_id": langid.op1,
     "op4_quality_classifier": quality.op4,
     "op7_toxicity": toxicity.op7,
     "op9_quality_rules": rules.op9,
+    "op10_substring_dedup": substr.op10,
 }
 
 ORACLES = {
     "op9_quality_rules": rules.OP9_SQL,
+    "op10_substring_dedup": substr.OP10_SQL,
 }
