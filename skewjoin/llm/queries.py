@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from . import langid, quality, rules, substr, toxicity
+from . import langid, neardup, quality, rules, substr, toxicity
 
 QUERIES = {
     "op1_language_id": langid.op1,
+    "op2_near_duplicates": neardup.op2,
     "op4_quality_classifier": quality.op4,
     "op7_toxicity": toxicity.op7,
     "op9_quality_rules": rules.op9,
@@ -13,6 +14,7 @@ QUERIES = {
 }
 
 ORACLES = {
+    "op2_near_duplicates": neardup.OP2_SQL,
     "op9_quality_rules": rules.OP9_SQL,
     "op10_substring_dedup": substr.OP10_SQL,
 }
