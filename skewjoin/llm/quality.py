@@ -125,11 +125,11 @@ def bounded_labels(labels: DataFrame, label: str, learn, most: int) -> list:
     return bounded_sample(labels.where(learn & F.col(label).isNotNull()).select("doc_id", F.col(label).alias("y")).distinct(), "doc_id", most)
 
 
-def texts_of(docs: DataFrame, chosen: list) -> list[tuple[str, int]]:
+def texts_of(docs: DataFrame, chosen: list, chars: int = 1 << 14) -> list[tuple[str, int]]:
     """(text, label) of the chosen rows, in order of their ids; the chosen side is bounded, hence broadcast."""
     if not chosen:
         return []
     spark = docs.sparkSession
     small = spark.createDataFrame([(r["doc_id"], int(r["y"])) for r in chosen], "doc_id long, y int")
-    got = docs.select(F.col("doc_id"), F.substring("text", 1, 1 << 16).alias("text")).join(F.broadcast(small), "doc_id").collect()
+    got = docs.select(F.col("doc_id"), F.substring("text", 1, chars).alias("text")).join(F.broadcast(small), "doc_id").collect()
     return [(r["text"], r["y"]) for r in sorted(got, key=lambda r: (r["doc_id"], r["y"], r["text"] or ""))]
