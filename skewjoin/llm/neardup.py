@@ -4,8 +4,8 @@
    PERMUTATIONS minima, of which BITS low bits are kept and packed, the keys of the bands,
    and the text compressed; the result is staged.
 2. Documents with equal sets are one class, represented by its smallest id.
-3. Band keys shared by several classes make groups.  A group over BLOCK members is dealt
-   into pairs of blocks.  Inside a group the packed signatures are compared by counting
+3. Band keys shared by several classes make groups.  A large group is dealt into pairs
+   of blocks.  Inside a group the packed signatures are compared by counting
    equal bit fields, corrected for chance agreement, and a maximum spanning forest of the
    pairs above a generous cutoff goes on: fewer edges than members, never all pairs.
 4. Those pairs are confirmed on the whole sets, and the confirmed links make components.
@@ -26,12 +26,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import column, components, map_batches, slices, stage
+from .grouping import block_rows, propose
 from .wordhash import Words, buffers, mix64, windows
 
 PERMUTATIONS = 128
 BITS = 4
 BANDS, ROWS = 24, 5
-BLOCK = 1024
 MARGIN = 0.10  # three standard errors of the estimate
 _RNG = np.random.default_rng(20240607)
 _A = (_RNG.integers(0, 1 << 32, PERMUTATIONS, dtype=np.uint64) | np.uint64(1)).astype(np.uint32)
@@ -139,87 +139,6 @@ def features(docs: DataFrame, k: int) -> DataFrame:
     return map_batches(src, run, "doc_id long, n long, d1 long, d2 long, sig binary, bands array<long>, z binary")
 
 
-def _forest(ids, comp, blk, sig, cutoff) -> list[tuple[int, int]]:
-    """Maximum spanning forest of a group by estimated similarity (Prim), edges at or above the cutoff."""
-    n = len(ids)
-    best = np.full(n, -1.0)
-    parent = np.full(n, -1)
-    left = np.ones(n, dtype=bool)
-    at, out = 0, []
-    for _ in range(n - 1):
-        left[at] = False
-        rest = np.flatnonzero(left)
-        s = similarity(sig[at], sig[rest])
-        up = s > best[rest]
-        best[rest[up]], parent[rest[up]] = s[up], at
-        at = int(rest[best[rest].argmax()])
-        if best[at] >= cutoff:
-            out.append((parent[at], at))
-    return out
-
-
-def _crossing(ids, comp, blk, sig, cutoff) -> list[tuple[int, int]]:
-    """All pairs of a group at or above the cutoff whose components differ."""
-    out = []
-    across = blk[0] != blk[-1]
-    for i in range(len(ids) - 1):
-        rest = np.arange(i + 1, len(ids))
-        rest = rest[comp[rest] != comp[i]]
-        if across:  # a pair of blocks: those inside a block are met elsewhere
-            rest = rest[blk[rest] != blk[i]]
-        if len(rest):
-            out += [(i, j) for j in rest[similarity(sig[i], sig[rest]) >= cutoff]]
-    return out
-
-
-def _proposals(grouped: DataFrame, pick, cutoff: float) -> DataFrame:
-    """Distinct (a, b) proposed inside the groups; rows come sorted by group."""
-
-    def run(batches):
-        carry = None
-
-        def emit(t):
-            key = np.stack([t.column(c).to_numpy() for c in ("key", "i", "j")])
-            cut = np.flatnonzero(np.concatenate([[True], (key[:, 1:] != key[:, :-1]).any(axis=0), [True]]))
-            ids, comp, blk = (t.column(c).to_numpy() for c in ("id", "comp", "blk"))
-            sig = np.frombuffer(b"".join(t.column("sig").to_pylist()), dtype=np.uint64).reshape(len(ids), -1)
-            size = np.diff(cut)
-            first = cut[:-1]
-            a, b = [], []
-            two = first[size == 2]
-            if len(two):
-                ok = (similarity(sig[two], sig[two + 1]) >= cutoff) & (comp[two] != comp[two + 1])
-                a.append(ids[two[ok]]), b.append(ids[two[ok] + 1])
-            for f, n in zip(first[size > 2], size[size > 2]):
-                part = slice(f, f + n)
-                if (comp[part] != comp[f]).any() and (pairs := pick(ids[part], comp[part], blk[part], sig[part], cutoff)):
-                    p = np.array(pairs) + f
-                    a.append(ids[p[:, 0]]), b.append(ids[p[:, 1]])
-            if not a:
-                return
-            a, b = np.concatenate(a), np.concatenate(b)
-            p = np.unique(np.stack([np.maximum(a, b), np.minimum(a, b)]), axis=1)
-            p = p[:, p[0] != p[1]]
-            if p.shape[1]:
-                yield pa.RecordBatch.from_arrays([pa.array(p[0]), pa.array(p[1])], names=["a", "b"])
-
-        for batch in batches:
-            t = pa.Table.from_batches([batch])
-            if carry is not None:
-                t = pa.concat_tables([carry, t]).combine_chunks()
-            if not t.num_rows:
-                continue
-            key = np.stack([t.column(c).to_numpy() for c in ("key", "i", "j")])
-            last = int(np.flatnonzero(np.concatenate([[True], (key[:, 1:] != key[:, :-1]).any(axis=0)]))[-1])
-            carry = t.slice(last)
-            if last:
-                yield from emit(t.slice(0, last).combine_chunks())
-        if carry is not None and carry.num_rows:
-            yield from emit(carry.combine_chunks())
-
-    return grouped.mapInArrow(run, "a long, b long").distinct()
-
-
 def confirm(pairs: DataFrame, feats: DataFrame, k: int, percent: int) -> DataFrame:
     """The pairs (a, b) with 100 * intersection >= percent * union of their whole sets."""
     z = feats.select(F.col("doc_id"), "z")
@@ -267,26 +186,9 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     sigs = feats.select(F.col("doc_id").alias("id"), "sig").join(groups.select("id").distinct(), "id", "left_semi")
     sigs = stage(sigs.dropDuplicates(["id"]), "signatures")
 
-    def blocks(comp: DataFrame | None) -> DataFrame:
-        """Members of the groups, dealt into blocks; without groups that lie in one component."""
-        rows = groups.join(sigs, "id")
-        if comp is None:
-            rows = rows.withColumn("comp", F.col("id"))
-        else:
-            named = groups.join(comp.select(F.col("node").alias("id"), "component"), "id", "left").withColumn("comp", F.coalesce("component", "id"))
-            open_keys = named.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("key")
-            rows = named.drop("component").join(open_keys, "key", "left_semi").join(sigs, "id")
-        n = F.ceil(F.col("c") / BLOCK).cast("int")
-        rows = rows.withColumn("blk", F.pmod(F.xxhash64("id"), n).cast("int"))
-        rows = rows.select("key", "id", "comp", "sig", "blk", F.explode(F.sequence(F.lit(0), n - 1)).alias("o"))
-        return (
-            rows.select("key", F.least("blk", "o").alias("i"), F.greatest("blk", "o").alias("j"), "id", "comp", "sig", "blk")
-            .repartition("key", "i", "j").sortWithinPartitions("key", "i", "j", "blk", "id")
-        )
-
-    links = stage(confirm(_proposals(blocks(None), _forest, cutoff), feats, k, percent), "links")
+    links = stage(confirm(propose(block_rows(groups, sigs, None), similarity, cutoff, False), feats, k, percent), "links")
     comp = stage(components(links), "components")
-    more = confirm(_proposals(blocks(comp), _crossing, cutoff), feats, k, percent)
+    more = confirm(propose(block_rows(groups, sigs, comp), similarity, cutoff, True), feats, k, percent)
     more = stage(more, "links")
     if more.limit(1).count():
         comp = stage(components(links.union(more)), "components")

@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from . import langid, neardup, quality, rules, substr, toxicity
+from . import embdup, langid, neardup, quality, rules, substr, toxicity
 
 QUERIES = {
     "op1_language_id": langid.op1,
     "op2_near_duplicates": neardup.op2,
+    "op3_embedding_near_duplicates": embdup.op3,
     "op4_quality_classifier": quality.op4,
     "op7_toxicity": toxicity.op7,
     "op9_quality_rules": rules.op9,
