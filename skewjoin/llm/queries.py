@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from . import chat, embdup, langid, mixing, neardup, quality, rules, substr, toxicity
+from . import chat, embdup, langid, mixing, neardup, quality, rules, sptok, substr, toxicity
 
 QUERIES = {
     "op1_language_id": langid.op1,
     "op2_near_duplicates": neardup.op2,
     "op3_embedding_near_duplicates": embdup.op3,
     "op4_quality_classifier": quality.op4,
+    "op5_sentencepiece_dropout": sptok.op5,
     "op6_source_mixing": mixing.op6,
     "op7_toxicity": toxicity.op7,
     "op8_chat_formatting": chat.op8,
