@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import column, components, map_batches, stage
-from .grouping import block_rows, propose
+from .grouping import block_rows, join_components, open_clusters, propose
 from .sampling import bounded_sample
 
 SAMPLE = 4000  # bound of the sample the rotation is learned on
@@ -153,6 +153,18 @@ def confirm(pairs: DataFrame, units: DataFrame, least: float) -> DataFrame:
     return map_batches(joined.select("a", "b", "ua", "ub"), run, "a long, b long")
 
 
+def exact(least: float):
+    """Functions for join_components: unit vectors of one length, and the exact test."""
+
+    def load(blobs: list[bytes]):
+        return np.stack([np.frombuffer(b) for b in blobs])
+
+    def linked(x, i: int, rest: np.ndarray) -> np.ndarray:
+        return x[rest] @ x[i] >= least - TOLERANCE
+
+    return load, linked
+
+
 def count_links(units: DataFrame, comp: DataFrame, least: float) -> DataFrame:
     """(id, n_links) of the classes in components: links to other vectors, all of which lie in the component.
 
@@ -201,10 +213,12 @@ def near_vectors(vectors: DataFrame, least: float = 0.9, id_col: str = "vec_id",
     shared = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("c")).where("c > 1")
     groups = stage(keyed.join(shared, "key"), "groups")
     sigs = _signatures(codes)
-    cutoff = 1 - RERANK_MARGIN
-    links = stage(confirm(propose(block_rows(groups, sigs, None), hamming_similarity, cutoff, False), codes, least), "links")
+    pairs = stage(propose(block_rows(groups, sigs), hamming_similarity, 1 - RERANK_MARGIN), "pairs")
+    clusters = stage(components(pairs), "clusters")
+    links = stage(confirm(pairs.select("a", "b"), codes, least), "links")
     comp = stage(components(links), "components")
-    more = stage(confirm(propose(block_rows(groups, sigs, comp), hamming_similarity, cutoff, True), codes, least), "links")
+    units = codes.select("id", F.col("unit").alias("payload"))
+    more = stage(join_components(open_clusters(clusters, comp, units, BLOCK), *exact(least)), "links")
     if more.limit(1).count():
         comp = stage(components(links.union(more)), "components")
     counts = count_links(codes.select("id", "m", "unit"), comp, least)

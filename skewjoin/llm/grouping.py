@@ -1,10 +1,12 @@
 """Candidate pairs inside shared-key groups, without emitting all pairs of a group.
 
-A group's members are compared by packed signatures.  What goes on is a maximum spanning
-forest of the similar pairs (at most one edge less than members), or, in a second round,
-the similar pairs whose members are still in different components.  Groups over BLOCK
-members are dealt into pairs of blocks, each its own group, so no task holds an unbounded
-group.
+A group's members are compared by packed signatures, and a maximum spanning forest of the
+similar pairs goes on: fewer edges than members.  The proposals connect the candidates into
+clusters; every similar pair of a group lies inside one cluster.  The likely proposals are
+confirmed pair by pair.  Clusters that confirmed links don't hold together yet are then
+compared exactly, member by member across components, where the data of a block lie, and
+only links that join components come out.  Groups and clusters over a block's size are dealt
+into pairs of blocks, each its own group, so no task holds an unbounded one.
 """
 
 from __future__ import annotations
@@ -22,27 +24,35 @@ SMALL = 48  # groups up to this size are compared together, vectorised over grou
 Similarity = Callable[[np.ndarray, np.ndarray], np.ndarray]
 
 
-def block_rows(groups: DataFrame, sigs: DataFrame, comp: DataFrame | None) -> DataFrame:
-    """(key, i, j, id, comp, sig, blk) sorted by group.
-
-    groups: (key, id, c) with c the members of the key; sigs: (id, sig); comp: (node,
-    component) leaves out the groups that lie in one component.
-    """
-    if comp is None:
-        rows = groups.join(sigs, "id").withColumn("comp", F.col("id"))
-    else:
-        named = groups.join(comp.select(F.col("node").alias("id"), "component"), "id", "left").withColumn("comp", F.coalesce("component", "id"))
-        open_keys = named.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("key")
-        rows = named.drop("component").join(open_keys, "key", "left_semi").join(sigs, "id")
-    n = F.ceil(F.col("c") / BLOCK).cast("int")
+def _dealt(rows: DataFrame, key: str, size: str, block: int, *keep: str) -> DataFrame:
+    """Rows of each key dealt into pairs (i, j) of blocks, sorted by (key, i, j)."""
+    n = F.ceil(F.col(size) / block).cast("int")
     rows = rows.withColumn("blk", F.pmod(F.xxhash64("id"), n).cast("int"))
-    rows = rows.select("key", "id", "comp", "sig", "blk", F.explode(F.sequence(F.lit(0), n - 1)).alias("o"))
+    rows = rows.select(F.col(key).alias("key"), "id", "blk", *keep, F.explode(F.sequence(F.lit(0), n - 1)).alias("o"))
     return (
-        rows.select("key", F.least("blk", "o").alias("i"), F.greatest("blk", "o").alias("j"), "id", "comp", "sig", "blk")
+        rows.select("key", F.least("blk", "o").alias("i"), F.greatest("blk", "o").alias("j"), "id", "blk", *keep)
         .repartition("key", "i", "j").sortWithinPartitions("key", "i", "j", "blk", "id")
     )
 
 
+def block_rows(groups: DataFrame, sigs: DataFrame) -> DataFrame:
+    """(key, i, j, id, blk, sig) sorted by group, from groups (key, id, c: members) and sigs (id, sig)."""
+    return _dealt(groups.join(sigs, "id"), "key", "c", BLOCK, "sig")
+
+
+def open_clusters(clusters: DataFrame, comp: DataFrame, payload: DataFrame, block: int) -> DataFrame:
+    """(key, i, j, id, blk, comp, payload) of the clusters whose members are in several components.
+
+    clusters and comp: (node, component); payload: (id, payload).
+    """
+    named = clusters.select(F.col("node").alias("id"), F.col("component").alias("cluster")).join(
+        comp.select(F.col("node").alias("id"), F.col("component").alias("comp")), "id", "left"
+    ).withColumn("comp", F.coalesce("comp", "id"))
+    open_ = named.groupBy("cluster").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count(F.lit(1)).alias("c")).where("lo <> hi")
+    rows = named.join(open_.select("cluster", "c"), "cluster").join(payload, "id")
+    return _dealt(rows, "cluster", "c", block, "comp", "payload")
+
+
 def kruskal(a: np.ndarray, b: np.ndarray, s: np.ndarray) -> list[int]:
     """Indices of the edges of a maximum spanning forest."""
     root: dict[int, int] = {}
@@ -77,91 +87,108 @@ def _prim(sig, similarity, cutoff) -> list[tuple[int, int]]:
     return out
 
 
-def _crossing(comp, blk, sig, similarity, cutoff) -> list[tuple[int, int]]:
-    out = []
-    across = blk[0] != blk[-1]
-    for i in range(len(sig) - 1):
-        rest = np.arange(i + 1, len(sig))
-        rest = rest[comp[rest] != comp[i]]
-        if across:  # pairs inside a block are met in the block's own group
-            rest = rest[blk[rest] != blk[i]]
-        if len(rest):
-            out += [(i, int(j)) for j in rest[similarity(sig[i], sig[rest]) >= cutoff]]
-    return out
-
-
-def _pairs_of(ids, comp, blk, sig, cut, similarity, cutoff, crossing):
-    """Proposed (a, b) of consecutive groups with bounds `cut`."""
+def _proposed(ids, sig, cut, similarity, cutoff):
+    """(a, b, similarity) of the forests of consecutive groups with bounds `cut`."""
     size, first = np.diff(cut), cut[:-1]
-    a, b = [], []
-    small = np.repeat((size > 1) & (size <= SMALL), size)
     group = np.repeat(np.arange(len(size)), size)
-    idx = np.flatnonzero(small)
-    pa_, pb_, ps_ = [], [], []
-    for o in range(1, int(size[(size <= SMALL)].max(initial=1))):
-        i = idx[: len(idx)]
-        i = i[i + o < len(ids)]
-        i = i[group[i] == group[i + o]]
-        i = i[comp[i] != comp[i + o]]
+    idx = np.flatnonzero(np.repeat((size > 1) & (size <= SMALL), size))
+    xs, ys, ss = [], [], []
+    for o in range(1, int(size[size <= SMALL].max(initial=1))):
+        i = idx[idx + o < len(ids)]
+        i = i[(group[i] == group[i + o]) & (ids[i] != ids[i + o])]
         if len(i):
             s = similarity(sig[i], sig[i + o])
             ok = s >= cutoff
-            pa_.append(i[ok]), pb_.append(i[ok] + o), ps_.append(s[ok])
-    if pa_:
-        x, y, s = np.concatenate(pa_), np.concatenate(pb_), np.concatenate(ps_)
-        if not crossing and len(x):
-            order = np.argsort(group[x], kind="stable")
-            x, y, s = x[order], y[order], s[order]
-            edges = np.concatenate([[0], np.flatnonzero(np.diff(group[x])) + 1, [len(x)]])
-            keep = np.ones(len(x), dtype=bool)
-            for lo, hi in zip(edges[:-1], edges[1:]):
-                if hi - lo > 2:
-                    keep[lo:hi] = False
-                    keep[lo + np.array(kruskal(x[lo:hi], y[lo:hi], s[lo:hi]))] = True
-            x, y = x[keep], y[keep]
-        a.append(ids[x]), b.append(ids[y])
+            xs.append(i[ok]), ys.append(i[ok] + o), ss.append(s[ok])
+    if xs:
+        x, y, s = np.concatenate(xs), np.concatenate(ys), np.concatenate(ss)
+        order = np.argsort(group[x], kind="stable")
+        x, y, s = x[order], y[order], s[order]
+        edges = np.concatenate([[0], np.flatnonzero(np.diff(group[x])) + 1, [len(x)]])
+        keep = np.ones(len(x), dtype=bool)
+        for lo, hi in zip(edges[:-1], edges[1:]):
+            if hi - lo > 2:
+                keep[lo:hi] = False
+                keep[lo + np.array(kruskal(x[lo:hi], y[lo:hi], s[lo:hi]))] = True
+        xs, ys, ss = [x[keep]], [y[keep]], [s[keep]]
     for f, n in zip(first[size > SMALL], size[size > SMALL]):
-        part = slice(f, f + n)
-        if (comp[part] == comp[f]).all():
-            continue
-        pairs = _crossing(comp[part], blk[part], sig[part], similarity, cutoff) if crossing else _prim(sig[part], similarity, cutoff)
-        if pairs:
+        if pairs := _prim(sig[f : f + n], similarity, cutoff):
             p = np.array(pairs) + f
-            a.append(ids[p[:, 0]]), b.append(ids[p[:, 1]])
-    if not a:
-        return np.zeros((2, 0), np.int64)
-    a, b = np.concatenate(a), np.concatenate(b)
-    p = np.unique(np.stack([np.maximum(a, b), np.minimum(a, b)]), axis=1)
-    return p[:, p[0] != p[1]]
+            xs.append(p[:, 0]), ys.append(p[:, 1]), ss.append(similarity(sig[p[:, 0]], sig[p[:, 1]]))
+    if not xs:
+        return np.zeros((2, 0), np.int64), np.zeros(0)
+    a, b, s = ids[np.concatenate(xs)], ids[np.concatenate(ys)], np.concatenate(ss)
+    p, at = np.unique(np.stack([np.maximum(a, b), np.minimum(a, b)]), axis=1, return_index=True)
+    ok = p[0] != p[1]
+    return p[:, ok], s[at[ok]]
+
+
+def _bounds(t: pa.Table) -> np.ndarray:
+    key = np.stack([t.column(c).to_numpy() for c in ("key", "i", "j")])
+    return np.flatnonzero(np.concatenate([[True], (key[:, 1:] != key[:, :-1]).any(axis=0), [True]]))
+
+
+def _whole_groups(batches):
+    """Tables of whole groups from sorted batches; the last group of a batch may go on in the next."""
+    carry = None
+    for batch in batches:
+        t = pa.Table.from_batches([batch])
+        if carry is not None:
+            t = pa.concat_tables([carry, t]).combine_chunks()
+        if not t.num_rows:
+            continue
+        last = int(_bounds(t)[-2])
+        carry = t.slice(last)
+        if last:
+            yield t.slice(0, last).combine_chunks()
+    if carry is not None and carry.num_rows:
+        yield carry.combine_chunks()
 
 
-def propose(rows: DataFrame, similarity: Similarity, cutoff: float, crossing: bool) -> DataFrame:
-    """Distinct (a, b), a > b, proposed inside the groups of block_rows."""
+def propose(rows: DataFrame, similarity: Similarity, cutoff: float) -> DataFrame:
+    """Distinct (a, b, s), a > b, of the forests of the groups of block_rows."""
 
-    def bounds(t):
-        key = np.stack([t.column(c).to_numpy() for c in ("key", "i", "j")])
-        return np.flatnonzero(np.concatenate([[True], (key[:, 1:] != key[:, :-1]).any(axis=0), [True]]))
+    def run(batches):
+        for t in _whole_groups(batches):
+            ids = t.column("id").to_numpy()
+            sig = np.frombuffer(b"".join(t.column("sig").to_pylist()), dtype=np.uint64).reshape(len(ids), -1)
+            p, s = _proposed(ids, sig, _bounds(t), similarity, cutoff)
+            if p.shape[1]:
+                yield pa.RecordBatch.from_arrays([pa.array(p[0]), pa.array(p[1]), pa.array(s.astype(np.float64))], names=["a", "b", "s"])
 
-    def emit(t):
-        ids, comp, blk = (t.column(c).to_numpy() for c in ("id", "comp", "blk"))
-        sig = np.frombuffer(b"".join(t.column("sig").to_pylist()), dtype=np.uint64).reshape(len(ids), -1)
-        p = _pairs_of(ids, comp, blk, sig, bounds(t), similarity, cutoff, crossing)
-        if p.shape[1]:
-            yield pa.RecordBatch.from_arrays([pa.array(p[0]), pa.array(p[1])], names=["a", "b"])
+    return rows.mapInArrow(run, "a long, b long, s double").dropDuplicates(["a", "b"])
+
+
+def join_components(rows: DataFrame, load: Callable, linked: Callable) -> DataFrame:
+    """(a, b): links that join components inside open clusters, at most one less than the components of a group.
+
+    load(payloads) prepares the members of a table of groups; linked(data, i, rest) says
+    which of the members `rest` are linked with member i, exactly.
+    """
 
     def run(batches):
-        carry = None  # the last group of a batch may go on in the next; a group has 2 * BLOCK members or so
-        for batch in batches:
-            t = pa.Table.from_batches([batch])
-            if carry is not None:
-                t = pa.concat_tables([carry, t]).combine_chunks()
-            if not t.num_rows:
-                continue
-            last = int(bounds(t)[-2])
-            carry = t.slice(last)
-            if last:
-                yield from emit(t.slice(0, last).combine_chunks())
-        if carry is not None and carry.num_rows:
-            yield from emit(carry.combine_chunks())
+        for t in _whole_groups(batches):
+            ids, comp, blk = (t.column(c).to_numpy() for c in ("id", "comp", "blk"))
+            cut = _bounds(t)
+            out_a, out_b = [], []
+            for lo, hi in zip(cut[:-1], cut[1:]):
+                if hi - lo < 2 or (comp[lo:hi] == comp[lo]).all():
+                    continue
+                data = load(t.column("payload").slice(lo, hi - lo).to_pylist())
+                now, part = comp[lo:hi].copy(), blk[lo:hi]
+                across = part[0] != part[-1]
+                for i in range(hi - lo - 1):
+                    rest = np.arange(i + 1, hi - lo)
+                    rest = rest[now[rest] != now[i]]
+                    if across:  # pairs inside a block are met in the block's own group
+                        rest = rest[part[rest] != part[i]]
+                    if not len(rest):
+                        continue
+                    for j in rest[linked(data, i, rest)]:
+                        if now[j] != now[i]:
+                            out_a.append(ids[lo + i]), out_b.append(ids[lo + j])
+                            now[now == now[j]] = now[i]
+            if out_a:
+                yield pa.RecordBatch.from_arrays([pa.array(out_a, pa.int64()), pa.array(out_b, pa.int64())], names=["a", "b"])
 
     return rows.mapInArrow(run, "a long, b long").distinct()

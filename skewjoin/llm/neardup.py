@@ -8,9 +8,10 @@
    of blocks.  Inside a group the packed signatures are compared by counting
    equal bit fields, corrected for chance agreement, and a maximum spanning forest of the
    pairs above a generous cutoff goes on: fewer edges than members, never all pairs.
-4. Those pairs are confirmed on the whole sets, and the confirmed links make components.
-5. Pairs of a group that are still in different components go through the same
-   confirmation, all of them, so no link that could join two components is left out.
+4. The likely pairs are confirmed on the whole sets, and confirmed links make components.
+5. The proposed pairs, confirmed or not, make clusters.  In clusters with several components
+   the members' whole sets are compared as bit rows, block by block and across components,
+   so no link that could join two components is left out and no pairs are emitted for it.
 
 Edge cases: a null or empty text, or one without words, has an empty set and no links;
 with fewer words than a shingle the whole sequence is the one shingle.  A null id is
@@ -22,17 +23,19 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 import zstandard
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import column, components, map_batches, slices, stage
-from .grouping import block_rows, propose
+from .grouping import block_rows, join_components, open_clusters, propose
 from .wordhash import Words, buffers, mix64, windows
 
 PERMUTATIONS = 128
 BITS = 4
 BANDS, ROWS = 24, 5
-MARGIN = 0.10  # three standard errors of the estimate
+MARGIN = 0.10  # three standard errors of the estimate: below, a pair isn't looked at
+LIKELY = 0.02  # within this of the threshold and above, a pair is confirmed at once
+CLUSTER_BLOCK = 512
 _RNG = np.random.default_rng(20240607)
 _A = (_RNG.integers(0, 1 << 32, PERMUTATIONS, dtype=np.uint64) | np.uint64(1)).astype(np.uint32)
 _B = _RNG.integers(0, 1 << 32, PERMUTATIONS, dtype=np.uint64).astype(np.uint32)
@@ -171,6 +174,33 @@ def confirm(pairs: DataFrame, feats: DataFrame, k: int, percent: int) -> DataFra
     return map_batches(joined.select("a", "b", "za", "zb"), run, "a long, b long")
 
 
+def exact(k: int, percent: int):
+    """Functions for join_components: sets of whole texts as bit rows over shared shingles, and the exact test."""
+
+    def load(blobs: list[bytes]):
+        d = zstandard.ZstdDecompressor()
+        texts = [d.decompress(t) for t in blobs]
+        off = np.concatenate([[0], np.cumsum([len(t) for t in texts])]).astype(np.int64)
+        sh, own = shingles(Words(np.frombuffer(b"".join(texts), dtype=np.uint8), off, lower=True), k)
+        at = distinct(sh, own)
+        sh, own = sh[at], own[at]
+        size = np.bincount(own, minlength=len(texts))
+        _, index, count = np.unique(sh, return_inverse=True, return_counts=True)
+        shared = count[index] > 1  # a shingle of one member alone can't be in an intersection
+        place = np.cumsum(count > 1) - 1
+        bits = np.zeros((len(texts), (int((count > 1).sum()) + 63) // 64), dtype=np.uint64)
+        col = place[index[shared]]
+        np.bitwise_or.at(bits, (own[shared], col // 64), np.uint64(1) << (col % 64).astype(np.uint64))
+        return bits, size
+
+    def linked(data, i: int, rest: np.ndarray) -> np.ndarray:
+        bits, size = data
+        both = np.bitwise_count(bits[i] & bits[rest]).sum(axis=1, dtype=np.int64)
+        return 100 * both >= percent * (size[i] + size[rest] - both)
+
+    return load, linked
+
+
 def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) of every row of docs (doc_id, text)."""
     feats = stage(features(docs, k), "minhash")
@@ -182,14 +212,15 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     keyed = keyed.groupBy("key", "id").agg(F.lit(1).alias("one")).drop("one")
     shared = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("c")).where("c > 1")
     groups = stage(keyed.join(shared, "key"), "groups")
-    cutoff = percent / 100 - MARGIN
     sigs = feats.select(F.col("doc_id").alias("id"), "sig").join(groups.select("id").distinct(), "id", "left_semi")
     sigs = stage(sigs.dropDuplicates(["id"]), "signatures")
-
-    links = stage(confirm(propose(block_rows(groups, sigs, None), similarity, cutoff, False), feats, k, percent), "links")
+    pairs = stage(propose(block_rows(groups, sigs), similarity, percent / 100 - MARGIN), "pairs")
+    clusters = stage(components(pairs), "clusters")
+    likely = pairs.where(F.col("s") >= percent / 100 - LIKELY).select("a", "b")
+    links = stage(confirm(likely, feats, k, percent), "links")
     comp = stage(components(links), "components")
-    more = confirm(propose(block_rows(groups, sigs, comp), similarity, cutoff, True), feats, k, percent)
-    more = stage(more, "links")
+    texts = feats.select(F.col("doc_id").alias("id"), F.col("z").alias("payload")).dropDuplicates(["id"])
+    more = stage(join_components(open_clusters(clusters, comp, texts, CLUSTER_BLOCK), *exact(k, percent)), "links")
     if more.limit(1).count():
         comp = stage(components(links.union(more)), "components")
     out = member.join(comp.withColumnRenamed("node", "class_id"), "class_id", "left").select(
@@ -201,6 +232,18 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     return out.union(lost)
 
 
+def drop_near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
+    """docs, with all their columns, and of each component the document with the smallest id, once.
+
+    Rows without an id stay.
+    """
+    kept = near_duplicates(docs, k, percent).where("kept and doc_id is not null").select("doc_id").distinct()
+    rows = docs.where("doc_id is not null").join(kept, "doc_id", "left_semi")
+    once = F.row_number().over(Window.partitionBy("doc_id").orderBy("doc_id"))
+    rows = rows.withColumn("__near_copy", once).where("__near_copy = 1").drop("__near_copy")
+    return rows.select(docs.columns).union(docs.where("doc_id is null"))
+
+
 def op2(spark, sf_dir: str) -> DataFrame:
     return near_duplicates(spark.read.parquet(f"{sf_dir}/documents.parquet"), 3, 85)
 
