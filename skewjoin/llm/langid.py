@@ -88,23 +88,40 @@ def fit(rows: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_co
     return train([(r["text"], r["lang"]) for r in bounded_sample(usable, "doc_id", TRAIN_ROWS, 1 << 16)])
 
 
+def _predicted(model: LanguageModel, text: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """(language, score) of each text of a batch."""
+    letter = pc.fill_null(pc.match_substring_regex(text, r"\pL"), False).to_numpy(zero_copy_only=False)
+    lang = np.full(len(text), UNDETERMINED, dtype=object)
+    score = np.zeros(len(text))
+    if model.net is not None:
+        raw, offsets = buffers(text)
+        for a, b in slices(offsets, 2 << 20):
+            best, p = model.predict(raw[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a])
+            lang[a:b] = np.array(model.langs, dtype=object)[best]
+            score[a:b] = p
+    lang[~letter] = UNDETERMINED
+    score[~letter] = 0
+    return lang, np.clip(score, 0, 1)
+
+
+def keep_identified(docs: DataFrame, model: LanguageModel, least: float = 0.5, text_col: str = "text") -> DataFrame:
+    """The rows, with all their columns, whose language is determined with at least `least` probability."""
+
+    def run(batch: pa.RecordBatch):
+        lang, score = _predicted(model, column(batch, text_col))
+        keep = (lang != UNDETERMINED) & (score >= least)
+        if keep.any():
+            yield batch.filter(pa.array(keep))
+
+    return map_batches(docs, run, docs.schema)
+
+
 def predict(docs: DataFrame, model: LanguageModel, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, lang_pred, score) of every row."""
 
     def run(batch: pa.RecordBatch):
-        text = column(batch, "text")
-        letter = pc.fill_null(pc.match_substring_regex(text, r"\pL"), False).to_numpy(zero_copy_only=False)
-        lang = np.full(len(text), UNDETERMINED, dtype=object)
-        score = np.zeros(len(text))
-        if model.net is not None:
-            raw, offsets = buffers(text)
-            for a, b in slices(offsets, 2 << 20):
-                best, p = model.predict(raw[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a])
-                lang[a:b] = np.array(model.langs, dtype=object)[best]
-                score[a:b] = p
-        lang[~letter] = UNDETERMINED
-        score[~letter] = 0
-        yield pa.RecordBatch.from_arrays([column(batch, "doc_id"), pa.array(lang, pa.string()), pa.array(np.clip(score, 0, 1))], names=["doc_id", "lang_pred", "score"])
+        lang, score = _predicted(model, column(batch, "text"))
+        yield pa.RecordBatch.from_arrays([column(batch, "doc_id"), pa.array(lang, pa.string()), pa.array(score)], names=["doc_id", "lang_pred", "score"])
 
     src = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     return map_batches(src, run, "doc_id long, lang_pred string, score double")

@@ -120,6 +120,22 @@ def copies(mixed: DataFrame) -> DataFrame:
     return rows.select("doc_id", "copy", "position").orderBy("position", "doc_id", "copy")
 
 
+def mixture(docs: DataFrame, **options) -> DataFrame:
+    """docs, with all their columns, as the mix takes them: a row per copy, range-sorted by training position.
+
+    Rows without an id can't be drawn and are left out; rows that share an id are drawn together.
+    """
+    drawn = curriculum(docs, **options).where("doc_id is not null")
+    once = drawn.groupBy("doc_id").agg(F.max(F.struct("taken", "size", "source_size", "target", "position")).alias("m")).select("doc_id", "m.*")
+    n = F.ceil(F.col("taken") / F.when(F.col("size") > 0, F.col("size"))).cast("int")
+    plan = once.where("taken > 0").select(
+        F.col("doc_id").alias("__mix_id"), n.alias("__mix_n"), F.col("position").alias("__mix_at"), (F.col("source_size") / F.col("target")).alias("__mix_step")
+    )
+    rows = docs.join(plan, F.col("doc_id") == F.col("__mix_id")).withColumn("__mix_copy", F.explode(F.sequence(F.lit(0), F.col("__mix_n") - 1)))
+    rows = rows.withColumn("__mix_at", F.least(F.lit(1.0), F.col("__mix_at") + F.col("__mix_copy") * F.col("__mix_step")))
+    return rows.orderBy("__mix_at", "doc_id", "__mix_copy").select(docs.columns)
+
+
 def op6(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     mixed = curriculum(docs).select(

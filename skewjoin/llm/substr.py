@@ -29,6 +29,7 @@ import pyarrow as pa
 import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .common import column, map_batches, slices
 from .wordhash import Words, buffers, mix64, windows
@@ -219,16 +220,22 @@ def covered(n_words: int, runs: list[dict], window: int) -> np.ndarray:
     return np.cumsum(mark)[:n_words] > 0
 
 
+_Z, _RUNS, _KEY = "__removal_text", "__removal_runs", "__removal_key"
+
+
 def _joined(docs: DataFrame, window: int) -> DataFrame:
-    """Every row with its text, compressed for the shuffle, and its runs."""
+    """Every row with its text, compressed for the shuffle, and its runs; other columns as they are."""
+    rest = [f for f in docs.schema.fields if f.name != "text"]
 
     def shrink(batch: pa.RecordBatch):
         z = zstandard.ZstdCompressor(level=1)
         blob = [None if t is None else z.compress(t.encode()) for t in column(batch, "text").to_pylist()]
-        yield pa.RecordBatch.from_arrays([column(batch, "doc_id"), pa.array(blob, pa.binary())], names=["doc_id", "z"])
+        yield pa.RecordBatch.from_arrays([column(batch, f.name) for f in rest] + [pa.array(blob, pa.binary())], names=[f.name for f in rest] + [_Z])
 
-    src = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return map_batches(src, shrink, "doc_id long, z binary").join(flagged_runs(src, window).hint("shuffle_hash"), "doc_id", "left")
+    small = map_batches(docs, shrink, T.StructType([*rest, T.StructField(_Z, T.BinaryType())]))
+    keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    runs = flagged_runs(keyed, window).select(F.col("doc_id").alias(_KEY), F.col("runs").alias(_RUNS))
+    return small.join(runs.hint("shuffle_hash"), F.col("doc_id") == F.col(_KEY), "left").drop(_KEY)
 
 
 def removal_digest(docs: DataFrame, window: int = WINDOW) -> DataFrame:
@@ -237,7 +244,7 @@ def removal_digest(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     def finish(batch: pa.RecordBatch):
         z = zstandard.ZstdDecompressor()
         n_words, n_removed, sha = [], [], []
-        for blob, runs in zip(column(batch, "z").to_pylist(), column(batch, "runs").to_pylist()):
+        for blob, runs in zip(column(batch, _Z).to_pylist(), column(batch, _RUNS).to_pylist()):
             words = z.decompress(blob).split() if blob else []
             n_words.append(len(words))
             if runs:
@@ -250,7 +257,8 @@ def removal_digest(docs: DataFrame, window: int = WINDOW) -> DataFrame:
             names=["doc_id", "n_words", "n_removed", "kept_sha256"],
         )
 
-    return map_batches(_joined(docs, window), finish, "doc_id long, n_words long, n_removed long, kept_sha256 string")
+    slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    return map_batches(_joined(slim, window), finish, "doc_id long, n_words long, n_removed long, kept_sha256 string")
 
 
 def cut_text(text: bytes, runs: list[dict], window: int) -> bytes:
@@ -268,22 +276,20 @@ def cut_text(text: bytes, runs: list[dict], window: int) -> bytes:
     return b"".join(out)
 
 
-def removed_text(docs: DataFrame, window: int = WINDOW) -> DataFrame:
-    """(doc_id, text, n_removed): every row's text without its removal intervals; a null text stays null."""
+def remove_repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:
+    """docs, with all their columns, and each text without its removal intervals; a null text stays null."""
+    names = docs.columns
 
     def finish(batch: pa.RecordBatch):
         z = zstandard.ZstdDecompressor()
-        text, n = [], []
-        for blob, runs in zip(column(batch, "z").to_pylist(), column(batch, "runs").to_pylist()):
+        text = []
+        for blob, runs in zip(column(batch, _Z).to_pylist(), column(batch, _RUNS).to_pylist()):
             t = None if blob is None else z.decompress(blob)
-            before = len(t.split()) if t and runs else 0
-            if t and runs:
-                t = cut_text(t, runs, window)
-            n.append(before - len(t.split()) if before else 0)
-            text.append(None if t is None else t.decode())
-        yield pa.RecordBatch.from_arrays([column(batch, "doc_id"), pa.array(text, pa.string()), pa.array(n, pa.int64())], names=["doc_id", "text", "n_removed"])
-
-    return map_batches(_joined(docs, window), finish, "doc_id long, text string, n_removed long")
+            text.append(None if t is None else (cut_text(t, runs, window) if t and runs else t).decode())
+        new = pa.array(text, pa.string())
+        yield pa.RecordBatch.from_arrays([new if c == "text" else column(batch, c) for c in names], names=names)
+
+    return map_batches(_joined(docs, window), finish, docs.schema)
 
 
 def op10(spark, sf_dir: str) -> DataFrame:
