@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 from .common import stage
 
 REPEATS = 3
-SLOT_ROWS = 20_000
+SLOT_ROWS = 2_500
 WEIGHTS = (1, 2, 3)
 SLOPES = (0.6, 0.0, -0.6)  # schedules in the order of sources, repeating: rising, flat, falling
 _SPACES = "\t\n\u000b\f\r"
