@@ -4,9 +4,9 @@ A rotation of the leading principal directions is learned on a bounded sample so
 signs of the rotated coordinates are balanced binary codes.  Every vector is indexed: its
 code is cut into TABLES substrings, and it enters the bucket of each substring and of
 all substrings one bit away, so two vectors meet if some substring differs in two bits at
-most.  Inside the buckets a maximum spanning forest by Hamming distance proposes pairs,
-cosines of the original vectors in double precision confirm them, pairs still in
-different components follow, and confirmed pairs make the components.  As all links of a
+most.  Inside the buckets a spanning forest by Hamming distance and every member's nearest
+others are proposed, a linear number of pairs; cosines of the original vectors in double
+precision confirm them, and confirmed pairs make the components.  As all links of a
 vector lie in its component, links are then counted by products of blocks of a component,
 each vector against all others there, without a row per pair.
 
@@ -23,13 +23,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import column, components, map_batches, stage
-from .grouping import block_rows, join_components, open_clusters, propose
+from .grouping import block_rows, propose
 from .sampling import bounded_sample
 
 SAMPLE = 4000  # bound of the sample the rotation is learned on
 BITS = 64
 TABLES = 4
-RERANK_MARGIN = 17.5 / BITS  # share of differing bits up to which a pair is reranked
+RERANK_MARGIN = 15.5 / BITS  # share of differing bits up to which a pair is reranked
+NEAREST = 4  # neighbours of each member of a bucket that are reranked besides the spanning forest
 BLOCK = 1500
 TOLERANCE = 1e-12
 
@@ -153,18 +154,6 @@ def confirm(pairs: DataFrame, units: DataFrame, least: float) -> DataFrame:
     return map_batches(joined.select("a", "b", "ua", "ub"), run, "a long, b long")
 
 
-def exact(least: float):
-    """Functions for join_components: unit vectors of one length, and the exact test."""
-
-    def load(blobs: list[bytes]):
-        return np.stack([np.frombuffer(b) for b in blobs])
-
-    def linked(x, i: int, rest: np.ndarray) -> np.ndarray:
-        return x[rest] @ x[i] >= least - TOLERANCE
-
-    return load, linked
-
-
 def count_links(units: DataFrame, comp: DataFrame, least: float) -> DataFrame:
     """(id, n_links) of the classes in components: links to other vectors, all of which lie in the component.
 
@@ -213,14 +202,9 @@ def near_vectors(vectors: DataFrame, least: float = 0.9, id_col: str = "vec_id",
     shared = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("c")).where("c > 1")
     groups = stage(keyed.join(shared, "key"), "groups")
     sigs = _signatures(codes)
-    pairs = stage(propose(block_rows(groups, sigs), hamming_similarity, 1 - RERANK_MARGIN), "pairs")
-    clusters = stage(components(pairs), "clusters")
+    pairs = propose(block_rows(groups, sigs), hamming_similarity, 1 - RERANK_MARGIN, NEAREST)
     links = stage(confirm(pairs.select("a", "b"), codes, least), "links")
     comp = stage(components(links), "components")
-    units = codes.select("id", F.col("unit").alias("payload"))
-    more = stage(join_components(open_clusters(clusters, comp, units, BLOCK), *exact(least)), "links")
-    if more.limit(1).count():
-        comp = stage(components(links.union(more)), "components")
     counts = count_links(codes.select("id", "m", "unit"), comp, least)
     valid = codes.select(F.col("id").alias("class_id"), F.lit(True).alias("valid"))
     out = (

@@ -71,7 +71,19 @@ def kruskal(a: np.ndarray, b: np.ndarray, s: np.ndarray) -> list[int]:
     return out
 
 
-def _prim(sig, similarity, cutoff) -> list[tuple[int, int]]:
+def _nearest(x: np.ndarray, y: np.ndarray, s: np.ndarray, k: int) -> np.ndarray:
+    """Which pairs are among the k most similar of either member."""
+    member, pair = np.concatenate([x, y]), np.concatenate([np.arange(len(x))] * 2)
+    order = np.lexsort((pair, -s[pair], member))
+    m = member[order]
+    start = np.flatnonzero(np.concatenate([[True], m[1:] != m[:-1]]))
+    rank = np.arange(len(m)) - np.repeat(start, np.diff(np.append(start, len(m))))
+    out = np.zeros(len(x), dtype=bool)
+    out[pair[order[rank < k]]] = True
+    return out
+
+
+def _prim(sig, similarity, cutoff, nearest: int = 0) -> list[tuple[int, int]]:
     n = len(sig)
     best, parent, left = np.full(n, -1.0), np.full(n, -1), np.ones(n, dtype=bool)
     at, out = 0, []
@@ -84,10 +96,16 @@ def _prim(sig, similarity, cutoff) -> list[tuple[int, int]]:
         at = int(rest[best[rest].argmax()])
         if best[at] >= cutoff:
             out.append((int(parent[at]), at))
+    if nearest:
+        for i in range(n):
+            s = similarity(sig[i], sig)
+            s[i] = -1.0
+            top = np.argpartition(-s, min(nearest, n - 1))[:nearest]
+            out += [(i, int(j)) for j in top if s[j] >= cutoff]
     return out
 
 
-def _proposed(ids, sig, cut, similarity, cutoff):
+def _proposed(ids, sig, cut, similarity, cutoff, nearest):
     """(a, b, similarity) of the forests of consecutive groups with bounds `cut`."""
     size, first = np.diff(cut), cut[:-1]
     group = np.repeat(np.arange(len(size)), size)
@@ -110,9 +128,11 @@ def _proposed(ids, sig, cut, similarity, cutoff):
             if hi - lo > 2:
                 keep[lo:hi] = False
                 keep[lo + np.array(kruskal(x[lo:hi], y[lo:hi], s[lo:hi]))] = True
+        if nearest and len(x):
+            keep |= _nearest(x, y, s, nearest)
         xs, ys, ss = [x[keep]], [y[keep]], [s[keep]]
     for f, n in zip(first[size > SMALL], size[size > SMALL]):
-        if pairs := _prim(sig[f : f + n], similarity, cutoff):
+        if pairs := _prim(sig[f : f + n], similarity, cutoff, nearest):
             p = np.array(pairs) + f
             xs.append(p[:, 0]), ys.append(p[:, 1]), ss.append(similarity(sig[p[:, 0]], sig[p[:, 1]]))
     if not xs:
@@ -145,14 +165,14 @@ def _whole_groups(batches):
         yield carry.combine_chunks()
 
 
-def propose(rows: DataFrame, similarity: Similarity, cutoff: float) -> DataFrame:
-    """Distinct (a, b, s), a > b, of the forests of the groups of block_rows."""
+def propose(rows: DataFrame, similarity: Similarity, cutoff: float, nearest: int = 0) -> DataFrame:
+    """Distinct (a, b, s), a > b, of the forests of the groups of block_rows, and each member's `nearest` others."""
 
     def run(batches):
         for t in _whole_groups(batches):
             ids = t.column("id").to_numpy()
             sig = np.frombuffer(b"".join(t.column("sig").to_pylist()), dtype=np.uint64).reshape(len(ids), -1)
-            p, s = _proposed(ids, sig, _bounds(t), similarity, cutoff)
+            p, s = _proposed(ids, sig, _bounds(t), similarity, cutoff, nearest)
             if p.shape[1]:
                 yield pa.RecordBatch.from_arrays([pa.array(p[0]), pa.array(p[1]), pa.array(s.astype(np.float64))], names=["a", "b", "s"])
 
