@@ -41,6 +41,13 @@ MARK, LITERAL_MARK = "▁", "\udc81"  # a lone surrogate can't occur in a text
 _NONE = np.int32(2**31 - 1)
 
 
+SLOTS = 1 << 20
+
+
+def _slot(key: np.ndarray) -> np.ndarray:
+    return (mix64(key.view(np.uint64) if key.dtype == np.int64 else key, 60) % np.uint64(SLOTS)).astype(np.int64)
+
+
 class Vocabulary:
     """Pieces, byte pieces and the table of merges (left, right) -> piece of a BPE model."""
 
@@ -61,6 +68,7 @@ class Vocabulary:
         self.keys = np.array(keys, dtype=np.int64)[by]
         self.merged = np.array(merged, dtype=np.int32)[by]
         self.ranks = np.array(ranks, dtype=np.int32)[by]
+        self.slots: np.ndarray | None = None
         multi = "".join(p for p in self.id if len(p) > 1)
         # white space that no longer piece holds ends a word as well
         apart = [c for c in "\t\n\u000b\f\r" if c not in multi]
@@ -73,13 +81,36 @@ class Vocabulary:
         self.at = np.cumsum(self.size) - self.size
         self.blob = np.frombuffer(b"".join(spelled), dtype=np.uint8)
 
+    def _table(self) -> np.ndarray:
+        """Open addressing: index into keys + 1 of each slot, 0 where free; filled at first use, not shipped."""
+        if self.slots is None:
+            slots = np.zeros(SLOTS, dtype=np.int32)
+            left, place = np.arange(len(self.keys)), _slot(self.keys)
+            while len(left):
+                place = place % SLOTS
+                free = slots[place] == 0
+                slots[place[free]] = left[free] + 1  # of several for one slot the last stays
+                lost = slots[place] != left + 1
+                left, place = left[lost], place[lost] + 1
+            self.slots = slots
+        return self.slots
+
     def pair(self, a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(rank, piece) of the merge of each pair of symbols; rank _NONE where there is none."""
         key = (a.astype(np.int64) << 20) | b.astype(np.int64)
         key[(a < 0) | (b < 0)] = -1
-        i = np.minimum(np.searchsorted(self.keys, key), len(self.keys) - 1)
-        hit = self.keys[i] == key
-        return np.where(hit, self.ranks[i], _NONE), np.where(hit, self.merged[i], -1)
+        slots = self._table()
+        place = _slot(key)
+        at = slots[place]
+        found = np.where((at > 0) & (self.keys[at - 1] == key), at, 0)
+        open_ = np.flatnonzero((at > 0) & (found == 0))
+        while len(open_):  # slots taken by another key: look at the next
+            place[open_] = (place[open_] + 1) % SLOTS
+            at = slots[place[open_]]
+            hit = (at > 0) & (self.keys[at - 1] == key[open_])
+            found[open_[hit]] = at[hit]
+            open_ = open_[(at > 0) & ~hit]
+        return np.where(found > 0, self.ranks[found - 1], _NONE), np.where(found > 0, self.merged[found - 1], -1)
 
     def spell(self, char: str) -> list[int]:
         """Byte pieces of a character outside the vocabulary."""
@@ -190,15 +221,17 @@ class Encoder:
                     a = go[right]
                     rank[a, j[right]] = v.pair(sym[a, j[right]], sym[a, j[right] + 1])[0]
                 rows = rows[rank[rows].min(axis=1) < _NONE]
-        for i in range(len(words)):
-            ids = sym[i, : size[i]]
-            if (ids < 0).any():
-                flat: list[int] = []
-                for s, c in zip(ids.tolist(), start[i].tolist()):
-                    flat += [s] if s >= 0 else v.spell(words[i][c])
-                yield np.array(flat, dtype=np.int32).tobytes()
-            else:
-                yield ids.tobytes()
+        # cut the remaining symbols of all rows out of one buffer; only words with unknown characters need a loop
+        live = np.arange(n)[None, :] < size[:, None]
+        flat = sym[live].tobytes()
+        end = (np.cumsum(size) * 4).tolist()
+        out = [flat[a:b] for a, b in zip([0, *end[:-1]], end)]
+        for i in np.flatnonzero(((sym < 0) & live).any(axis=1)):
+            ids: list[int] = []
+            for s, c in zip(sym[i, : size[i]].tolist(), start[i].tolist()):
+                ids += [s] if s >= 0 else v.spell(words[i][c])
+            out[i] = np.array(ids, dtype=np.int32).tobytes()
+        return out
 
     def heap(self, text: str, variant: int) -> bytes:
         """One word by a heap: n log n for any length."""
