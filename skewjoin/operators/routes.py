@@ -115,11 +115,11 @@ def destinations(side: str, key: str, hot: list[HotKey], policy: Policy, n: int,
 
 
 def send(df: DataFrame, side: str, key: str, hot: list[HotKey], policy: Policy, n: int, row_hash: Column | None = None, scatter: str = "rowhash", seed: int = 0, owner: Column | None = None) -> DataFrame:
-    """One row per copy with its destination `dst`, and `copied` where the row is replicated."""
+    """One row per copy with its destination `dst`; `copied` where the row is replicated, `lead` on its first copy."""
     h = row_hash if row_hash is not None else F.xxhash64(*[F.col(c) for c in df.columns])
     own = owner if owner is not None else _owner(df, key, n)
     to = destinations(side, key, hot, policy, n, h, own, scatter, seed)
-    return df.withColumn("__to", to).withColumn("copied", F.size("__to") > 1).withColumn("dst", F.explode("__to")).drop("__to")
+    return df.withColumn("__to", to).withColumn("copied", F.size("__to") > 1).withColumn("dst", F.explode("__to")).withColumn("lead", F.col("dst") == F.col("__to")[0]).drop("__to")
 
 
 def _owner(df: DataFrame, key: str, n: int) -> Column:

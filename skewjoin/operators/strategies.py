@@ -66,8 +66,8 @@ def routed(x: Sides, hot: list[HotKey], policy: Policy, n: int, how: str = "inne
     hot = [h for h in hot if h.r and h.s] if how != "inner" else hot  # a value without partners is not copied
     r = send(x.r, "probe", x.a, hot, policy, n, x.r_hash, scatter)
     s = send(x.s, "build", x.b, hot, policy, n, x.s_hash, scatter)
-    r = r.withColumnsRenamed({"dst": "r_dst", "copied": "r_copied", "src": "r_src"}).repartitionById(n, F.col("r_dst"))
-    s = s.withColumnsRenamed({"dst": "s_dst", "copied": "s_copied", "src": "s_src"}).repartitionById(n, F.col("s_dst"))
+    r = r.withColumnsRenamed({"dst": "r_dst", "copied": "r_copied", "lead": "r_lead", "src": "r_src"}).repartitionById(n, F.col("r_dst"))
+    s = s.withColumnsRenamed({"dst": "s_dst", "copied": "s_copied", "lead": "s_lead", "src": "s_src"}).repartitionById(n, F.col("s_dst"))
     on = (F.col("r_dst") == F.col("s_dst")) & (F.col(x.a) == F.col(x.b))
     if residual is not None:
         on = on & residual
@@ -78,24 +78,19 @@ def routed(x: Sides, hot: list[HotKey], policy: Policy, n: int, how: str = "inne
         false_r = F.col("s_dst").isNull() & F.col("r_copied")
         false_s = F.col("r_dst").isNull() & F.col("s_copied")
         joined = joined.where(~F.coalesce(false_r, F.lit(False)) & ~F.coalesce(false_s, F.lit(False)))
-    return joined.withColumn("dst", F.coalesce("r_dst", "s_dst")).drop("r_dst", "s_dst", "r_copied", "s_copied")
+    return joined.withColumn("dst", F.coalesce("r_dst", "s_dst")).drop("r_dst", "s_dst", "r_copied", "s_copied", "r_lead", "s_lead")
 
 
 def _semi(r: DataFrame, s: DataFrame, on: Column, hot: list[HotKey], x: Sides, how: str) -> DataFrame:
     """Rows of copied probe keys all match: they are kept once (semi) or dropped (anti) without a join."""
     single = r.where(~F.col("r_copied"))
-    out = single.join(s, on, how).select(*[c for c in r.columns if c not in ("r_copied",)])
+    out = single.join(s, on, how).select(*[c for c in r.columns if c not in ("r_copied", "r_lead")])
     if how == "left_semi":
-        firsts = r.where("r_copied").where(F.col("r_dst") == _first_copy(r)).select(out.columns)
+        firsts = r.where("r_copied and r_lead").select(out.columns)
         out = out.unionByName(firsts)
     return out.withColumnRenamed("r_dst", "dst")
 
 
-def _first_copy(r: DataFrame) -> Column:
-    """The least destination of a copied row is node 0 for replicated rows."""
-    return F.lit(0)
-
-
 def _slice(df: DataFrame, key: str, keys: list) -> DataFrame:
     return df.where(F.col(key).isin(*keys))
 

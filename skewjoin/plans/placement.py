@@ -6,7 +6,7 @@ Spark's own partitions (mode `physical`).
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.keys import home
@@ -20,6 +20,11 @@ def by_key(key: Column, n: int) -> Column:
     return home(key, n)
 
 
+def level(key: str, order: list[str], n: int) -> Column:
+    """Each key's rows dealt one after the other: exactly even per key. For experiments: it sorts each key's rows."""
+    return F.pmod(F.row_number().over(Window.partitionBy(key).orderBy(*order)), F.lit(n)).cast("int")
+
+
 def hot_node(key: Column, row_hash: Column, n: int, keys: list, node: int, share: float) -> Column:
     """`share` of the rows of the given keys on one node, all else even."""
     on = key.isin(*keys) & (F.pmod(F.floor(row_hash / n), F.lit(100)) < int(share * 100))
@@ -29,7 +34,8 @@ def hot_node(key: Column, row_hash: Column, n: int, keys: list, node: int, share
 def range_replica(primary: Column, n: int, width: int, seed: int, stride: int = 5) -> Column:
     """A contiguous primary-key range has three replicas; the reader takes one of them, drawn by the seed."""
     rng = F.floor(primary / width).cast("long")
-    choice = F.pmod(rng * 7919 + F.lit(seed * 104729), F.lit(3).cast("long"))
+    draw = F.pmod(rng * 7919 + F.lit(seed * 104729), F.lit(1_000_003).cast("long"))
+    choice = F.pmod(F.floor(draw / 7).cast("long"), F.lit(3).cast("long"))
     return F.pmod(rng * stride + choice, F.lit(n).cast("long")).cast("int")
 
 

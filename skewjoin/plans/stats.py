@@ -85,23 +85,23 @@ def runtime_skew(df: DataFrame, key: str, p: float, prefix_rows: int = 10_000, v
 
     def count(batches):
         held: dict = {}
-        seen = 0
+        seen = valid = 0
         for batch in batches:
-            for value in batch.column(0).slice(0, max(0, prefix_rows - seen)).to_pylist():
-                seen += 1
-                if value is None:
-                    continue
+            values = batch.column(0).slice(0, max(0, prefix_rows - seen))
+            seen += len(values)
+            for value in values.drop_null().to_pylist():
+                valid += 1
                 if value in held or len(held) < size:
                     held[value] = held.get(value, 0) + 1
                 else:
                     held = {k: c - 1 for k, c in held.items() if c > 1}
             if seen >= prefix_rows:
                 break
-        if seen:
+        if valid:  # the number of rows goes with a row of its own, without a value
             yield pa.RecordBatch.from_arrays(
-                [pa.array(list(held), kind), pa.array(list(held.values()), pa.int64()), pa.array([seen if i == 0 else 0 for i in range(len(held))], pa.int64())],
+                [pa.array([None, *held], kind), pa.array([0, *held.values()], pa.int64()), pa.array([valid] + [0] * len(held), pa.int64())],
                 names=["key", "cnt", "seen"],
-            ) if held else pa.RecordBatch.from_arrays([pa.array([None], kind), pa.array([0]), pa.array([seen])], names=["key", "cnt", "seen"])
+            )
 
     rows = df.select(F.col(key).alias("key"))
     kind = pa.schema(rows.limit(0).toArrow().schema).field("key").type

@@ -52,14 +52,16 @@ class Workload:
         else:
             r = r.withColumn("a", single_key(F.col("rh"), self.r_hot, self.hot_key))
             s = s.withColumn("b", single_key(F.col("sh"), self.s_hot, self.hot_key))
-        r = r.withColumn("src", self._src(F.col("a"), F.col("l_orderkey")))
-        s = s.withColumn("src", self._src(F.col("b"), F.col("o_orderkey")))
+        r = r.withColumn("src", self._src("a", F.col("l_orderkey")))
+        s = s.withColumn("src", self._src("b", F.col("o_orderkey")))
         r = r.select("a", "rh", F.col("l_linenumber").cast("long").alias("r_qty"), "src")
         s = s.select("b", "sh", (F.col("o_custkey") % 97).alias("s_pri"), "src")
         return Sides(r, s, "a", "b", F.col("rh"), F.col("sh"))
 
-    def _src(self, key: Column, primary: Column) -> Column:
-        pick = F.col("pick")
+    def _src(self, name: str, primary: Column) -> Column:
+        key, pick = F.col(name), F.col("pick")
+        if self.place == "level":
+            return placement.level(name, ["pick", "rh" if name == "a" else "sh"], self.n)
         if self.place == "even":
             return placement.even(pick, self.n)
         if self.place == "by_key":
@@ -80,8 +82,10 @@ class Workload:
             return f"(({key} + 1) % {n})"
         if self.place == "hot_node":
             return f"(CASE WHEN {key} IN ({self.hot_key}, 1) AND (pick // {n}) % 100 < 90 THEN {self.node} ELSE pick % {n} END)"
+        if self.place == "level":
+            return f"(row_number() OVER (PARTITION BY {key} ORDER BY pick, {'rh' if key == 'a' else 'sh'}) % {n})"
         rng = f"({primary} // {self.width})"
-        return f"(({rng} * 5 + ({rng} * 7919 + {self.seed * 104729}) % 3) % {n})"
+        return f"(({rng} * 5 + ((({rng} * 7919 + {self.seed * 104729}) % 1000003) // 7) % 3) % {n})"
 
     def ctes(self) -> str:
         """SQL: r0/s0 the selected rows, r and s the inputs (a list of CTEs without WITH)."""
@@ -158,7 +162,7 @@ def scenarios() -> list[tuple[str, Workload, int | None]]:
     w = Workload("single", 3, 195_000, 98_000, r_hot=0.10, s_hot=0.03, p=0.02)
     return [
         ("one_node_skew", w.with_(place="hot_node", node=1), None),
-        ("even_skew", w, None),
+        ("even_skew", w.with_(place="level"), None),
         ("gateway_home", w.with_(place="even"), (7 + 1) % 3),
     ]
 

@@ -182,5 +182,5 @@ ORACLES = {f"skew_values_{k}": _values_sql(*v) for k, v in _COLUMNS.items()} | {
     "place_range_replica": _place_sql(_SINGLE.with_(place="range_replica", seed=3)),
     "place_hot_node": _place_sql(_SINGLE.with_(place="hot_node", node=2)),
     "tps_profile": f"WITH {_SINGLE.with_(place='range_replica').ctes()}, t AS (SELECT a, count(*) AS c FROM r GROUP BY a HAVING count(*) >= 0.05 * (SELECT count(*) FROM r) - 1e-9) SELECT src::BIGINT AS src, r.a AS key, count(*) AS cnt FROM r JOIN t USING (a) GROUP BY 1, 2",
-    "ss_profile_shipdate": "SELECT ((l_orderkey // 500) * 5 + ((l_orderkey // 500) * 7919 + 104729) % 3) % 6 AS src, count(*) AS n_all, sum(CASE WHEN l_shipdate >= TIMESTAMP '1997-01-01' THEN 1 ELSE 0 END)::BIGINT AS n_kept FROM lineitem GROUP BY 1",
+    "ss_profile_shipdate": "SELECT ((l_orderkey // 500) * 5 + ((((l_orderkey // 500) * 7919 + 104729) % 1000003) // 7) % 3) % 6 AS src, count(*) AS n_all, sum(CASE WHEN l_shipdate >= TIMESTAMP '1997-01-01' THEN 1 ELSE 0 END)::BIGINT AS n_kept FROM lineitem GROUP BY 1",
 }
