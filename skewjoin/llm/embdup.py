@@ -191,10 +191,12 @@ def near_vectors(vectors: DataFrame, least: float = 0.9, id_col: str = "vec_id",
     """(vec_id, n_links, component_id, kept) of every row."""
     src = vectors.select(F.col(id_col).cast("long").alias("id"), F.col(vec_col).cast("array<double>").alias("v"))
     named = src.where("id is not null")
-    digest = [F.xxhash64(F.lit(s), "v") for s in (1, 2)]
-    member = named.select("id", digest[0].alias("h1"), digest[1].alias("h2"), F.col("v").isNotNull().alias("has"))
+    # hashes pass over null elements, so only vectors without any may share a class
+    whole = F.col("v").isNotNull() & ~F.exists("v", lambda x: x.isNull())
+    digest = [F.xxhash64(F.lit(s), F.size("v"), "v") for s in (1, 2)]
+    member = named.select("id", digest[0].alias("h1"), digest[1].alias("h2"), whole.alias("has"))
     classes = member.where("has").groupBy("h1", "h2").agg(F.min("id").alias("class_id"), F.count(F.lit(1)).alias("m"))
-    member = stage(member.join(classes, ["h1", "h2"], "left").select("id", F.coalesce("class_id", "id").alias("class_id"), F.coalesce("m", F.lit(1)).alias("m")), "classes")
+    member = stage(member.join(classes.withColumn("has", F.lit(True)), ["h1", "h2", "has"], "left").select("id", F.coalesce("class_id", "id").alias("class_id"), F.coalesce("m", F.lit(1)).alias("m")), "classes")
     reps = member.where("id = class_id").select("id", "m").distinct()
     rotations = fit_rotations(named)
     codes = stage(encode(named.join(reps.select("id"), "id", "left_semi"), rotations).dropDuplicates(["id"]).join(reps, "id"), "codes")

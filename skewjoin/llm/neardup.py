@@ -81,7 +81,7 @@ def minima(sh: np.ndarray, own: np.ndarray, texts: np.ndarray) -> np.ndarray:
 def packed(m: np.ndarray) -> np.ndarray:
     """BITS low bits of each minimum, 64 / BITS to a word."""
     per = 64 // BITS
-    low = (m & np.uint32((1 << BITS) - 1)).astype(np.uint64).reshape(len(m), -1, per)
+    low = (m & np.uint32((1 << BITS) - 1)).astype(np.uint64).reshape(len(m), PERMUTATIONS // per, per)
     return np.bitwise_or.reduce(low << (np.arange(per, dtype=np.uint64) * np.uint64(BITS)), axis=2)
 
 
@@ -152,7 +152,7 @@ def confirm(pairs: DataFrame, feats: DataFrame, k: int, percent: int) -> DataFra
 
     def run(batch: pa.RecordBatch):
         za, zb = column(batch, "za"), column(batch, "zb")
-        step = 1000
+        step = 250
         for lo in range(0, batch.num_rows, step):
             m = min(step, batch.num_rows - lo)
             d = zstandard.ZstdDecompressor()
