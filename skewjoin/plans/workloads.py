@@ -122,6 +122,29 @@ cls AS (
         return replace(self, **changes)
 
 
+@dataclass(frozen=True)
+class Literal(Workload):
+    """A workload of literal (key, src) rows of either side; a row's hash is its place in the list."""
+
+    r_rows: tuple = ()
+    s_rows: tuple = ()
+
+    def sides(self, spark: SparkSession, sf_dir: str) -> Sides:
+        return literal_sides(spark, (list(self.r_rows), list(self.s_rows)))
+
+    def ctes(self) -> str:
+        parts = []
+        for name, key, h, rows in (("r", "a", "rh", self.r_rows), ("s", "b", "sh", self.s_rows)):
+            values = ", ".join(f"({k}::BIGINT, {i}::BIGINT, {n})" for i, (k, n) in enumerate(rows))
+            value = "r_qty" if name == "r" else "s_pri"
+            parts.append(f"{name} AS (SELECT {key}, {h}, 0 AS {value}, src FROM (VALUES {values}) v({key}, {h}, src))")
+        return ",\n".join(parts)
+
+
+def literal(rows: tuple[list, list], n: int, p: float) -> Literal:
+    return Literal("literal", n, len(rows[0]), len(rows[1]), p=p, r_rows=tuple(rows[0]), s_rows=tuple(rows[1]))
+
+
 def inputs_zipf(spark: SparkSession, sf_dir: str, n_r: int, n_s: int, z: float, n: int = 3, n_values: int = 1000, **kw) -> Sides:
     return Workload("zipf", n, n_r, n_s, z=z, n_values=n_values, **kw).sides(spark, sf_dir)
 

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ..operators.dispatch import CANDIDATES, choose, observe
 from ..plans import cost, metrics, workloads
-from ..plans.workloads import Workload, literal_sides, micro
+from ..plans.workloads import Workload, literal, micro
 from . import sqltext
 
 ALL = ("stay_replicate", "four_route", "hash_all", "scatter_replicate", "grid", "subset_replicate")
@@ -47,6 +47,8 @@ SWEEPS = {
     "dispatch_merge_kind": (_COUNT, CANDIDATES, "complete"),
     "cost_total_complete": (_ONE, ALL, "complete"),
     "cost_total_printed": (_ONE, ALL, "printed"),
+    "cost_micro": ([(g, literal(micro(), 3, 0.2), g) for g in range(3)], ALL, "complete"),
+    "cost_micro_printed": ([(g, literal(micro(), 3, 0.2), g) for g in range(3)], CANDIDATES, "printed"),
     "cost_grid": ([(n, Workload("single", n, 195_000, 98_000, r_hot=0.1, s_hot=0.1), 0) for n in (3, 6, 12)], ("grid", "scatter_replicate"), "complete"),
 }
 
@@ -69,17 +71,6 @@ def regret(spark: SparkSession, sf_dir: str) -> DataFrame:
     return t.where("chosen").join(best, "config").select("config", "strategy", F.round(F.col("total") / F.col("best"), 6).alias("regret"))
 
 
-def micro_costs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The worked example's costs for each gateway, printed and complete."""
-    _, profile = observe(literal_sides(spark, micro()), 0.2, 3)
-    rows = []
-    for form in ("complete", "printed"):
-        for g in range(3):
-            d = choose(profile, g, form)
-            rows += [(form, g, *c[:1], *(round(float(v), 3) for v in c[1:])) for c in d.costs]
-    return spark.createDataFrame(rows, "form string, gateway int, strategy string, moved double, busiest double, merged double, total double")
-
-
 def case_bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Worst-node bounds of one hot key in both textbook situations."""
     w = Workload("single", 12, 195_000, 98_000, r_hot=0.1, s_hot=0.03, p=0.02)
@@ -134,7 +125,6 @@ QUERIES = {name: _sweep(name) for name in SWEEPS} | {
     "cost_comp": _only("cost_total_complete", "busiest"),
     "cost_summ_gather": _only("cost_total_complete", "merged"),
     "dispatch_regret": regret,
-    "cost_micro": micro_costs,
     "cost_case_bounds": case_bounds,
     "cost_observed": observed_against_model,
 }

@@ -7,10 +7,10 @@ from pyspark.sql import functions as F
 
 from ..operators import merge, strategies
 from ..operators.dispatch import choose_per_value, observe, skew_join
-from ..operators.routes import POLICIES, partition, send
+from ..operators.routes import POLICIES, partition
 from ..operators.strategies import Sides, routed
 from ..plans import classify, metrics, stats
-from ..plans.workloads import Workload, intro, literal_sides, micro, natural
+from ..plans.workloads import Workload, intro, literal, micro, natural
 from ..sources.catalog import load
 from . import sqltext
 
@@ -212,16 +212,30 @@ def counted(spark: SparkSession, sf_dir: str) -> DataFrame:
     return merge.count_through(x.r, x.s, "a", "b")
 
 
-def _literal(rows, n: int, policy: str, p: float = 0.2):
+def _by_key(w: Workload, policy: str):
+    """Copies of each key at each node."""
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        x = literal_sides(spark, rows)
-        hot, _ = observe(x, p, n)
-        r, s = send(x.r, "probe", "a", hot, POLICIES[policy], n, x.r_hash), send(x.s, "build", "b", hot, POLICIES[policy], n, x.s_hash)
+        x = w.sides(spark, sf_dir)
+        hot, _ = observe(x, w.p, w.n)
+        r, s = metrics.sent(x, hot, POLICIES[policy], w.n)
         both = r.select(F.lit("probe").alias("side"), F.col("a").alias("key"), "dst").union(s.select(F.lit("build"), "b", "dst"))
         return both.groupBy("side", "key", F.col("dst").cast("long").alias("dst")).agg(F.count(F.lit(1)).alias("n"))
     return run
 
 
+def _by_key_sql(w: Workload, policy: str) -> str:
+    return f"WITH {sqltext.routed(w, policy)} SELECT 'probe' AS side, a AS key, dst::BIGINT AS dst, count(*) AS n FROM rd GROUP BY 2, 3 UNION ALL SELECT 'build', b, dst::BIGINT, count(*) FROM sd GROUP BY 2, 3"
+
+
+_LITERALS = {
+    "micro_routes_four_route": (literal(micro(), 3, 0.2), "four_route"),
+    "micro_routes_mirrored": (literal(micro(True), 3, 0.2), "four_route"),
+    "micro_routes_grid": (literal(micro(), 3, 0.2), "flow"),
+    "intro_routes_stay_replicate": (literal(intro(), 3, 0.5), "stay_replicate"),
+    "intro_routes_scatter_replicate": (literal(intro(), 3, 0.5), "scatter_replicate"),
+}
+
+
 def null_keys(spark: SparkSession, sf_dir: str) -> DataFrame:
     """NULL keys on both sides: they match nothing and are not skewed values."""
     x = ZIPF.sides(spark, sf_dir)
@@ -268,10 +282,7 @@ QUERIES = {f"join_{p}_{i}": _join(w, p) for i, w in INPUTS.items() for p in NAME
     "anti_four_route": _typed("left_anti"),
     "residual_inner": _typed("inner", residual=True),
     "residual_fallback": _typed("full", residual=True),
-    "micro_routes_four_route": _literal(micro(), 3, "four_route"),
-    "micro_routes_mirrored": _literal(micro(True), 3, "four_route"),
-    "intro_routes_stay_replicate": _literal(intro(), 3, "stay_replicate", 0.5),
-} | {f"route_sizes_{p}": _routes(p) for p in NAMES} | {f"route_moved_{p}": _moved(p) for p in NAMES} | {f"route_node_load_{p}": _load(p) for p in NAMES}
+} | {n: _by_key(*v) for n, v in _LITERALS.items()} | {f"route_sizes_{p}": _routes(p) for p in NAMES} | {f"route_moved_{p}": _moved(p) for p in NAMES} | {f"route_node_load_{p}": _load(p) for p in NAMES}
 
 _Z, _S = _per_key_sql(ZIPF), _per_key_sql(SINGLE)
 _NULLS = ZIPF.ctes().replace("r AS (SELECT a,", "r AS (SELECT CASE WHEN rh % 10 <> 0 THEN a END AS a,").replace("s AS (SELECT b,", "s AS (SELECT CASE WHEN sh % 10 <> 0 THEN b END AS b,")
@@ -308,4 +319,4 @@ FROM r JOIN s ON a = b LEFT JOIN cls ON a = key GROUP BY 1""",
     "anti_four_route": _typed_sql("left_anti"),
     "residual_inner": _typed_sql("inner", True),
     "residual_fallback": _typed_sql("full", True),
-} | {f"route_sizes_{p}": _routes_sql(p) for p in NAMES} | {f"route_moved_{p}": _moved_sql(p) for p in NAMES} | {f"route_node_load_{p}": _load_sql(p) for p in NAMES}
+} | {n: _by_key_sql(*v) for n, v in _LITERALS.items()} | {f"route_sizes_{p}": _routes_sql(p) for p in NAMES} | {f"route_moved_{p}": _moved_sql(p) for p in NAMES} | {f"route_node_load_{p}": _load_sql(p) for p in NAMES}

@@ -164,6 +164,7 @@ QUERIES = {f"skew_values_{k}": _values(*v) for k, v in _COLUMNS.items()} | {
 ORACLES = {f"skew_values_{k}": _values_sql(*v) for k, v in _COLUMNS.items()} | {
     "skew_boundary_ge": _values_sql("nation", "n_regionkey", 0.2),
     "skew_boundary_gt": _values_sql("nation", "n_regionkey", 0.2, True),
+    "skew_sampled_candidates": "SELECT l_linenumber AS key, count(*) AS cnt, (SELECT count(*) FROM lineitem) AS n_rows FROM lineitem GROUP BY 1 HAVING count(*) >= 0.12 * (SELECT count(*) FROM lineitem) - 1e-9",
     "skew_freqitems_verified": _values_sql("lineitem", "l_linenumber", 0.12),
     "skew_topk_verified": _values_sql("lineitem", "l_linenumber", 0.12),
     "skew_runtime_verified": _values_sql("lineitem", "l_linenumber", 0.12),
