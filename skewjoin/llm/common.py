@@ -18,8 +18,11 @@ from . import wordhash
 # functions travel to the executors by value, so the package need not be installed there
 cloudpickle.register_pickle_by_value(sys.modules[__name__.partition(".")[0]])
 
+#: Rows of an Arrow batch: with texts of a few thousand characters the default makes batches of tens of MB.
+BATCH_ROWS = 2000
+
 #: Bytes of text that one vectorised step takes at once (a longer text is taken alone).
-SLICE_BYTES = 6 << 20
+SLICE_BYTES = 2 << 20
 
 
 def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -61,10 +64,19 @@ def column(batch: pa.RecordBatch, name: str) -> pa.Array:
     return batch.column(batch.schema.get_field_index(name))
 
 
+def small_batches(spark: SparkSession) -> None:
+    """Lower the session's batch size (a setting that may change at any time) if it is larger."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    have = int(spark.conf.get(name))
+    if have <= 0 or have > BATCH_ROWS:
+        spark.conf.set(name, str(BATCH_ROWS))
+
+
 def map_batches(df: DataFrame, fn: Callable[[pa.RecordBatch], Iterator[pa.RecordBatch]], schema: str) -> DataFrame:
     """mapInArrow with a function of one batch; empty batches are passed over."""
 
     wordhash.forget()
+    small_batches(df.sparkSession)
 
     def run(batches):
         for batch in batches:

@@ -18,6 +18,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import small_batches
+
 BLOCK = 1024
 SMALL = 48  # groups up to this size are compared together, vectorised over groups
 
@@ -176,6 +178,7 @@ def propose(rows: DataFrame, similarity: Similarity, cutoff: float, nearest: int
             if p.shape[1]:
                 yield pa.RecordBatch.from_arrays([pa.array(p[0]), pa.array(p[1]), pa.array(s.astype(np.float64))], names=["a", "b", "s"])
 
+    small_batches(rows.sparkSession)
     return rows.mapInArrow(run, "a long, b long, s double").dropDuplicates(["a", "b"])
 
 
@@ -211,4 +214,5 @@ def join_components(rows: DataFrame, load: Callable, linked: Callable) -> DataFr
             if out_a:
                 yield pa.RecordBatch.from_arrays([pa.array(out_a, pa.int64()), pa.array(out_b, pa.int64())], names=["a", "b"])
 
+    small_batches(rows.sparkSession)
     return rows.mapInArrow(run, "a long, b long").distinct()

@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import column, map_batches, slices
+from .common import column, map_batches, slices, small_batches
 from .wordhash import buffers, mix64
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
@@ -36,7 +36,7 @@ DROPOUT = 0.1
 SEED = 11
 VARIANTS = 4
 LOCKSTEP = 48
-CACHE = 400_000  # words remembered per variant and task
+CACHE = 120_000  # words remembered per variant and task
 MARK, LITERAL_MARK = "▁", "\udc81"  # a lone surrogate can't occur in a text
 _NONE = np.int32(2**31 - 1)
 
@@ -347,6 +347,7 @@ def encode(docs: DataFrame, vocab: Vocabulary, dropout: float = DROPOUT, seed: i
                     names=["doc_id", "n_pieces", "ids_sha256", "n_bytes", "lossless"],
                 )
 
+    small_batches(docs.sparkSession)
     src = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     schema = "doc_id long, ids array<int>" if full else "doc_id long, n_pieces long, ids_sha256 string, n_bytes long, lossless boolean"
     return src.mapInArrow(lambda it: run(x for x in it if x.num_rows), schema)

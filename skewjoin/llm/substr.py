@@ -36,7 +36,7 @@ from .wordhash import Words, buffers, mix64, windows
 
 WINDOW = 13
 GRAM = 4
-BUCKET_BYTES = 9_000_000  # text bytes whose windows make one bucket
+BUCKET_BYTES = 5_000_000  # text bytes whose windows make one bucket
 SAMPLE_ROWS = 2000  # rows in which common minimizers are looked for
 PACKED = "bucket int, ids binary, runs binary, hashes binary"
 
@@ -229,7 +229,7 @@ def _joined(docs: DataFrame, window: int) -> DataFrame:
 
     def shrink(batch: pa.RecordBatch):
         z = zstandard.ZstdCompressor(level=1)
-        blob = [None if t is None else z.compress(t.encode()) for t in column(batch, "text").to_pylist()]
+        blob = [None if not t.is_valid else z.compress(t.as_buffer()) for t in column(batch, "text")]
         yield pa.RecordBatch.from_arrays([column(batch, f.name) for f in rest] + [pa.array(blob, pa.binary())], names=[f.name for f in rest] + [_Z])
 
     small = map_batches(docs, shrink, T.StructType([*rest, T.StructField(_Z, T.BinaryType())]))
