@@ -239,3 +239,14 @@ def _signatures(codes: DataFrame) -> DataFrame:
 def op3(spark, sf_dir: str) -> DataFrame:
     return near_vectors(spark.read.parquet(f"{sf_dir}/embeddings.parquet"))
 
+
+
+OP3_SQL = """
+WITH RECURSIVE v AS (
+  SELECT vec_id, embedding::DOUBLE[] AS e FROM embeddings
+  WHERE len(embedding) > 0 AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0 AND len(list_filter(embedding, lambda x: x <> 0)) > 0),
+l AS (SELECT x.vec_id AS a, y.vec_id AS b FROM v x JOIN v y ON x.vec_id <> y.vec_id AND len(x.e) = len(y.e) WHERE list_cosine_similarity(x.e, y.e) >= 0.9),
+r AS (SELECT vec_id AS node, vec_id AS root FROM embeddings UNION SELECT l.b, r.root FROM r JOIN l ON l.a = r.node WHERE r.root < l.b)
+SELECT x.vec_id, coalesce(n.n, 0)::BIGINT AS n_links, c.root AS component_id, c.root = x.vec_id AS kept
+FROM embeddings x LEFT JOIN (SELECT a, count(*) AS n FROM l GROUP BY a) n ON n.a = x.vec_id JOIN (SELECT node, min(root) AS root FROM r GROUP BY node) c ON c.node = x.vec_id
+"""

@@ -19,6 +19,7 @@ QUERIES = {
 
 ORACLES = {
     "op2_near_duplicates": neardup.OP2_SQL,
+    "op3_embedding_near_duplicates": embdup.OP3_SQL,
     "op6_source_mixing": mixing.OP6_SQL,
     "op8_chat_formatting": chat.OP8_SQL,
     "op9_quality_rules": rules.OP9_SQL,
