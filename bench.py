@@ -14,7 +14,7 @@ from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
 from skewjoin.operators import baselines, strategies
-from skewjoin.operators.dispatch import choose, observe
+from skewjoin.operators.dispatch import choose, observe, skew_join
 from skewjoin.operators.routes import POLICIES
 from skewjoin.plans import cost, metrics, workloads
 from skewjoin.plans.workloads import Workload
@@ -69,9 +69,10 @@ def main() -> None:
             extra[f"{tag}_{name}_busiest"] = round(cost.join_phase(profile, POLICIES["flow" if name.endswith("grid") else name]))
         chosen = choose(profile).strategy
         extra[f"{tag}_chosen"] = chosen
-        timed(f"{tag}_dispatch_branches", lambda: pairs(strategies.branches(x, hot, POLICIES[chosen], w.n)))
+        timed(f"{tag}_skew_join", lambda: pairs(skew_join(x.r, x.s, "a", "b", p=w.p, n=w.n, hot=hot)))
         if with_native:
             on = F.col("a") == F.col("b")
+            timed(f"{tag}_branches", lambda: pairs(strategies.branches(x, hot, POLICIES[chosen], w.n)))
             timed(f"{tag}_native_shj", lambda: pairs(baselines.shuffled_hash(x.r, x.s, on)))
             timed(f"{tag}_native_smj", lambda: pairs(baselines.sort_merge(x.r, x.s, on)))
             timed(f"{tag}_native_bhj", lambda: pairs(x.r.join(F.broadcast(x.s), on)))

@@ -17,6 +17,10 @@ from .strategies import Sides, branches, routed
 CANDIDATES = ("stay_replicate", "four_route", "hash_all")
 
 
+#: Pairs a row of the skewed keys from which the routed form is taken.
+PAIRS_A_ROW = 8
+
+
 @dataclass(frozen=True)
 class Decision:
     strategy: str
@@ -124,8 +128,10 @@ def skew_join(r: DataFrame, s: DataFrame, a: str, b: str, strategy: str = "auto"
     """Join r and s on r.a = s.b with skewed keys treated apart.
 
     Without skew this is a plain join, at no extra cost.  `hot` takes known statistics and saves
-    the detection job.  physical: 'routed', 'branches', or 'auto', which is branches for inner
-    joins without a residual predicate.
+    the detection job.  physical: 'routed', 'branches', or 'auto': branches for inner joins without
+    a residual predicate whose skewed keys make few pairs for each row, since there the rows that
+    stay are what is saved; where pairs dominate, the routed form, whose one join feeds whatever
+    follows without a union in between.
     """
     n = n or int(r.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     if hot is None:
@@ -141,7 +147,8 @@ def skew_join(r: DataFrame, s: DataFrame, a: str, b: str, strategy: str = "auto"
         profile = profile_of(x, hot, n) if known else cost.Profile(n, tuple(even))
         strategy = choose(profile, gateway, form).strategy
     policy = POLICIES[strategy]
-    if physical == "branches" or (physical == "auto" and how == "inner" and residual is None):
+    pairs, rows = sum(h.r * h.s for h in hot), sum(h.r + h.s for h in hot)
+    if physical == "branches" or (physical == "auto" and how == "inner" and residual is None and pairs < PAIRS_A_ROW * rows):
         return branches(x, hot, policy, n).drop("branch")
     return routed(x, hot, policy, n, how, residual).drop("dst", "r_src", "s_src")
 
