@@ -37,6 +37,11 @@ class Decision:
         return spark.createDataFrame([(*c, c[0] == self.strategy) for c in self.costs], "strategy string, moved double, busiest double, merged double, total double, chosen boolean")
 
 
+def explain(decision: Decision) -> str:
+    """All candidates' costs as text, the chosen one marked."""
+    return decision.explain()
+
+
 def profile_of(x: Sides, hot: list[HotKey], n: int) -> cost.Profile:
     """Tuples of the skewed values on each node: two tiny aggregations, at most 2/p * n rows collected."""
     if not hot:

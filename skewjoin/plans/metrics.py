@@ -54,6 +54,27 @@ def imbalance_udaf(v: pd.Series) -> float:
     return float(v.max() / v.mean()) if len(v) and v.mean() else 0.0
 
 
+def tps(df: DataFrame, n: int) -> DataFrame:
+    """Tuple placement skew: rows per node before the join, as max over mean."""
+    return imbalance(df.groupBy("src").agg(F.count(F.lit(1)).alias("tuple_placement")), "tuple_placement", n)
+
+
+def ss(df: DataFrame, predicate: str, n: int) -> DataFrame:
+    """Selectivity skew: rows per node that pass a filter."""
+    kept = df.groupBy("src").agg(F.sum(F.expr(predicate).cast("long")).alias("selectivity"))
+    return imbalance(kept, "selectivity", n)
+
+
+def rs(load: DataFrame, n: int) -> DataFrame:
+    """Redistribution skew: tuples received per node."""
+    return imbalance(load.select((F.col("r_n") + F.col("s_n")).alias("redistribution")), "redistribution", n)
+
+
+def jps(load: DataFrame, n: int) -> DataFrame:
+    """Join product skew: results per node."""
+    return imbalance(load.select(F.col("out_n").alias("join_product")), "join_product", n)
+
+
 def cold_volume(n_cold_r: int, n_cold_s: int, n: int) -> float:
     """Tuples that every strategy moves for keys that are not skewed."""
     return (n_cold_r + n_cold_s) * (n - 1) / n
@@ -94,6 +115,16 @@ def regret(chosen: str, costs: dict[str, float]) -> float:
     return costs[chosen] / best if best else 1.0
 
 
+def dispatch_overhead(decision_seconds: float, whole_seconds: float) -> float:
+    """Share of a run that choosing the strategy takes."""
+    return overhead_share(decision_seconds, whole_seconds)
+
+
+def detect_overhead(detect_seconds: float, whole_seconds: float) -> float:
+    """Share of a run that finding the skewed values takes."""
+    return overhead_share(detect_seconds, whole_seconds)
+
+
 def overhead_share(part_seconds: float, whole_seconds: float) -> float:
     return part_seconds / whole_seconds if whole_seconds else 0.0
 

@@ -5,25 +5,15 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..operators.dispatch import CANDIDATES, choose, observe
-from ..plans import cost, metrics, workloads
+from ..operators.dispatch import CANDIDATES, observe
+from ..plans import cost, experiments, metrics, workloads
 from ..plans.workloads import Workload, literal, micro
 from . import sqltext
 
 ALL = ("stay_replicate", "four_route", "hash_all", "scatter_replicate", "grid", "subset_replicate")
-SCHEMA = "config string, strategy string, moved double, busiest double, merged double, total double, chosen boolean"
 
 
-def table(spark: SparkSession, sf_dir: str, configs, policies=CANDIDATES, form: str = "complete") -> DataFrame:
-    """One row per configuration and strategy; each distinct input is profiled once."""
-    seen: dict[Workload, cost.Profile] = {}
-    rows = []
-    for config, w, gateway in configs:
-        if w not in seen:
-            seen[w] = observe(w.sides(spark, sf_dir), w.p, w.n)[1]
-        decision = choose(seen[w], gateway, form, policies)
-        rows += [(str(config), name, *(round(float(v), 3) for v in parts), name == decision.strategy) for name, *parts in decision.costs]
-    return spark.createDataFrame(rows, SCHEMA)
+table = experiments.costs
 
 
 _W4, _W5 = workloads.threshold_sweep(), workloads.gateway_sweep()
@@ -120,7 +110,29 @@ SELECT (SELECT count(*) FROM rd JOIN cls ON a = key WHERE dst <> src) + (SELECT
     for p in ("hash_all", "stay_replicate")
 )
 
-QUERIES = {name: _sweep(name) for name in SWEEPS} | {
+LOADS = {
+    "load_scenarios": workloads.scenarios(),
+    "load_scaleout": [c for c in workloads.scaleout() if c[0] in (3, 12)],
+    "load_ratio": [c for c in workloads.ratio_sweep(6) if c[0] in (1, 20)],
+    "load_no_skew": [("no skew", Workload("zipf", 6, 195_000, 98_000, z=0.0), None)],
+}
+
+
+def _loads(name: str):
+    return lambda spark, sf_dir: experiments.loads(spark, sf_dir, LOADS[name], ("hash_all", "stay_replicate", "four_route"))
+
+
+def filtered_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return experiments.w14_filtered(spark, sf_dir)
+
+
+_FW = Workload("zipf", 3, 293_000, 10_000, z=1.2)
+_FILTERED_SQL = f"""WITH {_FW.ctes()},
+k AS (SELECT a AS key, count(*) AS before FROM r GROUP BY a HAVING count(*) >= {_FW.p / 2} * (SELECT count(*) FROM r) - 1e-9),
+f AS (SELECT a AS key, count(*) AS after FROM r WHERE r_qty <= 3 GROUP BY a HAVING count(*) >= {_FW.p} * (SELECT count(*) FROM r WHERE r_qty <= 3) - 1e-9)
+SELECT key, before, after FROM k JOIN f USING (key)"""
+
+QUERIES = {name: _loads(name) for name in LOADS} | {"skew_before_after_filter": filtered_counts} | {name: _sweep(name) for name in SWEEPS} | {
     "cost_re": _only("cost_total_complete", "moved"),
     "cost_comp": _only("cost_total_complete", "busiest"),
     "cost_summ_gather": _only("cost_total_complete", "merged"),
@@ -129,7 +141,7 @@ QUERIES = {name: _sweep(name) for name in SWEEPS} | {
     "cost_observed": observed_against_model,
 }
 
-ORACLES = {name: sqltext.sweep(*args) for name, args in SWEEPS.items()} | {
+ORACLES = {name: sqltext.loads(c, ("hash_all", "stay_replicate", "four_route")) for name, c in LOADS.items()} | {"skew_before_after_filter": _FILTERED_SQL} | {name: sqltext.sweep(*args) for name, args in SWEEPS.items()} | {
     "cost_re": f"SELECT config, strategy, moved FROM ({sqltext.sweep(*SWEEPS['cost_total_complete'])})",
     "cost_comp": f"SELECT config, strategy, busiest FROM ({sqltext.sweep(*SWEEPS['cost_total_complete'])})",
     "cost_summ_gather": f"SELECT config, strategy, merged FROM ({sqltext.sweep(*SWEEPS['cost_total_complete'])})",

@@ -107,6 +107,24 @@ SELECT dst::BIGINT AS dst, sum(coalesce(r, 0))::BIGINT AS r_n, sum(coalesce(s, 0
 FROM rk FULL JOIN sk USING (dst, key) GROUP BY dst"""
 
 
+def skew_taxonomy(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Four kinds of imbalance, max over mean: placement, selectivity, redistribution, join product under hashing."""
+    w = SINGLE
+    x = w.sides(spark, sf_dir)
+    hot, _ = observe(x, w.p, w.n)
+    load_ = metrics.node_load(x, hot, POLICIES["hash_all"], w.n)
+    out = metrics.tps(x.r, w.n).union(metrics.ss(x.r, "r_qty = 1", w.n)).union(metrics.rs(load_, w.n)).union(metrics.jps(load_, w.n))
+    return out.select("measure", F.round("max_over_mean", 6).alias("max_over_mean"))
+
+
+_TAXONOMY_SQL = f"""WITH {sqltext.routed(SINGLE, 'hash_all')},
+rk AS (SELECT dst, a AS key, count(*) AS r FROM rd GROUP BY 1, 2), sk AS (SELECT dst, b AS key, count(*) AS s FROM sd GROUP BY 1, 2),
+ld AS (SELECT dst, sum(coalesce(r, 0)) + sum(coalesce(s, 0)) AS got, sum(coalesce(r, 0) * coalesce(s, 0)) AS made FROM rk FULL JOIN sk USING (dst, key) GROUP BY dst),
+pl AS (SELECT src, count(*) AS c, sum(CASE WHEN r_qty = 1 THEN 1 ELSE 0 END) AS k FROM r GROUP BY src)
+SELECT 'tuple_placement' AS measure, round(max(c) * 12 / sum(c), 6) AS max_over_mean FROM pl UNION ALL SELECT 'selectivity', round(max(k) * 12 / sum(k), 6) FROM pl
+UNION ALL SELECT 'redistribution', round(max(got) * 12 / sum(got), 6) FROM ld UNION ALL SELECT 'join_product', round(max(made) * 12 / sum(made), 6) FROM ld"""
+
+
 def four_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Rows of the four disjoint parts of either side."""
     x = ZIPF.sides(spark, sf_dir)
@@ -274,6 +292,7 @@ QUERIES = {f"join_{p}_{i}": _join(w, p) for i, w in INPUTS.items() for p in NAME
     "merge_gather": gathered,
     "merge_count_through": counted,
     "four_route_sets": four_sets,
+    "skew_taxonomy": skew_taxonomy,
     "outer_left_four_route": _typed("left"),
     "outer_right_four_route": _typed("right"),
     "outer_full_four_route": _typed("full"),
@@ -311,6 +330,7 @@ FROM r JOIN s ON a = b LEFT JOIN cls ON a = key GROUP BY 1""",
     "merge_gather": f"WITH {SINGLE.ctes()} SELECT 2::BIGINT AS node, count(*) AS n FROM r JOIN s ON a = b",
     "merge_count_through": f"WITH {ZIPF.ctes()} SELECT a AS key, count(*) AS pairs FROM r JOIN s ON a = b GROUP BY a",
     "four_route_sets": _SETS_SQL,
+    "skew_taxonomy": _TAXONOMY_SQL,
     "outer_left_four_route": _typed_sql("left"),
     "outer_right_four_route": _typed_sql("right"),
     "outer_full_four_route": _typed_sql("full"),

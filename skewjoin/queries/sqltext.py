@@ -98,5 +98,16 @@ def sweep(configs, policies, form: str = "complete") -> str:
     return "\nUNION ALL\n".join(f"({costs(w, policies, g, form, _literal(c))})" for c, w, g in configs)
 
 
+def loads(configs, policies) -> str:
+    """Observed work of the busiest node for several configurations and strategies."""
+    return "\nUNION ALL\n".join(
+        f"""(SELECT {_literal(c)} AS config, '{p}' AS strategy, max(w)::BIGINT AS busiest_work, sum(w)::BIGINT AS all_work, round(max(w) * {w.n} / sum(w), 6) AS max_over_mean FROM (
+WITH {routed(w, p)},
+rk AS (SELECT dst, a AS key, count(*) AS r FROM rd GROUP BY 1, 2), sk AS (SELECT dst, b AS key, count(*) AS s FROM sd GROUP BY 1, 2)
+SELECT dst, sum(coalesce(r, 0) + coalesce(s, 0) + coalesce(r, 0) * coalesce(s, 0)) AS w FROM rk FULL JOIN sk USING (dst, key) GROUP BY dst) t)"""
+        for c, w, _ in configs for p in policies
+    )
+
+
 def _literal(config) -> str:
     return f"'{config}'"
