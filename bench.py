@@ -75,6 +75,8 @@ def main() -> None:
             timed(f"{tag}_branches", lambda: pairs(strategies.branches(x, hot, POLICIES[chosen], w.n)))
             timed(f"{tag}_native_shj", lambda: pairs(baselines.shuffled_hash(x.r, x.s, on)))
             timed(f"{tag}_native_smj", lambda: pairs(baselines.sort_merge(x.r, x.s, on)))
+            with baselines.aqe_settings(spark, "256KB", 2.0):
+                timed(f"{tag}_native_aqe", lambda: pairs(baselines.aqe_skew(x.r, x.s, on)))
             timed(f"{tag}_native_bhj", lambda: pairs(x.r.join(F.broadcast(x.s), on)))
             timed(f"{tag}_native_salted", lambda: pairs(baselines.salted(x.r, x.s, "a", "b", 12, F.col("rh"))))
         x.r.unpersist()

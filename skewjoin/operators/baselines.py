@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from contextlib import contextmanager
+
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
@@ -25,16 +27,33 @@ def broadcast_all(r: DataFrame, s: DataFrame, on: Column, how: str = "inner", li
     return r.join(F.broadcast(s), on, how) if s.limit(limit + 1).count() <= limit else shuffled_hash(r, s, on, how)
 
 
-def aqe_skew(r: DataFrame, s: DataFrame, on: Column, threshold: str = "256MB", factor: float = 5.0) -> DataFrame:
-    """Spark's run-time splitting of large reducer partitions; it re-reads the partner for each split."""
-    conf = r.sparkSession.conf
-    conf.set("spark.sql.adaptive.enabled", "true")
-    conf.set("spark.sql.adaptive.skewJoin.enabled", "true")
-    conf.set("spark.sql.adaptive.skewJoin.skewedPartitionThresholdInBytes", threshold)
-    conf.set("spark.sql.adaptive.skewJoin.skewedPartitionFactor", str(factor))
+def aqe_skew(r: DataFrame, s: DataFrame, on: Column) -> DataFrame:
+    """Sort-merge join whose large reducer partitions Spark splits at run time, re-reading the partner for each
+    split; it acts by bytes, after the map stage, under the session's settings (see `aqe_settings`)."""
     return r.join(s.hint("merge"), on)
 
 
+@contextmanager
+def aqe_settings(spark: SparkSession, threshold: str = "256MB", factor: float = 5.0):
+    """Run actions with other thresholds of run-time splitting, and put the session's own back."""
+    prefix = "spark.sql.adaptive."
+    wanted = {
+        "enabled": "true", "skewJoin.enabled": "true", "skewJoin.skewedPartitionThresholdInBytes": threshold, "skewJoin.skewedPartitionFactor": str(factor),
+        "advisoryPartitionSizeInBytes": threshold,
+    }
+    before = {k: spark.conf.get(prefix + k, None) for k in wanted}
+    try:
+        for k, v in wanted.items():
+            spark.conf.set(prefix + k, v)
+        yield
+    finally:
+        for k, v in before.items():
+            if v is None:
+                spark.conf.unset(prefix + k)
+            else:
+                spark.conf.set(prefix + k, v)
+
+
 def salted(r: DataFrame, s: DataFrame, a: str, b: str, salts: int, row_hash: Column, keys: list | None = None) -> DataFrame:
     """Probe rows get one of `salts` salts, build rows all of them; only for the given keys if there are any."""
     hot = lambda c: F.lit(True) if keys is None else F.col(c).isin(*keys)

@@ -35,7 +35,7 @@ QUERIES = {
     "base_smj": _simple(lambda x, w: baselines.sort_merge(x.r, x.s, _ON())),
     "base_bhj": _simple(lambda x, w: baselines.broadcast_all(x.r, x.s, _ON())),
     "base_nlj": _simple(lambda x, w: baselines.nested_loop(x.r, x.s, (F.col("a") <= F.col("b")) & (F.col("b") <= F.col("a"))), _NLJ),
-    "base_aqe": _simple(lambda x, w: baselines.aqe_skew(x.r, x.s, _ON(), "64KB", 2.0)),
+    "base_aqe": _simple(lambda x, w: baselines.aqe_skew(x.r, x.s, _ON())),
     "base_salted": _simple(lambda x, w: baselines.salted(x.r, x.s, "a", "b", 4, F.col("rh"))),
     "base_salted_hot": _simple(lambda x, w: baselines.salted(x.r, x.s, "a", "b", 8, F.col("rh"), [1, 2, 3])),
     "base_range_split": _simple(lambda x, w: baselines.range_split(x.r, x.s, "a", "b", 6, F.col("rh"))),

@@ -114,3 +114,28 @@ def test_sources_and_sinks(spark, tmp_path, kind):
     if kind in ("csv", "json"):
         with pytest.raises(ValueError):
             catalog.read(spark, str(tmp_path / kind), kind)
+
+
+def test_experiments_by_name(spark, small):
+    """Every experiment runs on the smallest tables; times only where asked for."""
+    from skewjoin.plans import experiments as e
+
+    for fn in (e.w6_scenarios, e.w7_merge_kind, e.w8_intro, e.w9_micro, e.w12_no_skew):
+        assert fn(spark, small).where("chosen").count() >= 1
+    assert e.w1_ratio(spark, small, (1, 10)).count() == 6 and e.w2_zipf(spark, small, (1.2,)).count() == 3
+    assert e.w3_scaleout(spark, small, (3,), measure="load").count() == 3
+    assert e.w4_threshold(spark, small, (0.06,)).count() == e.w5_gateway(spark, small, (0,)).count() == e.w10_p_sweep(spark, small, (0.1,)).count() == 3
+    assert e.w11_replica_seeds(spark, small, (0, 1)).count() == 6
+    assert e.w13_natural(spark, small).count() == 4 and e.w14_filtered(spark, small).count() and e.w15_intermediate(spark, small).count()
+    timed = e.w6_scenarios(spark, small, measure="time", runs=1).collect()
+    assert len(timed) == 9 and all(r["seconds"] > 0 for r in timed)
+    none = {r["strategy"]: r["busiest_work"] for r in e.w12_no_skew(spark, small, measure="load").collect()}
+    assert len(set(none.values())) == 1
+
+
+def test_adaptive_settings_are_put_back(spark):
+    name = "spark.sql.adaptive.skewJoin.skewedPartitionFactor"
+    before = spark.conf.get(name)
+    with baselines.aqe_settings(spark, "64KB", 2.0):
+        assert float(spark.conf.get(name)) == 2.0
+    assert spark.conf.get(name) == before
