@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from ..plans import classify, cost, placement
 from ..plans.classify import HotKey
-from .routes import HASH, POLICIES, REPLICATE, SCATTER, STAY, Policy
+from .routes import HASH, POLICIES, REPLICATE, SCATTER, STAY, Policy, fan_out
 from .strategies import Sides, branches, routed
 
 #: Tried in this order; a later one must be strictly cheaper.
@@ -155,7 +155,7 @@ def skew_join(r: DataFrame, s: DataFrame, a: str, b: str, strategy: str = "auto"
     pairs, rows = sum(h.r * h.s for h in hot), sum(h.r + h.s for h in hot)
     if physical == "branches" or (physical == "auto" and how == "inner" and residual is None and pairs < PAIRS_A_ROW * rows):
         return branches(x, hot, policy, n).drop("branch")
-    return routed(x, hot, policy, n, how, residual).drop("dst", "r_src", "s_src")
+    return routed(x, hot, policy, n, how, residual, fan=fan_out(hot, policy, n)).drop("dst", "r_src", "s_src")
 
 
 def sql_join(spark: SparkSession, left_sql: str, right_sql: str, a: str, b: str, **options) -> DataFrame:

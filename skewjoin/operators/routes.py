@@ -82,43 +82,65 @@ def _scatter(kind: str, row_hash: Column, n: int, seed: int) -> Column:
     raise ValueError(kind)
 
 
-def destinations(side: str, key: str, hot: list[HotKey], policy: Policy, n: int, row_hash: Column, owner: Column, scatter: str = "rowhash", seed: int = 0) -> Column:
-    """array<int>: the nodes that a row goes to."""
+def fan_out(hot: list[HotKey], policy: Policy, n: int, slack: int = 2) -> dict:
+    """key -> number of nodes it is spread over: its share of the skewed work, with some slack.
+
+    Spreading every skewed value over all nodes copies its partner n times; with thousands of
+    nodes a value needs only as many as its work fills.  A staying side lies anywhere, so its
+    partner still goes everywhere.
+    """
+    work = {h.key: h.r + h.s + h.r * h.s for h in hot}
+    whole = sum(work.values()) or 1
+    return {
+        h.key: n if STAY in policy.of(h) else max(1, min(n, -(-slack * n * work[h.key] // whole)))
+        for h in hot
+    }
+
+
+def destinations(side: str, key: str, hot: list[HotKey], policy: Policy, n: int, row_hash: Column, owner: Column, scatter: str = "rowhash", seed: int = 0, fan: dict | None = None) -> Column:
+    """array<int>: the nodes that a row goes to; a value spread over k < n nodes uses those from its owner on."""
     at = 0 if side == "probe" else 1
-    everywhere = F.array(*[F.lit(i) for i in range(n)])
-    spread = _scatter(scatter, row_hash, n, seed)
     out = F.array(owner)
     groups: dict[tuple, list] = {}
     for h in hot:
         action = policy.of(h)[at]
         if action != HASH:
-            shape = grid_shape(n, max(h.r, 1), max(h.s, 1)) if action == GRID else None
-            groups.setdefault((action, shape), []).append(h.key)
-    for (action, shape), keys in groups.items():
+            k = min(n, (fan or {}).get(h.key, n))
+            shape = grid_shape(k, max(h.r, 1), max(h.s, 1)) if action == GRID else None
+            groups.setdefault((action, shape, k), []).append(h.key)
+
+    def nodes(first: Column | int, step: int, count: int, k: int) -> Column:
+        """count nodes first, first + step, ..., counted from node 0 or, if k < n, from the owner."""
+        if k == n and isinstance(first, int):
+            return F.array(*[F.lit(first + i * step) for i in range(count)])
+        base = F.lit(first) if isinstance(first, int) else first
+        if k < n:
+            base = base + owner
+        return F.transform(F.sequence(F.lit(0), F.lit(count - 1)), lambda i: F.pmod(base + i * step, F.lit(n)).cast("int"))
+
+    for (action, shape, k), keys in groups.items():
         if action == STAY:
             to = F.array(F.col("src").cast("int"))
         elif action == SCATTER:
-            to = F.array(spread)
+            to = nodes(_scatter(scatter, row_hash, k, seed), 1, 1, k)
         elif action == REPLICATE:
-            to = everywhere
+            to = nodes(0, 1, k, k)
         else:
             rows, cols = shape
             h = row_hash.cast("long")
             if side == "probe":
-                line = F.pmod(h, F.lit(rows).cast("long")).cast("int") * cols
-                to = F.array(*[(line + i).cast("int") for i in range(cols)])
+                to = nodes(F.pmod(h, F.lit(rows).cast("long")).cast("int") * cols, 1, cols, k)
             else:
-                line = F.pmod(h, F.lit(cols).cast("long")).cast("int")
-                to = F.array(*[(line + i * cols).cast("int") for i in range(rows)])
+                to = nodes(F.pmod(h, F.lit(cols).cast("long")).cast("int"), cols, rows, k)
         out = F.when(F.col(key).isin(*keys), to).otherwise(out)
     return out
 
 
-def send(df: DataFrame, side: str, key: str, hot: list[HotKey], policy: Policy, n: int, row_hash: Column | None = None, scatter: str = "rowhash", seed: int = 0, owner: Column | None = None) -> DataFrame:
+def send(df: DataFrame, side: str, key: str, hot: list[HotKey], policy: Policy, n: int, row_hash: Column | None = None, scatter: str = "rowhash", seed: int = 0, owner: Column | None = None, fan: dict | None = None) -> DataFrame:
     """One row per copy with its destination `dst`; `copied` where the row is replicated, `lead` on its first copy."""
     h = row_hash if row_hash is not None else F.xxhash64(*[F.col(c) for c in df.columns])
     own = owner if owner is not None else _owner(df, key, n)
-    to = destinations(side, key, hot, policy, n, h, own, scatter, seed)
+    to = destinations(side, key, hot, policy, n, h, own, scatter, seed, fan)
     return df.withColumn("__to", to).withColumn("copied", F.size("__to") > 1).withColumn("dst", F.explode("__to")).withColumn("lead", F.col("dst") == F.col("__to")[0]).drop("__to")
 
 

@@ -55,17 +55,19 @@ def safe_policy(policy: Policy, hot: list[HotKey], how: str, residual: bool) ->
     return POLICIES["hash_all"]
 
 
-def routed(x: Sides, hot: list[HotKey], policy: Policy, n: int, how: str = "inner", residual: Column | None = None, scatter: str = "rowhash") -> DataFrame:
+def routed(x: Sides, hot: list[HotKey], policy: Policy, n: int, how: str = "inner", residual: Column | None = None, scatter: str = "rowhash", fan: dict | None = None) -> DataFrame:
     """The join in routed form: columns of both sides, and `dst`.
 
+    `fan` limits the nodes that a key is spread over (see routes.fan_out); all n without it.
+
     Replicated rows are copied only for values that the other side has, so every one of them
     has a match somewhere: its null-extended copies at other nodes are dropped.  Semi joins
     keep single rows of copied keys by their first copy.
     """
     policy = safe_policy(policy, hot, how, residual is not None)
     hot = [h for h in hot if h.r and h.s] if how != "inner" else hot  # a value without partners is not copied
-    r = send(x.r, "probe", x.a, hot, policy, n, x.r_hash, scatter)
-    s = send(x.s, "build", x.b, hot, policy, n, x.s_hash, scatter)
+    r = send(x.r, "probe", x.a, hot, policy, n, x.r_hash, scatter, fan=fan)
+    s = send(x.s, "build", x.b, hot, policy, n, x.s_hash, scatter, fan=fan)
     r = r.withColumnsRenamed({"dst": "r_dst", "copied": "r_copied", "lead": "r_lead", "src": "r_src"}).repartitionById(n, F.col("r_dst"))
     s = s.withColumnsRenamed({"dst": "s_dst", "copied": "s_copied", "lead": "s_lead", "src": "s_src"}).repartitionById(n, F.col("s_dst"))
     on = (F.col("r_dst") == F.col("s_dst")) & (F.col(x.a) == F.col(x.b))

@@ -7,7 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from skewjoin.operators.dispatch import choose, choose_per_value, observe, profile_of, skew_join
-from skewjoin.operators.routes import HASH, POLICIES, REPLICATE, Policy, grid_shape, partition, send
+from skewjoin.operators.routes import HASH, POLICIES, REPLICATE, Policy, fan_out, grid_shape, partition, send
 from skewjoin.operators.strategies import Sides, branches, routed
 from skewjoin.plans import classify, cost, metrics, stats
 from skewjoin.plans.classify import BOTH_PROBE, BUILD_ONLY, PROBE_ONLY, HotKey
@@ -113,6 +113,7 @@ def test_random_inputs_meet_once(spark, seed):
         assert pairs(routed(x, hot, policy, n)) == want, name
         if n == 1:
             assert metrics.moved(x, hot, policy, 1).agg(F.sum("moved")).first()[0] == 0
+        assert pairs(routed(x, hot, policy, n, fan={h.key: 1 + i % n for i, h in enumerate(hot) if "STAY" not in policy.of(h)})) == want, name
     assert pairs(branches(x, hot, POLICIES["four_route"], n)) == want
     assert pairs(branches(x, hot, POLICIES["scatter_replicate"], n, limit=0)) == want  # nothing may be broadcast
     assert pairs(routed(x, hot, choose_per_value(profile), n)) == want
@@ -181,6 +182,13 @@ def test_partition_is_a_cover(example):
         partition(x.r, "a", hot, "neither")
 
 
+def test_fan_out_follows_the_work():
+    hot = [HotKey(1, BOTH_PROBE, 900, 900), HotKey(2, BOTH_PROBE, 90, 90), HotKey(3, PROBE_ONLY, 500, 1)]
+    fan = fan_out(hot, POLICIES["four_route"], 1000)
+    assert fan[1] == 1000 and 10 < fan[2] < 30 and fan[3] == 1000
+    assert fan_out([], POLICIES["four_route"], 10) == {}
+
+
 def test_grid_shape_divides():
     for n in (1, 2, 3, 4, 6, 7, 12):
         a, c = grid_shape(n, 1000, 10)
