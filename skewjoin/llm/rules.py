@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import column, map_batches, slices
+from .common import column, map_batches, slices, stage
 from .wordhash import Words, buffers, mix64, spans_hash, windows
 
 #: Ratios in permille (word length in tenths), the smallest spread a fence may use, and whether it has a lower side.
@@ -169,7 +169,8 @@ def fences(counters: DataFrame) -> DataFrame:
 
 def apply_rules(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Every row with its measures, base_failed and kept."""
-    rows = with_ratios(base_measures(docs, id_col, text_col))
+    # measured once, read twice: for the sketches and for the filter
+    rows = with_ratios(stage(base_measures(docs, id_col, text_col), "measures"))
     limits = fences(sketch(rows)).select(F.col("lang").alias("g_lang"), F.col("source").alias("g_source"), *[f"{r}_{s}" for r in RATIOS for s in ("lo", "hi")])
     joined = rows.join(limits, F.col("lang").eqNullSafe(F.col("g_lang")) & F.col("source").eqNullSafe(F.col("g_source")), "left")
     within = F.lit(True)
