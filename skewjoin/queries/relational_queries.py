@@ -37,7 +37,7 @@ def ranked(spark, d):
 
 
 def running(spark, d):
-    e = load(spark, d, "events").where("user_id < 50").select("user_id", "event_id", (F.col("event_id") % 11).alias("v"))
+    e = load(spark, d, "events").select("user_id", "event_id", (F.col("event_id") % 11).alias("v"))
     return rel.running(e, ["user_id"], [F.col("event_id")], "v").fillna(-1, ["prev", "next"])
 
 
@@ -184,7 +184,7 @@ ORACLES = {
     "window_topk_orders": "SELECT * FROM (SELECT o_orderpriority, o_orderkey, round(o_totalprice, 2) AS price, row_number() OVER (PARTITION BY o_orderpriority ORDER BY round(o_totalprice, 2) DESC, o_orderkey) AS place FROM orders) WHERE place <= 3",
     "window_ranked_suppliers": "SELECT s_suppkey, row_number() OVER w AS rn, rank() OVER w AS rk, dense_rank() OVER w AS dr, ntile(4) OVER w AS qt FROM supplier WINDOW w AS (PARTITION BY s_nationkey ORDER BY s_suppkey)",
     "window_running_events": """SELECT user_id, event_id, event_id % 11 AS v, sum(event_id % 11) OVER (w ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW)::BIGINT AS run, coalesce(lag(event_id % 11) OVER w, -1) AS prev, coalesce(lead(event_id % 11) OVER w, -1) AS next,
-  sum(event_id % 11) OVER (w ROWS BETWEEN 1 PRECEDING AND 1 FOLLOWING)::BIGINT AS three FROM events WHERE user_id < 50 WINDOW w AS (PARTITION BY user_id ORDER BY event_id)""",
+  sum(event_id % 11) OVER (w ROWS BETWEEN 1 PRECEDING AND 1 FOLLOWING)::BIGINT AS three FROM events WINDOW w AS (PARTITION BY user_id ORDER BY event_id)""",
     "asof_click": f"WITH {_CLICKS} SELECT event_id, coalesce(click_id, -1) AS last_click FROM (SELECT * FROM events WHERE event_type = 'purchase') e ASOF LEFT JOIN c ON e.user_id = c.user_id AND e.ts >= c.ts",
     "interval_click": "SELECT x.event_id, y.event_id AS other_id FROM events x JOIN events y ON x.user_id = y.user_id AND abs(epoch_us(x.ts) - epoch_us(y.ts)) <= 21600000000 WHERE x.event_type = 'purchase' AND y.event_type = 'click'",
     "range_join_bands": "SELECT CASE WHEN c_custkey < 100 THEN 0 WHEN c_custkey < 1000 THEN 1 ELSE 2 END::BIGINT AS band, count(*) AS n FROM customer WHERE c_custkey >= 0 AND c_custkey < 1000000 GROUP BY 1",
