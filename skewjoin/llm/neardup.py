@@ -205,6 +205,8 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     """(doc_id, n_shingles, component_id, kept) of every row of docs (doc_id, text)."""
     feats = stage(features(docs, k), "minhash")
     classes = feats.where("n > 0").groupBy("n", "d1", "d2").agg(F.min("doc_id").alias("class_id"))
+    # staged, so that the join deals both sides itself and may split a large group of copies
+    classes = stage(classes, "classes")
     member = feats.select("doc_id", "n", "d1", "d2").join(classes, ["n", "d1", "d2"], "left").select("doc_id", "n", "class_id")
     member = stage(member, "classes")
     reps = member.where("doc_id = class_id").select("doc_id").distinct()
