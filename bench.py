@@ -69,7 +69,7 @@ def main() -> None:
             extra[f"{tag}_{name}_busiest"] = round(cost.join_phase(profile, POLICIES["flow" if name.endswith("grid") else name]))
         chosen = choose(profile).strategy
         extra[f"{tag}_chosen"] = chosen
-        timed(f"{tag}_skew_join", lambda: pairs(skew_join(x.r, x.s, "a", "b", p=w.p, n=w.n, hot=hot)))
+        timed(f"{tag}_skew_join", lambda: pairs(skew_join(x.r, x.s, "a", "b", p=w.p, n=w.n, hot=hot, profile=profile)))
         if with_native:
             on = F.col("a") == F.col("b")
             timed(f"{tag}_branches", lambda: pairs(strategies.branches(x, hot, POLICIES[chosen], w.n)))

@@ -129,17 +129,20 @@ def choose_per_value(profile: cost.Profile, gateway: int | None = None) -> Polic
     return Policy("per_value", POLICIES["hash_all"].actions, special)
 
 
-def skew_join(r: DataFrame, s: DataFrame, a: str, b: str, strategy: str = "auto", p: float = 0.05, n: int | None = None, how: str = "inner", residual: Column | None = None, gateway: int | None = None, hot: list[HotKey] | None = None, form: str = "complete", physical: str = "auto") -> DataFrame:
+def skew_join(r: DataFrame, s: DataFrame, a: str, b: str, strategy: str = "auto", p: float = 0.05, n: int | None = None, how: str = "inner", residual: Column | None = None, gateway: int | None = None, hot: list[HotKey] | None = None, form: str = "complete", physical: str = "auto", profile: cost.Profile | None = None) -> DataFrame:
     """Join r and s on r.a = s.b with skewed keys treated apart.
 
-    Without skew this is a plain join, at no extra cost.  `hot` takes known statistics and saves
-    the detection job.  physical: 'routed', 'branches', or 'auto': branches for inner joins without
+    Without skew this is a plain join, at no extra cost.  `hot` and `profile` take known
+    statistics and placement and save the jobs that find them.  physical: 'routed', 'branches', or 'auto': branches for inner joins without
     a residual predicate whose skewed keys make few pairs for each row, since there the rows that
     stay are what is saved; where pairs dominate, the routed form, whose one join feeds whatever
     follows without a union in between.
     """
     n = n or int(r.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    if hot is None:
+    placed = "src" in r.columns and "src" in s.columns
+    if hot is None and placed:
+        hot, profile = observe(Sides(r, s, a, b), p, n)
+    elif hot is None:
         hot = classify.find(r, s, a, b, p)
     if not hot or strategy == "hash_all":
         on = F.col(a) == F.col(b)
@@ -147,9 +150,10 @@ def skew_join(r: DataFrame, s: DataFrame, a: str, b: str, strategy: str = "auto"
     keyed = lambda df: df if "src" in df.columns else df.withColumn("src", placement.physical())
     x = Sides(keyed(r), keyed(s), a, b)
     if strategy == "auto":
-        even = [cost.HotLoad(h, 0, tuple([h.r // n] * n), tuple([h.s // n] * n)) for h in hot]
-        known = "src" in r.columns and "src" in s.columns
-        profile = profile_of(x, hot, n) if known else cost.Profile(n, tuple(even))
+        if profile is None and placed:
+            profile = profile_of(x, hot, n)
+        elif profile is None:
+            profile = cost.Profile(n, tuple(cost.HotLoad(h, 0, tuple([h.r // n] * n), tuple([h.s // n] * n)) for h in hot))
         strategy = choose(profile, gateway, form).strategy
     policy = POLICIES[strategy]
     pairs, rows = sum(h.r * h.s for h in hot), sum(h.r + h.s for h in hot)
