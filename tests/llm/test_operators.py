@@ -184,6 +184,31 @@ def test_embeddings_against_brute_force(spark):
     assert np.mean([got[i][1] == root[i] for i in range(len(x))]) >= 0.98
 
 
+def test_embeddings_in_a_dense_region_keep_their_links(spark):
+    """True partners that have many closer non-links by Hamming distance are found all the same."""
+    rng = np.random.default_rng(12)
+    dim, n, dense = 64, 2700, 700
+    centre = rng.normal(size=dim)
+    centre /= np.linalg.norm(centre)
+    noise = rng.normal(size=(dense, dim))
+    noise /= np.linalg.norm(noise, axis=1)[:, None]
+    x = np.concatenate([centre + noise * 0.42, rng.normal(size=(n - dense, dim))])  # most cosines of the region lie a little under 0.9
+    u = x / np.linalg.norm(x, axis=1)[:, None]
+    for i in range(0, dense, 14):  # a partner at a cosine of about 0.905
+        side = rng.normal(size=dim)
+        side -= (side @ u[i]) * u[i]
+        u[i + 1] = 0.905 * u[i] + np.sqrt(1 - 0.905**2) * side / np.linalg.norm(side)
+    df = spark.createDataFrame([(int(i), [float(v) for v in r]) for i, r in enumerate(u)], "vec_id long, embedding array<double>").repartition(4)
+    got = {r["vec_id"]: (r["n_links"], r["component_id"]) for r in embdup.near_vectors(df).collect()}
+    near = u @ u.T >= 0.9
+    np.fill_diagonal(near, False)
+    assert sum(got[i][0] for i in range(n)) >= 0.995 * near.sum()
+    root = np.arange(n)
+    for _ in range(100):
+        root = np.minimum(root, np.where(near, root[None], n).min(1))
+    assert np.mean([got[i][1] == root[i] for i in range(n)]) >= 0.99
+
+
 def test_rotation_is_orthogonal_and_balanced():
     rng = np.random.default_rng(1)
     x = rng.normal(size=(500, 32))
