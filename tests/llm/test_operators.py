@@ -12,7 +12,8 @@ from hypothesis import strategies as st
 
 import corpus_pipeline
 from oracle import assert_same, connect
-from skewjoin.llm import embdup, neardup, queries, sptok, substr, wordhash
+from pyspark.sql import functions as F
+from skewjoin.llm import embdup, neardup, queries, sptok, substr, toxicity, wordhash
 from skewjoin.llm.common import components
 
 
@@ -323,6 +324,25 @@ def test_toxicity_on_held_out_rows(spark, oracle_dir):
     assert auc > 0.75
 
 
+def test_toxicity_learns_from_the_ends_of_long_texts(spark):
+    """Toxic passages that stand after thousands of calm characters, in every labelled text, are counted."""
+    rng = random.Random(4)
+    calm = lambda n: " ".join(rng.choice(CALM) + rng.choice("aeiou") for _ in range(n))
+    rows = [(i, calm(1200) + (f" vile brute go away {calm(1)}" * 6 if i % 3 == 0 else ""), int(i % 3 == 0)) for i in range(240)]
+    docs = spark.createDataFrame([(i, t) for i, t, _ in rows], "doc_id long, text string").repartition(3)
+    labels = spark.createDataFrame([(i, y) for i, _, y in rows], "doc_id long, toxic int")
+    model = toxicity.fit(docs, labels, F.lit(True))
+    probe = spark.createDataFrame([(1, calm(60)), (2, calm(30) + " vile brute go away" * 4)], "doc_id long, text string")
+    got = {r["doc_id"]: r["score"] for r in toxicity.score(probe, model).collect()}
+    assert got[2] > 0.5 > got[1]
+    words = {n: int(toxicity._tokens(*wordhash.buffers(pa.array([n])))[0][0]) for n in ("vile", "brute")}
+    at = np.searchsorted(model.kn.vocab, np.array(list(words.values()), dtype=np.uint64))
+    assert (model.kn.vocab[at] == list(words.values())).all()
+
+
+CALM = ["river", "hill", "tree", "cloud", "stone", "field", "bridge", "garden", "lamp", "winter", "bread", "paper"]
+
+
 # ---- the pipeline against the stages' definitions ----
 
 
