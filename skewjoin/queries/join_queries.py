@@ -10,7 +10,7 @@ from ..operators.dispatch import choose_per_value, observe, skew_join
 from ..operators.routes import POLICIES, partition
 from ..operators.strategies import Sides, routed
 from ..plans import classify, metrics, stats
-from ..plans.workloads import Workload, intro, literal, micro, natural
+from ..plans.workloads import FULL_R, FULL_S, Workload, intro, literal, micro, natural
 from ..sources.catalog import load
 from . import sqltext
 
@@ -340,3 +340,21 @@ FROM r JOIN s ON a = b LEFT JOIN cls ON a = key GROUP BY 1""",
     "residual_inner": _typed_sql("inner", True),
     "residual_fallback": _typed_sql("full", True),
 } | {n: _by_key_sql(*v) for n, v in _LITERALS.items()} | {f"route_sizes_{p}": _routes_sql(p) for p in NAMES} | {f"route_moved_{p}": _moved_sql(p) for p in NAMES} | {f"route_node_load_{p}": _load_sql(p) for p in NAMES}
+
+# ---- the same over all rows of both tables: sizes that no experiment prints are not selected by ----
+
+_OUTER_WHOLE, _SINGLE_WHOLE = _OUTER.with_(n_r=FULL_R, n_s=FULL_S), SINGLE.with_(n_r=FULL_R, n_s=FULL_S)
+_TYPED = {
+    "outer_left_four_route": ("left", "four_route", False),
+    "outer_right_four_route": ("right", "four_route", False),
+    "outer_full_four_route": ("full", "four_route", False),
+    "outer_full_stay_replicate": ("full", "stay_replicate", False),
+    "semi_four_route": ("left_semi", "four_route", False),
+    "anti_four_route": ("left_anti", "four_route", False),
+    "residual_inner": ("inner", "four_route", True),
+    "residual_fallback": ("full", "four_route", True),
+}
+QUERIES |= {f"{name}_whole": _typed(*v, w=_OUTER_WHOLE) for name, v in _TYPED.items()}
+ORACLES |= {f"{name}_whole": _typed_sql(how, residual, w=_OUTER_WHOLE) for name, (how, _, residual) in _TYPED.items()}
+QUERIES |= {f"join_{p}_single_whole": _join(_SINGLE_WHOLE, p) for p in NAMES} | {f"route_moved_{p}_whole": _moved(p, _SINGLE_WHOLE) for p in NAMES} | {f"route_node_load_{p}_whole": _load(p, _SINGLE_WHOLE) for p in NAMES}
+ORACLES |= {f"join_{p}_single_whole": _per_key_sql(_SINGLE_WHOLE) for p in NAMES} | {f"route_moved_{p}_whole": _moved_sql(p, _SINGLE_WHOLE) for p in NAMES} | {f"route_node_load_{p}_whole": _load_sql(p, _SINGLE_WHOLE) for p in NAMES}

@@ -242,3 +242,11 @@ def test_measures():
     assert metrics.speedup({3: 10.0, 12: 35.0}) == {3: 1.0, 12: 3.5}
     assert metrics.stability([1.0, 1.0]) == 0 and metrics.regret("a", {"a": 3.0, "b": 2.0}) == 1.5
     assert metrics.throughput(10, 5, 3) == 5 and metrics.cold_volume(8, 4, 4) == 9
+
+
+def test_whole_queries_read_every_row(spark, small):
+    """Semi and anti join together hold each row of lineitem once."""
+    from skewjoin.queries.join_queries import QUERIES
+
+    rows = [r["n"] for how in ("semi", "anti") for r in QUERIES[f"{how}_four_route_whole"](spark, small).collect()]
+    assert sum(rows) == spark.read.parquet(f"{small}/lineitem.parquet").count()
