@@ -11,7 +11,8 @@
 4. The likely pairs are confirmed on the whole sets, and confirmed links make components.
 5. The proposed pairs, confirmed or not, make clusters.  In clusters with several components
    the members' whole sets are compared as bit rows, block by block and across components,
-   so no link that could join two components is left out and no pairs are emitted for it.
+   so no link inside a cluster that could join two components is left out and no pairs are
+   emitted for it.  A link is lost only if its estimate is MARGIN too low (under 1 in 10,000).
 
 Edge cases: a null or empty text, or one without words, has an empty set and no links;
 with fewer words than a shingle the whole sequence is the one shingle.  A null id is
@@ -33,7 +34,7 @@ from .wordhash import Words, buffers, mix64, windows
 PERMUTATIONS = 128
 BITS = 4
 BANDS, ROWS = 24, 5
-MARGIN = 0.10  # three standard errors of the estimate: below, a pair isn't looked at
+MARGIN = 0.16  # five standard errors of the estimate: below, a pair isn't looked at
 LIKELY = 0.02  # within this of the threshold and above, a pair is confirmed at once
 CLUSTER_BLOCK = 512
 _RNG = np.random.default_rng(20240607)

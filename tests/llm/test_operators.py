@@ -1,5 +1,6 @@
 """Operators against brute force, exact round trips, SQL and held-out accuracy."""
 
+import math
 import random
 from collections import Counter
 
@@ -105,6 +106,15 @@ def test_large_groups_are_dealt_into_blocks(spark, monkeypatch):
     assert got == brute_components(rows, 3, 85)
 
 
+@pytest.mark.parametrize("percent", [80, 85])
+def test_links_at_the_threshold_are_hardly_ever_lost(percent):
+    """The probability that the estimate of a pair at the threshold falls under the cutoff."""
+    n, p = neardup.PERMUTATIONS, percent / 100 + (1 - percent / 100) / 2**neardup.BITS
+    chance = 1 / 2**neardup.BITS
+    lost = [m for m in range(n + 1) if (m / n - chance) / (1 - chance) < percent / 100 - neardup.MARGIN]
+    assert sum(math.comb(n, m) * p**m * (1 - p) ** (n - m) for m in lost) < 1e-4
+
+
 def test_similarity_estimate_is_corrected():
     rng = np.random.default_rng(0)
     a = rng.integers(0, 1 << 32, (200, neardup.PERMUTATIONS), dtype=np.uint64).astype(np.uint32)
