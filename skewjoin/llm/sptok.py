@@ -3,49 +3,55 @@
 A public BPE vocabulary with scores and byte fallback is read, never trained.  Text gets
 the usual leading space and spaces become the space mark; as no piece reaches over the end
 of a word, words are encoded one by one.  Each word keeps an agenda of candidate merges,
-best score first, leftmost among equals; a candidate that comes up is skipped if a keyed
-hash of seed, variant, word and place falls under `dropout`, and a merge puts its new
-neighbours on the agenda.  So the segmentations vary with seed and variant (documents are
-dealt over VARIANTS of them), the pieces stay results of merges, and a rerun agrees.
+best score first, leftmost among equals; the candidate that comes up t-th is skipped if a
+keyed hash of seed, document, place of the word in the document and t falls under
+`dropout` (in steps of 1 / 65536), and a merge puts its new neighbours on the agenda.  So
+every occurrence of a word draws its own segmentation, the pieces stay results of merges,
+and a rerun agrees.  Rows that share an id and a text share their segmentation.
+
+What an agenda does depends only on the word and on which of its candidates are skipped.
+So each word is the root of a tree: a node is a set of skipped places, and holds the
+pieces; an occurrence walks from the root along its own skips, which for most ends at the
+root or a step below.  Nodes are made once for a task, all new ones of a slice together,
+in lockstep in numpy; a task forgets its nodes when there are more than NODES.
 
 Decoding is lossless for every text: characters outside the vocabulary, and literal space
-marks, are spelled in bytes.
+marks, are spelled in bytes.  Every text is decoded and compared after encoding.
 
-Words of up to LOCKSTEP characters run through the agenda in lockstep, one step of all
-words of a length at a time in numpy; longer ones use a heap.  Both give equal results.
+Words of more than LOCKSTEP characters may meet more candidates than a node has bits; each
+occurrence of such a word runs through a heap.  Both give equal results.
 
-Edge cases: a null or empty text has no pieces (a null decodes to null).
+Edge cases: a null or empty text has no pieces (a null decodes to null); a null id draws as 0.
 """
 
 from __future__ import annotations
 
 import hashlib
 import heapq
-import re
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import column, map_batches, slices, small_batches
-from .wordhash import buffers, mix64
+from .common import column, map_batches, released, slices, small_batches
+from .wordhash import buffers, mix64, spans_hash
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 DROPOUT = 0.1
 SEED = 11
-VARIANTS = 4
-LOCKSTEP = 48
-CACHE = 120_000  # words remembered per variant and task
+LOCKSTEP = 22  # at most 3 * (characters - 1) candidates come up: 63 bits
+NODES = 800_000  # remembered by a task
+_LANES = 4  # decisions of one hash
 MARK, LITERAL_MARK = "▁", "\udc81"  # a lone surrogate can't occur in a text
 _NONE = np.int32(2**31 - 1)
 
 
-SLOTS = 1 << 20
+SLOT_BITS = 19
 
 
 def _slot(key: np.ndarray) -> np.ndarray:
-    return (mix64(key.view(np.uint64) if key.dtype == np.int64 else key, 60) % np.uint64(SLOTS)).astype(np.int64)
+    return ((key.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - SLOT_BITS)).astype(np.int64)
 
 
 class Vocabulary:
@@ -68,11 +74,11 @@ class Vocabulary:
         self.keys = np.array(keys, dtype=np.int64)[by]
         self.merged = np.array(merged, dtype=np.int32)[by]
         self.ranks = np.array(ranks, dtype=np.int32)[by]
-        self.slots: np.ndarray | None = None
+        self.slots: tuple | None = None
         multi = "".join(p for p in self.id if len(p) > 1)
-        # white space that no longer piece holds ends a word as well
-        apart = [c for c in "\t\n\u000b\f\r" if c not in multi]
-        self.split = re.compile(f"{MARK}+[^{MARK}{''.join(apart)}]*|[^{MARK}{''.join(apart)}]+|[{''.join(apart)}]" if apart else f"{MARK}+[^{MARK}]*|[^{MARK}]+")
+        # white space that no longer piece holds is a word of its own
+        self.apart = np.zeros(256, dtype=bool)
+        self.apart[[ord(c) for c in "\t\n\u000b\f\r" if c not in multi]] = True
         if any(MARK in p.lstrip(MARK) for p in self.id):
             raise ValueError("a piece reaches over the end of a word")
         back = {v: k for k, v in bytes_.items()}
@@ -81,36 +87,36 @@ class Vocabulary:
         self.at = np.cumsum(self.size) - self.size
         self.blob = np.frombuffer(b"".join(spelled), dtype=np.uint8)
 
-    def _table(self) -> np.ndarray:
-        """Open addressing: index into keys + 1 of each slot, 0 where free; filled at first use, not shipped."""
+    def _table(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Open addressing: key, rank and piece of each slot, key -2 where free; filled at first use, not shipped."""
         if self.slots is None:
-            slots = np.zeros(SLOTS, dtype=np.int32)
+            slots = np.full(1 << SLOT_BITS, -1, dtype=np.int32)
             left, place = np.arange(len(self.keys)), _slot(self.keys)
             while len(left):
-                place = place % SLOTS
-                free = slots[place] == 0
-                slots[place[free]] = left[free] + 1  # of several for one slot the last stays
-                lost = slots[place] != left + 1
+                place = place % len(slots)
+                free = slots[place] < 0
+                slots[place[free]] = left[free]  # of several for one slot the last stays
+                lost = slots[place] != left
                 left, place = left[lost], place[lost] + 1
-            self.slots = slots
+            free = slots < 0
+            self.slots = np.where(free, -2, self.keys[slots]), np.where(free, _NONE, self.ranks[slots]), np.where(free, np.int32(-1), self.merged[slots])
         return self.slots
 
     def pair(self, a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(rank, piece) of the merge of each pair of symbols; rank _NONE where there is none."""
-        key = (a.astype(np.int64) << 20) | b.astype(np.int64)
+        key = (a.astype(np.int64) << 20) | b
         key[(a < 0) | (b < 0)] = -1
-        slots = self._table()
+        keys, ranks, pieces = self._table()
         place = _slot(key)
-        at = slots[place]
-        found = np.where((at > 0) & (self.keys[at - 1] == key), at, 0)
-        open_ = np.flatnonzero((at > 0) & (found == 0))
+        at = keys[place]
+        lost = at != key
+        open_ = np.flatnonzero(lost & (at != -2))
         while len(open_):  # slots taken by another key: look at the next
-            place[open_] = (place[open_] + 1) % SLOTS
-            at = slots[place[open_]]
-            hit = (at > 0) & (self.keys[at - 1] == key[open_])
-            found[open_[hit]] = at[hit]
-            open_ = open_[(at > 0) & ~hit]
-        return np.where(found > 0, self.ranks[found - 1], _NONE), np.where(found > 0, self.merged[found - 1], -1)
+            place[open_] = (place[open_] + 1) % len(keys)
+            at = keys[place[open_]]
+            lost[open_] = at != key[open_]
+            open_ = open_[(at != -2) & (at != key[open_])]
+        return np.where(lost, _NONE, ranks[place]), np.where(lost, np.int32(-1), pieces[place])
 
     def spell(self, char: str) -> list[int]:
         """Byte pieces of a character outside the vocabulary."""
@@ -145,105 +151,92 @@ def load(path: str = MODEL) -> Vocabulary:
     return Vocabulary(pieces, [sp.get_score(i) for i in range(n)], byte, normal)
 
 
-def _word_key(codes: np.ndarray) -> np.ndarray:
-    """A hash of each row of code points."""
-    h = np.full(codes.shape[0], codes.shape[1], dtype=np.uint64)
-    for j in range(codes.shape[1]):
-        h = mix64(h ^ codes[:, j].astype(np.uint64), 61)
-    return h
-
-
-def _dropped(word, start, mid, end, key: np.uint64, bound: np.uint64):
-    place = (start.astype(np.uint64) << np.uint64(42)) ^ (mid.astype(np.uint64) << np.uint64(21)) ^ end.astype(np.uint64)
-    return mix64(mix64(word ^ key, 62) ^ place, 63) < bound
-
-
 class Encoder:
     def __init__(self, vocab: Vocabulary, dropout: float = DROPOUT, seed: int = SEED):
         self.vocab, self.seed = vocab, seed
-        self.bound = np.uint64(min(int(dropout * 2**64), 2**64 - 1))
-
-    def _key(self, variant: int) -> np.uint64:
-        return mix64(np.array([self.seed * 1000003 + variant], dtype=np.uint64), 64)[0]
-
-    def words(self, words: list[str], variant: int) -> list[bytes]:
-        """The piece ids (int32, as bytes) of each word."""
-        out: list[bytes] = [b""] * len(words)
-        by: dict[int, list[int]] = {}
-        for i, w in enumerate(words):
-            if len(w) <= LOCKSTEP:
-                by.setdefault(len(w), []).append(i)
-            else:
-                out[i] = self.heap(w, variant)
-        for n, at in by.items():
-            for lo in range(0, len(at), 50_000):
-                part = at[lo : lo + 50_000]
-                for i, ids in zip(part, self._lockstep([words[i] for i in part], n, variant)):
-                    out[i] = ids
+        self.bound = min(max(round(dropout * 65536), 0), 65536)
+
+    def keys(self, doc: np.ndarray, place: np.ndarray) -> np.ndarray:
+        """The key of each occurrence of a word: seed, document (uint64) and place in it."""
+        return mix64(mix64(doc ^ np.uint64(self.seed * 0x9E3779B9), 64) + place.astype(np.uint64), 65)
+
+    def skips(self, keys: np.ndarray, block: int) -> np.ndarray:
+        """(n, _LANES) booleans: which of the candidates block * _LANES, ... are skipped."""
+        h = mix64(keys + np.uint64(block * 0xD1B54A32D192ED03 % 2**64), 66)
+        lanes = (h[:, None] >> (np.arange(_LANES, dtype=np.uint64) * np.uint64(16))) & np.uint64(0xFFFF)
+        return lanes < np.uint64(self.bound)
+
+    def mask(self, keys: np.ndarray, out: np.ndarray, upto: np.ndarray, since: np.ndarray | None = None) -> np.ndarray:
+        """Set the bits of the candidates below `upto` that are skipped; blocks below `since` are set already."""
+        for block in range(-(-int(upto.max(initial=0)) // _LANES)):
+            at = np.flatnonzero((upto > block * _LANES) & ((since <= block * _LANES) if since is not None else True))
+            if len(at):
+                bits = (self.skips(keys[at], block) << np.arange(_LANES)).sum(axis=1).astype(np.uint64)
+                out[at] |= bits << np.uint64(block * _LANES)
         return out
 
-    def _lockstep(self, words: list[str], n: int, variant: int):
-        v = self.vocab
-        codes = np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), dtype=np.uint32).reshape(len(words), n)
+    def lockstep(self, codes: np.ndarray, mask: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(pieces of all rows, number of each row's, candidates that came up) of words of one length.
+
+        codes: a row of code points for each word; mask: bit t says that the t-th candidate is skipped.
+        """
+        v, (m, n) = self.vocab, codes.shape
         chars, inverse = np.unique(codes, return_inverse=True)
         known = np.array([v.id.get(chr(c), -1) for c in chars], dtype=np.int32)
-        origin = inverse.reshape(codes.shape).astype(np.int32)
-        sym = known[origin]
-        word, key = _word_key(codes), self._key(variant)
-        start = np.broadcast_to(np.arange(n + 1, dtype=np.int32), (len(words), n + 1)).copy()
-        size = np.full(len(words), n)
+        sym = known[inverse.reshape(-1)]
+        alive, pops = np.ones(m * n, dtype=bool), np.zeros(m, dtype=np.int64)
         if n > 1:
-            rank, _ = v.pair(sym[:, :-1].reshape(-1), sym[:, 1:].reshape(-1))
-            rank = rank.reshape(len(words), n - 1).astype(np.int32)
+            # symbols stay at the place of their first character; left and right are the places of the neighbours
+            rank, piece = np.full((m, n), _NONE, dtype=np.int32), np.full((m, n), -1, dtype=np.int32)
+            wide = sym.reshape(m, n)
+            r, q = v.pair(wide[:, :-1].reshape(-1), wide[:, 1:].reshape(-1))
+            rank[:, :-1], piece[:, :-1] = r.reshape(m, n - 1), q.reshape(m, n - 1)
+            flat_rank, piece = rank.reshape(-1), piece.reshape(-1)
+            at = np.arange(m * n, dtype=np.int32).reshape(m, n)
+            right, left = at + 1, at - 1
+            right[:, -1] = left[:, 0] = -1
+            right, left = right.reshape(-1), left.reshape(-1)
             rows = np.flatnonzero(rank.min(axis=1) < _NONE)
-            cols = np.arange(n + 1)
             while len(rows):
-                r = rank[rows]
-                j = r.argmin(axis=1)
-                skip = _dropped(word[rows], start[rows, j], start[rows, j + 1], start[rows, np.minimum(j + 2, n)], key, self.bound)
-                rank[rows[skip], j[skip]] = _NONE
-                go, j = rows[~skip], j[~skip]
-                if len(go):
-                    _, merged = v.pair(sym[go, j], sym[go, j + 1])
-                    sym[go, j] = merged
-                    # close the gap: everything right of the merge moves one place left
-                    move = cols[None, :] + (cols[None, :] > j[:, None])
-                    sym[go] = np.take_along_axis(sym[go], np.minimum(move[:, :n], n - 1), axis=1)
-                    start[go] = np.take_along_axis(start[go], np.minimum(move, n), axis=1)
-                    rk = np.take_along_axis(rank[go], np.minimum(move[:, : n - 1], n - 2), axis=1)
-                    size[go] -= 1
-                    rk[cols[None, : n - 1] >= size[go][:, None] - 1] = _NONE
-                    rank[go] = rk
-                    left = j > 0
-                    a = go[left]
-                    rank[a, j[left] - 1] = v.pair(sym[a, j[left] - 1], sym[a, j[left]])[0]
-                    right = j + 1 < size[go]
-                    a = go[right]
-                    rank[a, j[right]] = v.pair(sym[a, j[right]], sym[a, j[right] + 1])[0]
-                rows = rows[rank[rows].min(axis=1) < _NONE]
-        # cut the remaining symbols of all rows out of one buffer; only words with unknown characters need a loop
-        live = np.arange(n)[None, :] < size[:, None]
-        flat = sym[live].tobytes()
-        end = (np.cumsum(size) * 4).tolist()
-        out = [flat[a:b] for a, b in zip([0, *end[:-1]], end)]
-        for i in np.flatnonzero(((sym < 0) & live).any(axis=1)):
-            ids: list[int] = []
-            for s, c in zip(sym[i, : size[i]].tolist(), start[i].tolist()):
-                ids += [s] if s >= 0 else v.spell(words[i][c])
-            out[i] = np.array(ids, dtype=np.int32).tobytes()
-        return out
-
-    def heap(self, text: str, variant: int) -> bytes:
-        """One word by a heap: n log n for any length."""
+                a = rows * n + rank[rows].argmin(axis=1)
+                open_ = flat_rank[a] < _NONE
+                rows, a = rows[open_], a[open_]
+                skip = (mask[rows] >> pops[rows].astype(np.uint64)) & np.uint64(1) > 0
+                pops[rows] += 1
+                flat_rank[a[skip]] = _NONE
+                a = a[~skip]
+                b = right[a]
+                c, p = right[b], left[a]
+                sym[a], alive[b], flat_rank[a], flat_rank[b], right[a] = piece[a], False, _NONE, _NONE, c
+                after, before = c >= 0, p >= 0
+                left[c[after]] = a[after]
+                one, two = np.concatenate([p[before], a[after]]), np.concatenate([a[before], c[after]])
+                flat_rank[one], piece[one] = v.pair(sym[one], sym[two])
+        size = alive.reshape(m, n).sum(axis=1)
+        flat = sym[alive]
+        strange = np.flatnonzero(((sym < 0) & alive).reshape(m, n).any(axis=1))
+        if len(strange):  # characters outside the vocabulary
+            first = np.concatenate([[0], np.cumsum(size)])
+            parts, done = [], 0
+            for i in strange:
+                ids: list[int] = []
+                for s, c in zip(flat[first[i] : first[i + 1]].tolist(), codes[i][alive[i * n : (i + 1) * n]].tolist()):
+                    ids += [s] if s >= 0 else v.spell(chr(c))
+                parts += [flat[done : first[i]], np.array(ids, dtype=np.int32)]
+                done = first[i + 1]
+                size[i] = len(ids)
+            flat = np.concatenate([*parts, flat[done:]])
+        return flat, size, pops
+
+    def heap(self, text: str, key: np.uint64) -> np.ndarray:
+        """One occurrence of a word by a heap: n log n for any length."""
         v, n = self.vocab, len(text)
-        codes = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), dtype=np.uint32)
-        word, key = _word_key(codes[None, :]) if n <= 4096 else self._long_key(codes), self._key(variant)
+        keys = np.array([key], dtype=np.uint64)
         sym = [v.id.get(c, -1) for c in text]
         prev, nxt = list(range(-1, n - 1)), list(range(1, n + 1))
         end = list(range(1, n + 1))
         alive = [True] * n
         agenda: list[tuple[int, int, int, int, int]] = []
-
         table: dict[int, tuple[int, int]] = {}
 
         def push(a: int) -> None:
@@ -260,12 +253,16 @@ class Encoder:
 
         for a in range(n - 1):
             push(a)
-        one = np.ones(1, dtype=np.int64)
+        t, skipped = 0, []
         while agenda:
             _, a, b, stop, merged = heapq.heappop(agenda)
             if not (alive[a] and b < n and alive[b]) or nxt[a] != b or end[b] != stop:
                 continue
-            if _dropped(word, one * a, one * b, one * stop, key, self.bound)[0]:
+            if t >= len(skipped):
+                blocks = range(len(skipped) // _LANES, len(skipped) // _LANES + 64)
+                skipped += np.concatenate([self.skips(keys, block)[0] for block in blocks]).tolist()
+            t += 1
+            if skipped[t - 1]:
                 continue
             sym[a], end[a], alive[b] = merged, stop, False
             nxt[a] = nxt[b]
@@ -279,78 +276,217 @@ class Encoder:
         while a < n:
             flat += [sym[a]] if sym[a] >= 0 else v.spell(text[a])
             a = nxt[a]
-        return np.array(flat, dtype=np.int32).tobytes()
+        return np.array(flat, dtype=np.int32)
 
-    @staticmethod
-    def _long_key(codes: np.ndarray) -> np.ndarray:
-        at = np.arange(len(codes), dtype=np.uint64)
-        return np.array([np.bitwise_xor.reduce(mix64(codes.astype(np.uint64) ^ (at << np.uint64(24)), 65))], dtype=np.uint64)
 
+class _Table:
+    """Sorted 64-bit keys and the numbers they stand for."""
 
-def marked(text: str) -> str:
-    """The text with the leading space and space marks; empty stays empty."""
-    return MARK + text.replace(MARK, LITERAL_MARK).replace(" ", MARK) if text else ""
+    def __init__(self):
+        self.keys, self.values = np.zeros(0, np.uint64), np.zeros(0, np.int32)
+
+    def find(self, keys: np.ndarray) -> np.ndarray:
+        """The number of each key, -1 where there is none."""
+        if not len(self.keys):
+            return np.full(len(keys), -1, dtype=np.int32)
+        at = np.minimum(np.searchsorted(self.keys, keys), len(self.keys) - 1)
+        return np.where(self.keys[at] == keys, self.values[at], np.int32(-1))
+
+    def add(self, keys: np.ndarray, values: np.ndarray) -> None:
+        """Add sorted new keys."""
+        at = np.searchsorted(self.keys, keys)
+        self.keys, self.values = np.insert(self.keys, at, keys), np.insert(self.values, at, values.astype(np.int32))
+
+
+class _Pool:
+    """A growing array that is written at its end."""
+
+    def __init__(self, kind):
+        self.data, self.n = np.zeros(1 << 12, dtype=kind), 0
+
+    def add(self, values: np.ndarray) -> None:
+        if self.n + len(values) > len(self.data):
+            grown = np.zeros(max(self.n + len(values), len(self.data) * 3 // 2), dtype=self.data.dtype)
+            grown[: self.n] = self.data[: self.n]
+            self.data = grown
+        self.data[self.n : self.n + len(values)] = values
+        self.n += len(values)
 
 
 class CorpusEncoder:
-    """Encodes texts, remembering a bounded number of words per variant."""
-
-    def __init__(self, encoder: Encoder, variants: int):
-        self.encoder, self.known = encoder, [dict() for _ in range(variants)]
-
-    def encode(self, texts: list[str | None], variant: list[int]) -> list[bytes]:
-        split = self.encoder.vocab.split.findall
-        words = [split(marked(t)) if t else [] for t in texts]
-        for v, known in enumerate(self.known):
-            if len(known) > CACHE:
-                known.clear()
-            new = set()
-            for ws, k in zip(words, variant):
-                if k == v:
-                    new.update(ws)
-            new = [w for w in new if w not in known]
-            known.update(zip(new, self.encoder.words(new, v)))
-        return [b"".join(map(self.known[k].__getitem__, ws)) for ws, k in zip(words, variant)]
-
-
-def encode(docs: DataFrame, vocab: Vocabulary, dropout: float = DROPOUT, seed: int = SEED, variants: int = VARIANTS, full: bool = True) -> DataFrame:
+    """Encodes texts, remembering a bounded number of nodes of the words' trees."""
+
+    def __init__(self, encoder: Encoder, nodes: int = NODES):
+        self.encoder, self.most = encoder, nodes
+        self._forget()
+
+    def _forget(self) -> None:
+        self.roots, self.children = _Table(), _Table()
+        # of a word: code points; of a node: its word, what it skips, candidates that come up, and its pieces
+        self.codes, self.code_at, self.code_n = _Pool(np.uint32), _Pool(np.int64), _Pool(np.int32)
+        self.word, self.skipped, self.pops = _Pool(np.int32), _Pool(np.uint64), _Pool(np.uint8)
+        self.pieces, self.piece_at, self.piece_n = _Pool(np.int32), _Pool(np.int64), _Pool(np.int32)
+
+    def _grow(self, word: np.ndarray, mask: np.ndarray) -> np.ndarray:
+        """New nodes for words and masks; their numbers."""
+        base, total = self.word.n, len(word)
+        n, pops = self.code_n.data[word], np.zeros(total, dtype=np.uint8)
+        at, count = np.zeros(total, dtype=np.int64), np.zeros(total, dtype=np.int32)
+        for k in np.unique(n).tolist():
+            own = np.flatnonzero(n == k)
+            step = max(1, 200_000 // k)
+            for lo in range(0, len(own), step):
+                i = own[lo : lo + step]
+                codes = self.codes.data[self.code_at.data[word[i]][:, None] + np.arange(k)]
+                flat, size, came = self.encoder.lockstep(codes, mask[i])
+                at[i] = self.pieces.n + np.cumsum(size) - size
+                count[i], pops[i] = size, came
+                self.pieces.add(flat)
+        for pool, values in ((self.word, word), (self.skipped, mask), (self.pops, pops), (self.piece_at, at), (self.piece_n, count)):
+            pool.add(values)
+        return np.arange(base, base + total, dtype=np.int32)
+
+    def _root(self, raw: np.ndarray, start: np.ndarray, end: np.ndarray, key: np.ndarray) -> None:
+        """Remember the new words raw[start:end], whose hashes are `key`, sorted, as roots."""
+        size = end - start
+        first = np.cumsum(size) - size
+        text = raw[np.repeat(start - first, size) + np.arange(int(size.sum()))]
+        letters = (text & 0xC0) != 0x80
+        chars = np.add.reduceat(letters, first).astype(np.int32)
+        marked = text.tobytes().decode().replace(MARK, LITERAL_MARK).replace(" ", MARK)
+        base = self.code_at.n
+        self.code_at.add(self.codes.n + np.cumsum(chars) - chars)
+        self.code_n.add(chars)
+        self.codes.add(np.frombuffer(marked.encode("utf-32-le", "surrogatepass"), dtype=np.uint32))
+        words = np.arange(base, base + len(start), dtype=np.int32)
+        self.roots.add(key, self._grow(words, np.zeros(len(start), dtype=np.uint64)))
+
+    def encode(self, raw: np.ndarray, offsets: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(pieces of all texts, bounds of each text's) of texts in a byte buffer; doc: their ids as uint64."""
+        flat, bound = self._encode(raw, offsets, doc)
+        # words are told apart by 64-bit hashes: a text that doesn't decode to itself is encoded word by word
+        back, at = self.encoder.vocab.decode_many(flat, bound)
+        if np.array_equal(at, offsets) and np.array_equal(back, raw):
+            return flat, bound
+        parts = []
+        for i in range(len(doc)):
+            own = flat[bound[i] : bound[i + 1]]
+            if not np.array_equal(back[at[i] : at[i + 1]], raw[offsets[i] : offsets[i + 1]]):
+                self._forget()
+                own = self._encode(raw[offsets[i] : offsets[i + 1]], offsets[i : i + 2] - offsets[i], doc[i : i + 1], alone=True)[0]
+            parts.append(own)
+        return np.concatenate(parts), np.concatenate([[0], np.cumsum([len(p) for p in parts])])
+
+    def _encode(self, raw: np.ndarray, offsets: np.ndarray, doc: np.ndarray, alone: bool = False) -> tuple[np.ndarray, np.ndarray]:
+        """alone: by heap only, without a table of words."""
+        if self.word.n > self.most:
+            self._forget()
+        filled = np.diff(offsets) > 0
+        if not filled.any():
+            return np.zeros(0, np.int32), np.zeros(len(offsets), np.int64)
+        raw = np.insert(raw, offsets[:-1][filled], 32)  # the leading space
+        offsets = offsets + np.concatenate([[0], np.cumsum(filled)])
+        space, apart = raw == 32, self.encoder.vocab.apart[raw]
+        begins = apart.copy()
+        begins[1:] |= apart[:-1]
+        begins[1:] |= space[1:] & ~space[:-1]
+        begins[offsets[:-1][filled]] = True
+        start = np.flatnonzero(begins)
+        end = np.append(start[1:], len(raw))
+        first = np.searchsorted(start, offsets)
+        place = np.arange(len(start)) - np.repeat(first[:-1], np.diff(first))
+        keys = self.encoder.keys(np.repeat(doc, np.diff(first)), place)
+        long_ = np.add.reduceat((raw & 0xC0) != 0x80, start) > LOCKSTEP
+        node = np.full(len(start), -1, dtype=np.int32)
+        if alone:
+            long_[:] = True
+        else:
+            short = np.flatnonzero(~long_)
+            node[short] = self._nodes(raw, start[short], end[short], keys[short])
+        at, size = np.where(long_, 0, self.piece_at.data[node]), np.where(long_, 0, self.piece_n.data[node])
+        pool = self.pieces.data[: self.pieces.n]
+        if long_.any():
+            own = [self.encoder.heap(raw[start[i] : end[i]].tobytes().decode().replace(MARK, LITERAL_MARK).replace(" ", MARK), keys[i]) for i in np.flatnonzero(long_)]
+            size[long_] = [len(x) for x in own]
+            at[long_] = len(pool) + np.cumsum(size[long_]) - size[long_]
+            pool = np.concatenate([pool, *own])
+        stop = np.cumsum(size, dtype=np.int64)
+        total = int(stop[-1])
+        flat = pool[np.repeat(at - stop + size, size) + np.arange(total)]
+        return flat, np.concatenate([[0], stop])[first]
+
+    def _nodes(self, raw: np.ndarray, start: np.ndarray, end: np.ndarray, keys: np.ndarray) -> np.ndarray:
+        """The node at which each occurrence of a short word ends."""
+        word, at, inverse = np.unique(spans_hash(raw, start, end), return_index=True, return_inverse=True)
+        root = self.roots.find(word)
+        new = root < 0
+        if new.any():
+            self._root(raw, start[at[new]], end[at[new]], word[new])
+            root = self.roots.find(word)
+        node = root[inverse]
+        upto = self.pops.data[node].astype(np.int64)
+        mask = self.encoder.mask(keys, np.zeros(len(node), dtype=np.uint64), upto)
+        one = np.uint64(1)
+        walk = np.flatnonzero(mask & ((one << upto.astype(np.uint64)) - one))
+        if not len(walk):
+            return node
+        # a path with skips may meet more candidates than the one without
+        most = 3 * (self.code_n.data[self.word.data[node[walk]]].astype(np.int64) - 1)
+        bits = self.encoder.mask(keys[walk], mask[walk], most, -(-upto[walk] // _LANES) * _LANES)
+        since = np.zeros(len(walk), dtype=np.uint64)
+        while len(walk):
+            open_ = bits & ((one << self.pops.data[node[walk]].astype(np.uint64)) - one) & ~((one << since) - one)
+            go = np.flatnonzero(open_)
+            walk, bits, open_ = walk[go], bits[go], open_[go]
+            if not len(walk):
+                break
+            j = np.bitwise_count((open_ & (~open_ + one)) - one).astype(np.uint64)
+            edge, index, inverse = np.unique((node[walk].astype(np.uint64) << np.uint64(6)) | j, return_index=True, return_inverse=True)
+            child = self.children.find(edge)
+            new = np.flatnonzero(child < 0)
+            if len(new):
+                parent = node[walk[index[new]]]
+                grown = self._grow(self.word.data[parent], self.skipped.data[parent] | (one << j[index[new]]))
+                self.children.add(edge[new], grown)
+                child[new] = grown
+            node[walk] = child[inverse]
+            since = j + one
+        return node
+
+
+def encode(docs: DataFrame, vocab: Vocabulary, dropout: float = DROPOUT, seed: int = SEED, full: bool = True) -> DataFrame:
     """Pieces of every row: (doc_id, ids) if full, else the digest (doc_id, n_pieces, ids_sha256, n_bytes, lossless).
 
     The digest decodes what was encoded and compares it with the text.
     """
 
     def run(batches):
-        coder = CorpusEncoder(Encoder(vocab, dropout, seed), variants)
+        coder = CorpusEncoder(Encoder(vocab, dropout, seed))
         for batch in batches:
-            text = column(batch, "text")
-            raw, offsets = buffers(text)
-            for a, b in slices(offsets, 4 << 20):
+            raw, offsets = buffers(column(batch, "text"))
+            number = column(batch, "doc_id").fill_null(0).to_numpy().view(np.uint64)
+            for a, b in slices(offsets):
                 ids = column(batch, "doc_id").slice(a, b - a)
-                number = np.nan_to_num(ids.to_numpy(zero_copy_only=False).astype(np.float64)).astype(np.int64).astype(np.uint64)
-                variant = (mix64(number, 66) % np.uint64(variants)).tolist()
-                got = coder.encode(text.slice(a, b - a).to_pylist(), variant)
-                n = np.array([len(g) // 4 for g in got], dtype=np.int64)
-                flat = np.frombuffer(b"".join(got), dtype=np.int32)
+                part, off = raw[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a]
+                flat, first = coder.encode(part, off, number[a:b])
                 if full:
-                    first = np.concatenate([[0], np.cumsum(n)]).astype(np.int32)
-                    yield pa.RecordBatch.from_arrays([ids, pa.ListArray.from_arrays(pa.array(first), pa.array(flat))], names=["doc_id", "ids"])
+                    yield pa.RecordBatch.from_arrays([ids, pa.ListArray.from_arrays(pa.array(first.astype(np.int32)), pa.array(flat))], names=["doc_id", "ids"])
                     continue
-                first = np.concatenate([[0], np.cumsum(n)])
                 out, bound = vocab.decode_many(flat, first)
-                part, off = raw[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a]
-                if len(bound) == len(off) and (bound == off).all() and (out == part).all():
+                if np.array_equal(bound, off) and np.array_equal(out, part):
                     same = np.ones(b - a, dtype=bool)
                 else:
                     same = np.array([np.array_equal(out[bound[i] : bound[i + 1]], part[off[i] : off[i + 1]]) for i in range(b - a)])
+                sha = [hashlib.sha256(flat[first[i] : first[i + 1]]).hexdigest() for i in range(b - a)]
                 yield pa.RecordBatch.from_arrays(
-                    [ids, pa.array(n), pa.array([hashlib.sha256(g).hexdigest() for g in got]), pa.array(np.diff(off)), pa.array(same)],
+                    [ids, pa.array(np.diff(first)), pa.array(sha), pa.array(np.diff(off)), pa.array(same)],
                     names=["doc_id", "n_pieces", "ids_sha256", "n_bytes", "lossless"],
                 )
 
     small_batches(docs.sparkSession)
     src = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     schema = "doc_id long, ids array<int>" if full else "doc_id long, n_pieces long, ids_sha256 string, n_bytes long, lossless boolean"
-    return src.mapInArrow(lambda it: run(x for x in it if x.num_rows), schema)
+    return src.mapInArrow(released(lambda it: run(x for x in it if x.num_rows)), schema)
 
 
 def decode(encoded: DataFrame, vocab: Vocabulary) -> DataFrame:

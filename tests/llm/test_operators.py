@@ -264,29 +264,103 @@ def texts(small):
     return [r[0] for r in connect(small).execute("SELECT text FROM documents ORDER BY doc_id LIMIT 80").fetchall()]
 
 
+def encoded(vocab, texts, p=0.1, seed=11, ids=None, **options):
+    coder = sptok.CorpusEncoder(sptok.Encoder(vocab, p, seed), **options)
+    raw, off = wordhash.buffers(pa.array(texts, pa.string()))
+    out = []
+    for a, b in wordhash_slices(off):
+        flat, at = coder.encode(raw[off[a] : off[b]], off[a : b + 1] - off[a], np.array(ids or range(len(texts)), dtype=np.uint64)[a:b])
+        out += [flat[at[i] : at[i + 1]].tolist() for i in range(b - a)]
+    return out
+
+
+def wordhash_slices(off):
+    from skewjoin.llm.common import slices
+
+    return slices(off, 50_000)
+
+
 def test_without_dropout_the_pieces_are_the_library_s(vocab, texts):
     sp = sentencepiece.SentencePieceProcessor(model_file=sptok.MODEL)
-    got = sptok.CorpusEncoder(sptok.Encoder(vocab, 0.0), 1).encode(texts, [0] * len(texts))
-    assert [np.frombuffer(g, np.int32).tolist() for g in got] == [sp.encode(t) for t in texts]
+    assert encoded(vocab, texts, 0.0) == [sp.encode(t) for t in texts]
 
 
 def test_dropout_varies_repeats_and_decodes(vocab, texts):
-    def run(seed, p=0.2):
-        return sptok.CorpusEncoder(sptok.Encoder(vocab, p, seed), 4).encode(texts, [i % 4 for i in range(len(texts))])
-
-    a, b, c = run(1), run(1), run(2)
+    a, b, c = encoded(vocab, texts, 0.2, 1), encoded(vocab, texts, 0.2, 1, nodes=500), encoded(vocab, texts, 0.2, 2)
     assert a == b and sum(x != y for x, y in zip(a, c)) > len(texts) // 2
-    for got in (a, c, run(1, 1.0)):
-        assert [vocab.decode(np.frombuffer(g, np.int32)).decode() for g in got] == texts
-    assert sum(map(len, run(1, 0.5))) > sum(map(len, a)) > sum(map(len, run(1, 0.0)))
+    for got in (a, c, encoded(vocab, texts, 1.0)):
+        assert [vocab.decode(np.array(g, np.int32)).decode() for g in got] == texts
+    n = [sum(map(len, encoded(vocab, texts, p))) for p in (0.5, 0.2, 0.0)]
+    assert n[0] > n[1] > n[2]
+
+
+def test_every_occurrence_draws_its_own_segmentation(vocab):
+    """Of one long word, more segmentations than a few, in one text and over documents."""
+    word = " international"
+    one = encoded(vocab, [word * 400], 0.3)[0]
+    parts, own = set(), []
+    for piece in one:
+        own.append(piece)
+        if vocab.decode(np.array([1, *own][1:], np.int32)).decode().endswith("l"):
+            parts.add(tuple(own))
+            own = []
+    assert len(parts) > 20
+    assert len({tuple(x) for x in encoded(vocab, ["international"] * 200, 0.3)}) > 10
+    twice = encoded(vocab, ["international affairs", "international affairs"], 0.3, ids=[5, 5])
+    assert twice[0] == twice[1]
+
+
+def agenda(vocab, merges, text, skips):
+    """Pieces of one word by a plain loop: the best adjacent pair that wasn't skipped, leftmost among equals."""
+    parts = [(i, i + 1, vocab.id.get(c, -1)) for i, c in enumerate(text)]
+    gone, t = set(), 0
+    while True:
+        best = None
+        for i, ((a, b, x), (_, c, y)) in enumerate(zip(parts, parts[1:])):
+            found = merges.get((x << 20) | y) if x >= 0 and y >= 0 else None
+            if found and (a, b, c) not in gone and (best is None or found[0] < best[0]):
+                best = (found[0], i, found[1])
+        if best is None:
+            break
+        i = best[1]
+        a, b, c = parts[i][0], parts[i][1], parts[i + 1][1]
+        if skips(t):
+            gone.add((a, b, c))
+        else:
+            parts[i : i + 2] = [(a, c, best[2])]
+        t += 1
+    out = []
+    for a, _, x in parts:
+        out += [x] if x >= 0 else vocab.spell(text[a])
+    return out
+
+
+@pytest.mark.parametrize("p", [0.1, 0.4])
+def test_dropout_against_a_plain_agenda(vocab, texts, p):
+    e = sptok.Encoder(vocab, p, 3)
+    merges = {int(k): (int(r), int(m)) for k, r, m in zip(vocab.keys, vocab.ranks, vocab.merged)}
+    some = [t[:600] for t in texts[:12]] + ["x" * 70 + " ab\tc ▁ \n\x0b 日本 " + "na" * 15]
+    for i, (t, got) in enumerate(zip(some, encoded(vocab, some, p, 3))):
+        marked = "▁" + t.replace("▁", sptok.LITERAL_MARK).replace(" ", "▁")
+        words, own = [], ""
+        for before, c in zip(" " + marked, marked):  # a word starts at a run of marks, and at white space
+            if own and (c in "\t\n\x0b\x0c\r" or before in "\t\n\x0b\x0c\r" or (c == "▁" and before != "▁")):
+                words.append(own)
+                own = ""
+            own += c
+        want = []
+        for place, w in enumerate([*words, own]):
+            key = e.keys(np.array([i], np.uint64), np.array([place]))
+            want += agenda(vocab, merges, w, lambda t, key=key: bool(e.skips(key, t // 4)[0][t % 4]))
+        assert got == want
 
 
 @settings(max_examples=60, deadline=None)
 @given(st.text(max_size=60))
 def test_any_text_round_trips(text):
     vocab = _vocab()
-    got = sptok.CorpusEncoder(sptok.Encoder(vocab, 0.3), 1).encode([text], [0])[0]
-    assert vocab.decode(np.frombuffer(got, np.int32)).decode() == text
+    got = encoded(vocab, [text], 0.3)[0]
+    assert vocab.decode(np.array(got, np.int32)).decode() == text
 
 
 _KEPT: list = []
@@ -298,11 +372,12 @@ def _vocab():
     return _KEPT[0]
 
 
-def test_lockstep_equals_heap(vocab, texts):
-    words = sorted({w for t in texts for w in vocab.split.findall(sptok.marked(t))})[:800]
-    for p in (0.0, 0.3):
-        e = sptok.Encoder(vocab, p)
-        assert e.words(words, 2) == [e.heap(w, 2) for w in words]
+def test_trees_equal_the_heap(vocab, texts):
+    e = sptok.Encoder(vocab, 0.3)
+    for i, t in enumerate(texts[:20]):
+        raw, off = wordhash.buffers(pa.array([t]))
+        doc = np.array([i], dtype=np.uint64)
+        assert encoded(vocab, [t], 0.3, ids=[i])[0] == sptok.CorpusEncoder(e)._encode(raw, off, doc, alone=True)[0].tolist()
 
 
 # ---- classifiers on held-out rows ----
