@@ -8,6 +8,7 @@ from __future__ import annotations
 import json
 import os
 import time
+from dataclasses import replace
 from statistics import median
 
 from pyspark.sql import SparkSession
@@ -57,7 +58,7 @@ def main() -> None:
         x = w.sides(spark, SF_DIR)
         r, s = x.r.persist(), x.s.persist()
         n_r, n_s = r.count(), s.count()
-        sides = strategies.Sides(r, s, "a", "b", x.r_hash, x.s_hash)
+        sides = replace(x, r=r, s=s)
         hot, profile = observe(sides, w.p, w.n)
         return sides, hot, profile, n_r, n_s
 

@@ -7,18 +7,19 @@ from time import perf_counter
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from ..plans import classify, cost, placement
+from ..plans import classify, cost, stats
 from ..plans.classify import HotKey
-from .routes import HASH, POLICIES, REPLICATE, SCATTER, STAY, Policy, fan_out
-from .strategies import Sides, branches, routed
+from .routes import HASH, POLICIES, REPLICATE, SCATTER, STAY, Policy, fan_out, member
+from .strategies import R_KEY, R_SRC, RESERVED, S_KEY, S_SRC, Sides, branches, keyed, routed_
 
 #: Tried in this order; a later one must be strictly cheaper.
 CANDIDATES = ("stay_replicate", "four_route", "hash_all")
-
-
-#: Pairs a row of the skewed keys from which the routed form is taken.
-PAIRS_A_ROW = 8
+#: The same with grids for two-sided values, as the experiments run stay-replicate.
+CANDIDATES_GRID = ("stay_replicate_grid", "four_route", "hash_all")
+#: The build side's key columns while both sides' are one.
+USING = "__using_key_"
 
 
 @dataclass(frozen=True)
@@ -42,56 +43,95 @@ def explain(decision: Decision) -> str:
     return decision.explain()
 
 
+def _even(total: int, n: int) -> tuple[int, ...]:
+    return tuple(total // n + (i < total % n) for i in range(n))
+
+
 def profile_of(x: Sides, hot: list[HotKey], n: int) -> cost.Profile:
-    """Tuples of the skewed values on each node: two tiny aggregations, at most 2/p * n rows collected."""
+    """Tuples of known skewed values on each node, and their owners: one aggregation of both sides,
+    at most 2/p * n rows collected.  Without placement columns the tuples count as spread evenly."""
     if not hot:
         return cost.Profile(n, ())
+    r, s = keyed(x, n)
+    kind = r.schema[R_KEY].dataType
+    if not x.placed:
+        return cost.Profile(n, tuple(cost.HotLoad(h, o, _even(h.r, n), _even(h.s, n)) for h, o in zip(hot, _owners(x, [h.key for h in hot], kind, n))))
+    tagged = _tagged(r, s, x.placed).where(member(F.col("key"), [h.key for h in hot], kind))
+    at = _counted(tagged, x, n)
+    owners = _owners(x, [h.key for h in hot], kind, n)
+    empty = [0] * n
+    return cost.Profile(n, tuple(cost.HotLoad(h, o, tuple(at.get((True, h.key), empty)), tuple(at.get((False, h.key), empty))) for h, o in zip(hot, owners)))
+
+
+def _owners(x: Sides, keys: list, kind, n: int) -> list[int]:
+    """The node that each key is hashed to, by the very expression that routes it."""
+    if not keys:
+        return []
     spark = x.r.sparkSession
-    kind = x.r.schema[x.a].dataType
-    keys = spark.createDataFrame([(h.key,) for h in hot], f"key {kind.simpleString()}")
-    at: dict = {}
-    for side, df, key in (("r", x.r, x.a), ("s", x.s, x.b)):
-        for row in placement.profile(df, key, keys).collect():
-            at.setdefault(row["key"], {"r": [0] * n, "s": [0] * n})[side][row["src"]] += row["cnt"]
-    empty = {"r": [0] * n, "s": [0] * n}
-    loads = []
-    for h in hot:
-        got = at.get(h.key, empty)
-        owner = (int(h.key) + 1) % n if isinstance(h.key, int) else sum(str(h.key).encode()) % n
-        loads.append(cost.HotLoad(h, owner, tuple(got["r"]), tuple(got["s"])))
-    return cost.Profile(n, tuple(loads))
+    rows = spark.createDataFrame([(i, k) for i, k in enumerate(keys)], T.StructType([T.StructField("i", T.IntegerType()), T.StructField("k", kind)]))
+    return [r["o"] for r in sorted(rows.select("i", x.owner(F.col("k"), n).alias("o")).collect(), key=lambda r: r["i"])]
+
+
+def _tagged(r: DataFrame, s: DataFrame, placed: bool) -> DataFrame:
+    """(probe, key, src) of all rows of both sides with a key."""
+    at = lambda c: F.col(c) if placed else F.lit(0)
+    both = r.select(F.lit(True).alias("probe"), F.col(R_KEY).alias("key"), at(R_SRC).alias("src")).union(
+        s.select(F.lit(False).alias("probe"), F.col(S_KEY).alias("key"), at(S_SRC).alias("src"))
+    )
+    return both.where("key is not null")
+
+
+def _plain(key):
+    """A collected key that can stand in a dictionary."""
+    return bytes(key) if isinstance(key, bytearray) else key
+
+
+def _counted(tagged: DataFrame, x: Sides, n: int) -> dict:
+    """(probe, key) -> tuples on each node."""
+    out: dict = {}
+    for row in tagged.groupBy("probe", "key", "src").agg(F.count(F.lit(1)).alias("cnt")).collect():
+        at = out.setdefault((row["probe"], _plain(row["key"])), [0] * n)
+        if x.placed:
+            at[row["src"]] += row["cnt"]
+        else:
+            out[row["probe"], _plain(row["key"])] = list(_even(row["cnt"], n))
+    return out
 
 
 def observe(x: Sides, p: float, n: int, strict: bool = False, tie: str = "probe") -> tuple[list[HotKey], cost.Profile]:
-    """Skewed values, their classes and their tuples on each node, from one aggregation of both sides.
+    """Skewed values, their classes and their tuples on each node, exactly, from two scans of the keys.
 
-    Only skewed values are collected: at most 2/p values on at most n nodes of two sides.
+    The first finds candidates of both sides by a mergeable frequent-items sketch of the keys'
+    hashes, which misses no value with a share of p; the second counts the candidates' rows per
+    node.  Neither shuffles keys: a task sends one sketch, then counts of at most 4/p values.
+    Only skewed values' counts are collected, for at most n nodes of two sides.
     """
-    tagged = x.r.select(F.lit(True).alias("probe"), F.col(x.a).alias("key"), "src").union(x.s.select(F.lit(False).alias("probe"), F.col(x.b).alias("key"), "src"))
-    per = tagged.where("key is not null").groupBy("probe", "key", "src").agg(F.count(F.lit(1)).alias("cnt"))
-    keys = per.groupBy("probe", "key").agg(F.sum("cnt").alias("c"))
-    totals = keys.groupBy("probe").agg(F.sum("c").alias("t"))
-    bound = F.col("t") * p
-    heavy = keys.join(F.broadcast(totals), "probe").where(F.col("c") > bound + 1e-9 if strict else F.col("c") >= bound - 1e-9)
-    flags = heavy.groupBy("key").agg(F.max(F.col("probe")).alias("in_r"), F.max(~F.col("probe")).alias("in_s"))
-    rows = per.join(F.broadcast(flags), "key").select("probe", "key", "src", "cnt", "in_r", "in_s").collect()
-    at: dict = {}
-    for row in rows:
-        got = at.setdefault(row["key"], {"r": [0] * n, "s": [0] * n, "in": (row["in_r"], row["in_s"])})
-        got["r" if row["probe"] else "s"][row["src"]] += row["cnt"]
-    loads = []
-    for key, got in at.items():
-        r, s = sum(got["r"]), sum(got["s"])
-        in_r, in_s = got["in"]
-        if in_r and in_s:
-            first = r >= s if tie == "probe" else r > s
+    r, s = keyed(x, n)
+    kind = r.schema[R_KEY].dataType
+    tagged = _tagged(r, s, x.placed)
+    sketches = tagged.groupBy("probe").agg(F.expr(stats.frequent_hashes("key", p)).alias("top"), F.count(F.lit(1)).alias("t")).collect()
+    total = {row["probe"]: row["t"] for row in sketches}
+    codes = sorted({item["item"] for row in sketches for item in row["top"] if item["count"] >= p * row["t"] - 1e-9})
+    if not codes:
+        return [], cost.Profile(n, ())
+    at = _counted(tagged.where(F.xxhash64("key").isin(*codes)), x, n)
+    found = []
+    for key in {k for _, k in at}:
+        here = {side: at.get((side, key), [0] * n) for side in (True, False)}
+        count = {side: sum(v) for side, v in here.items()}
+        bound = {side: p * total.get(side, 0) for side in here}
+        heavy = {side: count[side] > 0 and (count[side] > bound[side] + 1e-9 if strict else count[side] >= bound[side] - 1e-9) for side in here}
+        if heavy[True] and heavy[False]:
+            first = count[True] >= count[False] if tie == "probe" else count[True] > count[False]
             cls = classify.BOTH_PROBE if first else classify.BOTH_BUILD
+        elif heavy[True] or heavy[False]:
+            cls = classify.PROBE_ONLY if heavy[True] else classify.BUILD_ONLY
         else:
-            cls = classify.PROBE_ONLY if in_r else classify.BUILD_ONLY
-        owner = (int(key) + 1) % n if isinstance(key, int) else sum(str(key).encode()) % n
-        loads.append(cost.HotLoad(HotKey(key, cls, r, s), owner, tuple(got["r"]), tuple(got["s"])))
-    loads.sort(key=lambda v: (-(v.r * v.s), -(v.r + v.s), str(v.hot.key)))
-    return [v.hot for v in loads], cost.Profile(n, tuple(loads))
+            continue
+        found.append((HotKey(key, cls, count[True], count[False]), tuple(here[True]), tuple(here[False])))
+    found.sort(key=lambda v: (-(v[0].r * v[0].s), -(v[0].r + v[0].s), str(v[0].key)))
+    owners = _owners(x, [h.key for h, _, _ in found], kind, n)
+    return [h for h, _, _ in found], cost.Profile(n, tuple(cost.HotLoad(h, o, r_at, s_at) for (h, r_at, s_at), o in zip(found, owners)))
 
 
 def choose(profile: cost.Profile, gateway: int | None = None, form: str = "complete", candidates=CANDIDATES, weights=(1.0, 1.0, 1.0)) -> Decision:
@@ -129,37 +169,55 @@ def choose_per_value(profile: cost.Profile, gateway: int | None = None) -> Polic
     return Policy("per_value", POLICIES["hash_all"].actions, special)
 
 
-def skew_join(r: DataFrame, s: DataFrame, a: str, b: str, strategy: str = "auto", p: float = 0.05, n: int | None = None, how: str = "inner", residual: Column | None = None, gateway: int | None = None, hot: list[HotKey] | None = None, form: str = "complete", physical: str = "auto", profile: cost.Profile | None = None) -> DataFrame:
-    """Join r and s on r.a = s.b with skewed keys treated apart.
-
-    Without skew this is a plain join, at no extra cost.  `hot` and `profile` take known
-    statistics and placement and save the jobs that find them.  physical: 'routed', 'branches', or 'auto': branches for inner joins without
-    a residual predicate whose skewed keys make few pairs for each row, since there the rows that
-    stay are what is saved; where pairs dominate, the routed form, whose one join feeds whatever
-    follows without a union in between.
+def skew_join(
+    r: DataFrame, s: DataFrame, a: str | list[str], b: str | list[str] | None = None, strategy: str = "auto", p: float = 0.05, n: int | None = None,
+    how: str = "inner", residual: Column | None = None, gateway: int | None = None, hot: list[HotKey] | None = None, form: str = "complete",
+    physical: str = "auto", profile: cost.Profile | None = None, null_safe: bool = False, placement: tuple[str, str] | None = None,
+    hash_columns: tuple[list[str], list[str]] | None = None,
+) -> DataFrame:
+    """Join r and s on r.a = s.b with skewed keys treated apart: equal to the plain join as a bag of rows.
+
+    a, b: a column of each side, or as many each; of equal or different names.  Without b the key
+    columns `a` of both sides are one in the result, as in a join USING them.
+    Without skew this is a plain join after the two scans that find none.  `hot` and `profile` take
+    known statistics and save them; for other joins than inner ones `hot` must count these inputs.
+    null_safe: NULL keys equal each other.  placement: columns of r and s that say on which node a
+    row lies (folded onto n nodes); Spark's partitions without it.  hash_columns: columns of r and of
+    s that tell rows apart, by which hot rows are spread; by a row's place without them, which a
+    retried task repeats only if its input comes in the same order (see routes.row_salt).
+    physical: 'routed' (and 'auto'), or 'branches', for inner joins without a residual predicate:
+    it reads the inputs once for each class, and staying rows are not shuffled.
     """
     n = n or int(r.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    placed = "src" in r.columns and "src" in s.columns
-    if hot is None and placed:
-        hot, profile = observe(Sides(r, s, a, b), p, n)
-    elif hot is None:
-        hot = classify.find(r, s, a, b, p)
+    using = b is None
+    if using:
+        a = [a] if isinstance(a, str) else list(a)
+        b = [f"{USING}{i}" for i in range(len(a))]
+        s = s.withColumnsRenamed(dict(zip(a, b)))
+    row_hash = [F.xxhash64(*names) if names else None for names in hash_columns or (None, None)]
+    src = placement or (None, None)
+    x = Sides(r, s, a, b, row_hash[0], row_hash[1], src[0], src[1], null_safe)
+    if physical == "branches" and (how != "inner" or residual is not None):
+        raise ValueError("the branch form is for inner joins without a residual predicate")
+    if hot is None and strategy != "hash_all":
+        hot, profile = observe(x, p, n)
     if not hot or strategy == "hash_all":
-        on = F.col(a) == F.col(b)
-        return r.join(s, on if residual is None else on & residual, how)
-    keyed = lambda df: df if "src" in df.columns else df.withColumn("src", placement.physical())
-    x = Sides(keyed(r), keyed(s), a, b)
-    if strategy == "auto":
-        if profile is None and placed:
-            profile = profile_of(x, hot, n)
-        elif profile is None:
-            profile = cost.Profile(n, tuple(cost.HotLoad(h, 0, tuple([h.r // n] * n), tuple([h.s // n] * n)) for h in hot))
-        strategy = choose(profile, gateway, form).strategy
-    policy = POLICIES[strategy]
-    pairs, rows = sum(h.r * h.s for h in hot), sum(h.r + h.s for h in hot)
-    if physical == "branches" or (physical == "auto" and how == "inner" and residual is None and pairs < PAIRS_A_ROW * rows):
-        return branches(x, hot, policy, n).drop("branch")
-    return routed(x, hot, policy, n, how, residual, fan=fan_out(hot, policy, n)).drop("dst", "r_src", "s_src")
+        left, right = keyed(x, n)
+        on = F.col(R_KEY) == F.col(S_KEY)
+        out = left.drop(R_SRC).join(right.drop(S_SRC), on if residual is None else on & residual, how).drop(R_KEY, S_KEY)
+    else:
+        if strategy == "auto":
+            strategy = choose(profile_of(x, hot, n) if profile is None else profile, gateway, form).strategy
+        policy = POLICIES[strategy]
+        if physical == "branches":
+            out = branches(x, hot, policy, n).drop("branch")
+        else:
+            out = routed_(x, hot, policy, n, how, residual, fan=fan_out(hot, policy, n)).drop(RESERVED + "dst")
+    if not using or how in ("left_semi", "left_anti"):
+        return out
+    if how in ("right", "full"):
+        out = out.withColumns({i: F.coalesce(i, j) for i, j in zip(a, b)})
+    return out.drop(*b)
 
 
 def sql_join(spark: SparkSession, left_sql: str, right_sql: str, a: str, b: str, **options) -> DataFrame:

@@ -3,12 +3,14 @@
 from __future__ import annotations
 
 from dataclasses import dataclass, field
+from functools import reduce
 from math import isqrt
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from ..functions.keys import home, home_any
+from ..functions.keys import home_any
 from ..plans.classify import BOTH_BUILD, BOTH_PROBE, BUILD_ONLY, COLD, PROBE_ONLY, HotKey
 
 HASH, STAY, SCATTER, REPLICATE, GRID = "HASH", "STAY", "SCATTER", "REPLICATE", "GRID"
@@ -57,6 +59,32 @@ def grid_shape(n: int, r: int = 1, s: int = 1) -> tuple[int, int]:
     return min(shapes, key=lambda x: (r * x[1] + s * x[0], abs(x[0] - isqrt(n))))
 
 
+def member(key: Column, values: list, kind: T.DataType) -> Column:
+    """Whether the key is one of the values: literals of the key's type; a struct is compared field by field."""
+    if isinstance(kind, T.StructType):
+        def same(value) -> Column:
+            parts = [key.getField(f.name).eqNullSafe(_literal(v, f.dataType)) for f, v in zip(kind.fields, value)]
+            return reduce(lambda x, y: x & y, parts)
+
+        return reduce(lambda x, y: x | y, [same(v) for v in values])
+    return key.isin(*[_literal(v, kind) for v in values])
+
+
+def _literal(value, kind: T.DataType) -> Column:
+    text = value is not None and isinstance(kind, T.TimestampNTZType)  # a naive datetime literal would be read in some zone
+    return F.lit(str(value) if text else value).cast(kind)
+
+
+def row_salt() -> Column:
+    """A hash of a row's place: partition and number in it.
+
+    Equal rows get different salts, and no column is read for it.  A retried task repeats it if
+    its input comes in the same order, as from a scan; where that isn't so, name columns that
+    tell rows apart and route by their hash.
+    """
+    return F.xxhash64(F.spark_partition_id(), F.monotonically_increasing_id())
+
+
 def partition(df: DataFrame, key: str, hot: list[HotKey], side: str) -> DataFrame:
     """Add `route` 1..4: cold and build-only, probe-only, two-sided probe-heavy, two-sided build-heavy.
 
@@ -68,7 +96,7 @@ def partition(df: DataFrame, key: str, hot: list[HotKey], side: str) -> DataFram
     for number, cls in ((2, PROBE_ONLY), (3, BOTH_PROBE), (4, BOTH_BUILD)):
         keys = [h.key for h in hot if h.cls == cls]
         if keys:
-            route = F.when(F.col(key).isin(*keys), F.lit(number)).otherwise(route)
+            route = F.when(member(F.col(key), keys, df.schema[key].dataType), F.lit(number)).otherwise(route)
     return df.withColumn("route", route)
 
 
@@ -97,10 +125,13 @@ def fan_out(hot: list[HotKey], policy: Policy, n: int, slack: int = 2) -> dict:
     }
 
 
-def destinations(side: str, key: str, hot: list[HotKey], policy: Policy, n: int, row_hash: Column, owner: Column, scatter: str = "rowhash", seed: int = 0, fan: dict | None = None) -> Column:
-    """array<int>: the nodes that a row goes to; a value spread over k < n nodes uses those from its owner on."""
+def destinations(side: str, key: Column, kind: T.DataType, hot: list[HotKey], policy: Policy, n: int, row_hash: Column, owner: Column, src: Column, scatter: str = "rowhash", seed: int = 0, fan: dict | None = None) -> tuple[Column, bool]:
+    """(where a row goes, whether that is an array): int, or array<int> if some rows have copies.
+
+    A value spread over k < n nodes uses those from its owner on.  Whatever `src` says, rows stay
+    on one of the n nodes.
+    """
     at = 0 if side == "probe" else 1
-    out = F.array(owner)
     groups: dict[tuple, list] = {}
     for h in hot:
         action = policy.of(h)[at]
@@ -108,11 +139,14 @@ def destinations(side: str, key: str, hot: list[HotKey], policy: Policy, n: int,
             k = min(n, (fan or {}).get(h.key, n))
             shape = grid_shape(k, max(h.r, 1), max(h.s, 1)) if action == GRID else None
             groups.setdefault((action, shape, k), []).append(h.key)
+    many = any(action in (REPLICATE, GRID) for action, _, _ in groups)
+    wrap = (lambda c: F.array(c)) if many else (lambda c: c)
+    out = wrap(owner)
 
     def nodes(first: Column | int, step: int, count: int, k: int) -> Column:
         """count nodes first, first + step, ..., counted from node 0 or, if k < n, from the owner."""
         if k == n and isinstance(first, int):
-            return F.array(*[F.lit(first + i * step) for i in range(count)])
+            return F.array(*[F.lit(first + i * step) for i in range(count)]) if n <= 64 else F.sequence(F.lit(first), F.lit(first + (count - 1) * step), F.lit(step))
         base = F.lit(first) if isinstance(first, int) else first
         if k < n:
             base = base + owner
@@ -120,9 +154,10 @@ def destinations(side: str, key: str, hot: list[HotKey], policy: Policy, n: int,
 
     for (action, shape, k), keys in groups.items():
         if action == STAY:
-            to = F.array(F.col("src").cast("int"))
+            to = wrap(F.pmod(src.cast("int"), F.lit(n)).cast("int"))
         elif action == SCATTER:
-            to = nodes(_scatter(scatter, row_hash, k, seed), 1, 1, k)
+            to = _scatter(scatter, row_hash, k, seed)
+            to = wrap(F.pmod(to + owner, F.lit(n)).cast("int") if k < n else to)
         elif action == REPLICATE:
             to = nodes(0, 1, k, k)
         else:
@@ -132,19 +167,26 @@ def destinations(side: str, key: str, hot: list[HotKey], policy: Policy, n: int,
                 to = nodes(F.pmod(h, F.lit(rows).cast("long")).cast("int") * cols, 1, cols, k)
             else:
                 to = nodes(F.pmod(h, F.lit(cols).cast("long")).cast("int"), cols, rows, k)
-        out = F.when(F.col(key).isin(*keys), to).otherwise(out)
-    return out
-
+        out = F.when(member(key, keys, kind), to).otherwise(out)
+    return out, many
 
-def send(df: DataFrame, side: str, key: str, hot: list[HotKey], policy: Policy, n: int, row_hash: Column | None = None, scatter: str = "rowhash", seed: int = 0, owner: Column | None = None, fan: dict | None = None) -> DataFrame:
-    """One row per copy with its destination `dst`; `copied` where the row is replicated, `lead` on its first copy."""
-    h = row_hash if row_hash is not None else F.xxhash64(*[F.col(c) for c in df.columns])
-    own = owner if owner is not None else _owner(df, key, n)
-    to = destinations(side, key, hot, policy, n, h, own, scatter, seed, fan)
-    return df.withColumn("__to", to).withColumn("copied", F.size("__to") > 1).withColumn("dst", F.explode("__to")).withColumn("lead", F.col("dst") == F.col("__to")[0]).drop("__to")
 
+def send(df: DataFrame, side: str, key: str, hot: list[HotKey], policy: Policy, n: int, row_hash: Column | None = None, scatter: str = "rowhash", seed: int = 0, owner: Column | None = None, fan: dict | None = None, src: Column | None = None, prefix: str = "", nulls: bool = True) -> DataFrame:
+    """One row per copy with its destination `dst`; `copied` where the row is replicated, `lead` on its first copy.
 
-def _owner(df: DataFrame, key: str, n: int) -> Column:
-    """The test hash on integers, the production hash on any other type."""
-    kind = df.schema[key].dataType.simpleString()
-    return home(F.col(key), n) if kind in ("tinyint", "smallint", "int", "bigint") else home_any(F.col(key), n)
+    Rows with a NULL key match nothing: they are spread over the nodes (nulls=False: there are none).
+    prefix: of the names of the added columns.
+    """
+    names = [prefix + c for c in ("dst", "copied", "lead", "to", "salt")]
+    dst, copied, lead, to_, salt = names
+    own = owner if owner is not None else home_any(F.col(key), n)
+    spread = {policy.of(h)[0 if side == "probe" else 1] for h in hot} & {SCATTER, GRID}
+    if spread or nulls:
+        df = df.withColumn(salt, row_hash.cast("long") if row_hash is not None else row_salt())
+    if nulls:
+        own = F.when(F.col(key).isNull(), F.pmod(F.col(salt), F.lit(n).cast("long")).cast("int")).otherwise(own)
+    to, many = destinations(side, F.col(key), df.schema[key].dataType, hot, policy, n, F.col(salt) if spread else F.lit(0), own, src if src is not None else F.col("src"), scatter, seed, fan)
+    if not many:
+        return df.withColumn(dst, to).withColumn(copied, F.lit(False)).withColumn(lead, F.lit(True)).drop(salt)
+    df = df.withColumn(to_, to).drop(salt)
+    return df.withColumn(copied, F.size(to_) > 1).withColumn(dst, F.explode(to_)).withColumn(lead, F.col(dst) == F.col(to_)[0]).drop(to_)

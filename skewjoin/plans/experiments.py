@@ -6,12 +6,14 @@ the busiest node and its ratio to the mean) or 'time' (seconds and tuples per se
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators.dispatch import CANDIDATES, choose, observe
 from ..operators.routes import POLICIES
-from ..operators.strategies import Sides, routed
+from ..operators.strategies import routed
 from . import cost, metrics, workloads
 from .workloads import Workload, literal, micro, intro
 
@@ -55,7 +57,7 @@ def times(spark: SparkSession, sf_dir: str, configs, policies=CANDIDATES, runs:
         x = w.sides(spark, sf_dir)
         r, s = x.r.persist(), x.s.persist()
         size = r.count(), s.count()
-        held = Sides(r, s, x.a, x.b, x.r_hash, x.s_hash)
+        held = replace(x, r=r, s=s)
         hot, _ = observe(held, w.p, w.n)
         for name in policies:
             took = metrics.timed(lambda name=name: routed(held, hot, POLICIES[name], w.n).agg(F.count(F.lit(1)), F.sum("r_qty"), F.sum("s_pri")), runs)

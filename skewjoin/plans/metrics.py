@@ -18,7 +18,12 @@ from .classify import HotKey
 
 
 def sent(x: Sides, hot: list[HotKey], policy: Policy, n: int) -> tuple[DataFrame, DataFrame]:
-    return send(x.r, "probe", x.a, hot, policy, n, x.r_hash), send(x.s, "build", x.b, hot, policy, n, x.s_hash)
+    """The copies that each side sends, with their source `src` and destination `dst` among n nodes."""
+    r, s = (df.withColumn("src", x.src(side, n)) for df, side in ((x.r, "probe"), (x.s, "build")))
+    return (
+        send(r, "probe", x.a, hot, policy, n, x.r_hash, owner=x.owner(F.col(x.a), n)),
+        send(s, "build", x.b, hot, policy, n, x.s_hash, owner=x.owner(F.col(x.b), n)),
+    )
 
 
 def moved(x: Sides, hot: list[HotKey], policy: Policy, n: int) -> DataFrame:

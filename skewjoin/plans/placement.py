@@ -39,8 +39,9 @@ def range_replica(primary: Column, n: int, width: int, seed: int, stride: int =
     return F.pmod(rng * stride + choice, F.lit(n).cast("long")).cast("int")
 
 
-def physical() -> Column:
-    return F.spark_partition_id()
+def physical(n: int) -> Column:
+    """Spark's own partition of a row, folded onto n nodes: an input may have any number of partitions."""
+    return F.pmod(F.spark_partition_id(), F.lit(n)).cast("int")
 
 
 def profile(df: DataFrame, key: str, hot_keys: DataFrame) -> DataFrame:

@@ -56,7 +56,7 @@ class Workload:
         s = s.withColumn("src", self._src("b", F.col("o_orderkey")))
         r = r.select("a", "rh", F.col("l_linenumber").cast("long").alias("r_qty"), "src")
         s = s.select("b", "sh", (F.col("o_custkey") % 97).alias("s_pri"), "src")
-        return Sides(r, s, "a", "b", F.col("rh"), F.col("sh"))
+        return Sides(r, s, "a", "b", F.col("rh"), F.col("sh"), "src", "src", home="example")
 
     def _src(self, name: str, primary: Column) -> Column:
         key, pick = F.col(name), F.col("pick")
@@ -218,7 +218,7 @@ def literal_sides(spark: SparkSession, rows: tuple[list, list]) -> Sides:
     """Sides of literal (key, src) rows."""
     r = spark.createDataFrame([(i, k, n) for i, (k, n) in enumerate(rows[0])], "rh long, a long, src int")
     s = spark.createDataFrame([(i, k, n) for i, (k, n) in enumerate(rows[1])], "sh long, b long, src int")
-    return Sides(r, s, "a", "b", F.col("rh"), F.col("sh"))
+    return Sides(r, s, "a", "b", F.col("rh"), F.col("sh"), "src", "src", home="example")
 
 
 def natural(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, DataFrame]:

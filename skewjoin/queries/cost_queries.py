@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -92,9 +94,8 @@ def observed_against_model(spark: SparkSession, sf_dir: str) -> DataFrame:
     hot, profile = observe(x, w.p, w.n)
     keys = [h.key for h in hot]
     from ..operators.routes import POLICIES
-    from ..operators.strategies import Sides
 
-    only = Sides(x.r.where(F.col("a").isin(*keys)), x.s.where(F.col("b").isin(*keys)), "a", "b", x.r_hash, x.s_hash)
+    only = replace(x, r=x.r.where(F.col("a").isin(*keys)), s=x.s.where(F.col("b").isin(*keys)))
     out = None
     for name in ("hash_all", "stay_replicate"):
         seen = metrics.moved(only, hot, POLICIES[name], w.n).agg(F.sum("moved").alias("observed"))

@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators import merge, strategies
 from ..operators.dispatch import choose_per_value, observe, skew_join
 from ..operators.routes import POLICIES, partition
-from ..operators.strategies import Sides, routed
+from ..operators.strategies import routed
 from ..plans import classify, metrics, stats
 from ..plans.workloads import FULL_R, FULL_S, Workload, intro, literal, micro, natural
 from ..sources.catalog import load
@@ -62,7 +64,7 @@ def branch_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
 def auto_join(spark: SparkSession, sf_dir: str, w: Workload = ZIPF) -> DataFrame:
     """The public entry: detect, choose, join, aggregate per key."""
     x = w.sides(spark, sf_dir)
-    return per_key(skew_join(x.r, x.s, "a", "b", p=w.p, n=w.n))
+    return per_key(skew_join(x.r, x.s, "a", "b", p=w.p, n=w.n, placement=("src", "src"), hash_columns=(["rh"], ["sh"])))
 
 
 def _routes(policy: str, w: Workload = ZIPF):
@@ -170,10 +172,13 @@ FROM r {how.upper()} JOIN s ON {on} GROUP BY 1, 2"""
 # ---- natural skew, filters, intermediates, the literal examples ----
 
 
-def _natural(name: str, p: float, strategy: str = "auto"):
+def _natural(name: str, p: float, strategy: str = "auto", parts: int = 0, physical: str = "auto"):
+    """parts: of both inputs, more than the 6 nodes."""
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         r, s = natural(spark, sf_dir, name)
-        out = skew_join(r, s, "a", "b", strategy=strategy, p=p, n=6)
+        if parts:
+            r, s = r.repartition(parts), s.repartition(parts)
+        out = skew_join(r, s, "a", "b", strategy=strategy, p=p, n=6, physical=physical)
         return out.groupBy(F.col("a").cast("string").alias("key")).agg(F.count(F.lit(1)).alias("pairs"))
     return run
 
@@ -187,7 +192,7 @@ def filtered_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Statistics of a filtered base table, then the join of what is left."""
     x = ZIPF.sides(spark, sf_dir)
     r = x.r.where("r_qty <= 3")
-    hot, _ = observe(Sides(r, x.s, "a", "b", x.r_hash, x.s_hash), ZIPF.p, ZIPF.n)
+    hot, _ = observe(replace(x, r=r), ZIPF.p, ZIPF.n)
     return per_key(skew_join(r, x.s, "a", "b", p=ZIPF.p, n=ZIPF.n, hot=hot))
 
 
@@ -259,7 +264,7 @@ def null_keys(spark: SparkSession, sf_dir: str) -> DataFrame:
     x = ZIPF.sides(spark, sf_dir)
     r = x.r.withColumn("a", F.when(F.col("rh") % 10 != 0, F.col("a")))
     s = x.s.withColumn("b", F.when(F.col("sh") % 10 != 0, F.col("b")))
-    sides = Sides(r, s, "a", "b", x.r_hash, x.s_hash)
+    sides = replace(x, r=r, s=s)
     hot, _ = observe(sides, ZIPF.p, ZIPF.n)
     return per_key(routed(sides, hot, POLICIES["four_route"], ZIPF.n))
 

@@ -5,6 +5,7 @@ from __future__ import annotations
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 TABLES = (
     "region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events",
@@ -57,6 +58,14 @@ def staged(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def text_bytes(df: DataFrame) -> int:
+    """Bytes of all values of df as text, and 16 for each value: a measured size, by one aggregation of df."""
+    quoted = ["`" + c.replace("`", "``") + "`" for c in dict.fromkeys(df.columns)]
+    values = [F.coalesce(F.octet_length(F.to_json(F.struct(F.col(c)))), F.lit(0)) for c in quoted]
+    total = sum((v.cast("long") for v in values), F.lit(16 * len(df.columns)).cast("long"))
+    return df.agg(F.sum(total)).first()[0] or 0
+
+
 def consume(df: DataFrame) -> None:
     """Run df to the end without keeping its rows: the timing sink."""
     df.write.format("noop").mode("overwrite").save()

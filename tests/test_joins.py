@@ -161,7 +161,7 @@ def test_empty_sides_single_row_and_one_key(spark):
 def test_skew_join_plain_without_skew(spark):
     r, s = [(i, i % 3) for i in range(40)], [(i, i % 3) for i in range(40)]
     x = sides(spark, r, s)
-    out = skew_join(x.r, x.s, "a", "b", p=0.2, n=3)
+    out = skew_join(x.r, x.s, "a", "b", p=0.2, n=3, placement=("src", "src"))
     assert pairs(out) == expected(r, s)
 
 
