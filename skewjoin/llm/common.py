@@ -3,9 +3,11 @@
 from __future__ import annotations
 
 import ctypes
+import re
 import sys
 import tempfile
 import uuid
+import weakref
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -31,16 +33,15 @@ def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share: spark.checkpoint.dir, or one of our own where it is unset."""
-    path = spark.conf.get("spark.checkpoint.dir", None)
-    if path:
-        return path.rstrip("/")
-    sc = spark.sparkContext
-    have = sc.getCheckpointDir()
-    if not have:
-        sc.setCheckpointDir(tempfile.mkdtemp(prefix="skewjoin-shared-"))
-        have = sc.getCheckpointDir()
-    return have.rstrip("/")
+    """The folder all executors share: spark.checkpoint.dir.  Where it is unset, a local session gets a
+    temporary folder; on a cluster no folder of one machine would do, so that is an error."""
+    path = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if not path:
+        if not re.match(r"local(\[|$)", spark.sparkContext.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
+        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="skewjoin-shared-"))
+        path = spark.sparkContext.getCheckpointDir()
+    return path.rstrip("/")
 
 
 def stage(df: DataFrame, name: str) -> DataFrame:
@@ -48,7 +49,22 @@ def stage(df: DataFrame, name: str) -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    _STAGED[out] = path
+    return out
+
+
+_STAGED: weakref.WeakKeyDictionary = weakref.WeakKeyDictionary()
+
+
+def release(*frames: DataFrame) -> None:
+    """Delete the files of staged frames that nothing reads any more."""
+    for df in frames:
+        path = _STAGED.pop(df, None)
+        if path is not None:
+            spark = df.sparkSession
+            where = spark._jvm.org.apache.hadoop.fs.Path(path)
+            where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
 
 
 def slices(offsets: np.ndarray, limit: int = SLICE_BYTES) -> Iterator[tuple[int, int]]:
@@ -105,13 +121,32 @@ def map_batches(df: DataFrame, fn: Callable[[pa.RecordBatch], Iterator[pa.Record
     return df.mapInArrow(released(run), schema)
 
 
-def components(edges: DataFrame, a: str = "a", b: str = "b", rounds: int = 40) -> DataFrame:
-    """(node, component): the smallest node reachable, for each node that has an edge.
+#: Keys with over 1 / HUBS of all rows are joined by broadcast; there are at most HUBS of them.
+HUBS = 1000
+
+
+def hub_join(rows: DataFrame, small: DataFrame, key: str, size: str, total: int) -> DataFrame:
+    """rows joined by `key` with `small`, one row a key, whose column `size` is at least the number of rows of the key.
+
+    total: the sum of `size`.  A key with a large part of the rows would be one task of a shuffled
+    join; such keys, at most HUBS, are sent to the rows instead.
+    """
+    bound = max(total / HUBS, 1000)
+    if total <= bound:
+        return rows.join(small, key)
+    hubs = F.broadcast(small.where(F.col(size) > bound))
+    light = rows.join(hubs.select(key), key, "left_anti").join(small.where(F.col(size) <= bound), key)
+    return rows.join(hubs, key).unionByName(light)
+
+
+def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
+    """(node, component), staged: the smallest node reachable, for each node that has an edge.
 
     Alternating large-star and small-star rounds on the distributed edge list, each a
-    groupBy of linear size, staged in the shared folder; ends when an edge list repeats
-    itself.  A node with very many neighbours is combined before the shuffle (min), and
-    its edges stay separate rows, so no group is collected.  Null ends are dropped.
+    groupBy of linear size, staged in the shared folder, until an edge list repeats itself
+    (the rounds grow with the logarithm of the longest chain).  A node with very many
+    neighbours is combined before the shuffle (min), its edges stay separate rows, and
+    what it learns is sent to them, so no group is collected.  Null ends are dropped.
     """
 
     def both(e: DataFrame) -> DataFrame:
@@ -127,28 +162,27 @@ def components(edges: DataFrame, a: str = "a", b: str = "b", rounds: int = 40) -
     )
     cur = stage(cur, "cc")
     last = digest(cur)
-    for _ in range(rounds):
-        if last[0] == 0:
-            break
+    while last[0]:
         # large star: larger neighbours of every node move to its smallest neighbour
         two = both(cur)
-        low = two.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"))
-        big = two.where("b > a").join(low, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
+        low = two.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"), F.count(F.lit(1)).alias("size"))
+        big = hub_join(two.where("b > a"), low, "a", "size", 2 * last[0]).select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
         # small star: a node and its smaller neighbours move to the smallest of them
-        low2 = big.groupBy("a").agg(F.min("b").alias("m"))
-        cur = (
-            big.join(low2, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b")
+        low2 = big.groupBy("a").agg(F.min("b").alias("m"), F.count(F.lit(1)).alias("size"))
+        new = (
+            hub_join(big, low2, "a", "size", last[0]).select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b")
             .union(low2.select("a", F.col("m").alias("b"))).distinct()
         )
-        cur = stage(cur, "cc")
-        now = digest(cur)
+        new = stage(new, "cc")
+        release(cur)
+        cur, now = new, digest(new)
         if now == last:
             break
         last = now
-    else:
-        raise RuntimeError("components did not settle")
     node = cur.groupBy("a").agg(F.min("b").alias("component"))
     roots = cur.select("b").distinct().select(F.col("b").alias("node"), F.col("b").alias("component"))
-    return node.select(F.col("a").alias("node"), "component").union(
+    out = stage(node.select(F.col("a").alias("node"), "component").union(
         roots.join(node.select(F.col("a").alias("node")), "node", "left_anti")
-    )
+    ), "components")
+    release(cur)
+    return out

@@ -22,20 +22,20 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import column, components, map_batches, stage
-from .grouping import block_rows, join_components, open_clusters, propose
+from .common import column, components, hub_join, map_batches, release, stage
+from .grouping import block_rows, join_components, open_blocks, open_clusters, propose
 from .sampling import bounded_sample
 
 SAMPLE = 4000  # bound of the sample the rotation is learned on
 BITS = 64
 TABLES = 4
 RERANK_MARGIN = 17.5 / BITS  # share of differing bits up to which a pair is reranked
-BLOCK = 1500
-TOLERANCE = 1e-12
+SURE = 5.5 / BITS  # share of differing bits up to which a pair is nearly always a link
+BLOCK = 8192
 
 
 class Rotation:
-    """Mean, projection and number of bits for vectors of one length."""
+    """Mean and projection to BITS coordinates for vectors of one length."""
 
     def __init__(self, mean: np.ndarray, project: np.ndarray):
         self.mean, self.project = mean, project
@@ -46,8 +46,16 @@ class Rotation:
         return (bits * weight).sum(axis=1, dtype=np.uint64)
 
 
+def _orthogonal(n: int, seed: int) -> np.ndarray:
+    return np.linalg.qr(np.random.default_rng(seed).normal(size=(n, n)))[0]
+
+
 def learn_rotation(unit: np.ndarray, rounds: int = 30, seed: int = 5) -> Rotation:
-    """Iterative quantisation: alternate the signs of the rotated data and the rotation nearest to them."""
+    """Iterative quantisation: alternate the signs of the rotated data and the rotation nearest to them.
+
+    Vectors of fewer than BITS components get several rotations, from different starts, so that
+    every code has BITS bits and its substrings tell vectors apart.
+    """
     dim = unit.shape[1]
     bits = min(BITS, dim)
     mean = unit.mean(axis=0) if len(unit) else np.zeros(dim)
@@ -55,12 +63,21 @@ def learn_rotation(unit: np.ndarray, rounds: int = 30, seed: int = 5) -> Rotatio
     _, _, directions = np.linalg.svd(x if len(x) >= dim else np.vstack([x, np.eye(dim) * 1e-6]), full_matrices=False)
     w = directions[:bits].T
     v = x @ w
-    rotation, _ = np.linalg.qr(np.random.default_rng(seed).normal(size=(bits, bits)))
-    for _ in range(rounds):
-        signs = np.where(v @ rotation > 0, 1.0, -1.0)
-        a, _, b = np.linalg.svd(signs.T @ v)
-        rotation = (a @ b).T
-    return Rotation(mean, w @ rotation)
+    parts = []
+    for start in range(-(-BITS // bits)):
+        rotation = _orthogonal(bits, seed + start)
+        for _ in range(rounds if start == 0 else 3):  # later ones stay near their starts: all would end alike
+            signs = np.where(v @ rotation > 0, 1.0, -1.0)
+            a, _, b = np.linalg.svd(signs.T @ v)
+            rotation = (a @ b).T
+        parts.append(w @ rotation)
+    return Rotation(mean, np.hstack(parts)[:, :BITS])
+
+
+def drawn_rotation(dim: int, seed: int = 5) -> Rotation:
+    """Directions for a length of vector that no sample holds: drawn, not learned."""
+    rng = np.random.default_rng([seed, dim])
+    return Rotation(np.zeros(dim), rng.normal(size=(dim, BITS)))
 
 
 def unit_rows(values: pa.Array) -> tuple[list[np.ndarray], np.ndarray]:
@@ -100,8 +117,7 @@ def encode(vectors: DataFrame, rotations: dict[int, Rotation]) -> DataFrame:
         code = np.zeros(len(rows), dtype=np.uint64)
         for d in np.unique(dims):
             at = np.flatnonzero(dims == d)
-            if int(d) in rotations:
-                code[at] = rotations[int(d)].codes(np.stack([rows[i] for i in at]))
+            code[at] = (rotations.get(int(d)) or drawn_rotation(int(d))).codes(np.stack([rows[i] for i in at]))
         if len(rows):
             yield pa.RecordBatch.from_arrays(
                 [pa.array(ids.astype(np.int64)), pa.array(dims), pa.array(code.view(np.int64)), pa.array([r.tobytes() for r in rows], pa.binary())],
@@ -112,7 +128,7 @@ def encode(vectors: DataFrame, rotations: dict[int, Rotation]) -> DataFrame:
 
 
 def fit_rotations(vectors: DataFrame) -> dict[int, Rotation]:
-    """A rotation for each length of vector in a bounded sample; other lengths get the code 0."""
+    """A rotation for each length of vector in a bounded sample; other lengths get drawn directions."""
     rows = bounded_sample(vectors.where("v is not null"), "id", SAMPLE)
     by: dict[int, list] = {}
     for r in rows:
@@ -146,7 +162,7 @@ def confirm(pairs: DataFrame, units: DataFrame, least: float) -> DataFrame:
     def run(batch: pa.RecordBatch):
         ua, ub = column(batch, "ua").to_pylist(), column(batch, "ub").to_pylist()
         cos = np.array([np.dot(np.frombuffer(x), np.frombuffer(y)) if len(x) == len(y) else -1.0 for x, y in zip(ua, ub)])
-        ok = pa.array(np.flatnonzero(cos >= least - TOLERANCE))
+        ok = pa.array(np.flatnonzero(cos >= least))
         if len(ok):
             yield pa.RecordBatch.from_arrays([column(batch, c).take(ok) for c in ("a", "b")], names=["a", "b"])
 
@@ -160,7 +176,7 @@ def exact(least: float):
         return np.stack([np.frombuffer(b) for b in blobs])
 
     def linked(x, i: int, rest: np.ndarray) -> np.ndarray:
-        return x[rest] @ x[i] >= least - TOLERANCE
+        return x[rest] @ x[i] >= least
 
     return load, linked
 
@@ -174,7 +190,7 @@ def count_links(units: DataFrame, comp: DataFrame, least: float) -> DataFrame:
     rows = units.join(comp.select(F.col("node").alias("id"), "component"), "id")
     size = comp.groupBy("component").agg(F.count(F.lit(1)).alias("c"))
     n = F.ceil(F.col("c") / BLOCK).cast("int")
-    rows = rows.join(size, "component").withColumn("blk", F.pmod(F.xxhash64("id"), n).cast("int"))
+    rows = hub_join(rows, size, "component", "c", comp.count()).withColumn("blk", F.pmod(F.xxhash64("id"), n).cast("int"))
     rows = rows.select("component", "id", "m", "unit", "blk", F.explode(F.sequence(F.lit(0), n - 1)).alias("o")).select(
         "component", F.least("blk", "o").alias("i"), F.greatest("blk", "o").alias("j"), "id", "m", "unit", "blk"
     )
@@ -187,7 +203,7 @@ def count_links(units: DataFrame, comp: DataFrame, least: float) -> DataFrame:
         out = np.zeros(len(ids), dtype=np.int64)
         for at in range(0, len(left), 512):
             some = left[at : at + 512]
-            near = (x[some] @ x[right].T) >= least - TOLERANCE
+            near = (x[some] @ x[right].T) >= least
             if i == j:
                 near &= some[:, None] != right[None]
             out[some] += near @ m[right]
@@ -212,18 +228,24 @@ def near_vectors(vectors: DataFrame, least: float = 0.9, id_col: str = "vec_id",
     rotations = fit_rotations(named)
     codes = stage(encode(named.join(reps.select("id"), "id", "left_semi"), rotations).dropDuplicates(["id"]).join(reps, "id"), "codes")
     keyed = bucket_keys(codes).distinct()
-    shared = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("c")).where("c > 1")
+    shared = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("c"), F.min("id").alias("lead")).where("c > 1")
     groups = stage(keyed.join(shared, "key"), "groups")
     sigs = _signatures(codes)
-    pairs = stage(propose(block_rows(groups, sigs), hamming_similarity, 1 - RERANK_MARGIN), "pairs")
-    clusters = stage(components(pairs), "clusters")
+    pairs = stage(propose(block_rows(groups, sigs), hamming_similarity, 1 - RERANK_MARGIN, 1 - SURE), "pairs")
     links = stage(confirm(pairs.select("a", "b"), codes, least), "links")
-    comp = stage(components(links), "components")
+    comp = components(links)
+    crossing = open_blocks(groups, sigs, comp)
+    if crossing is not None:
+        extra = stage(propose(crossing, hamming_similarity, 1 - RERANK_MARGIN, 1 - SURE), "pairs")
+        links = stage(links.union(confirm(extra.select("a", "b"), codes, least)), "links")
+        pairs, comp = pairs.union(extra), components(links)
+    clusters = components(pairs)
     units = codes.select("id", F.col("unit").alias("payload"))
     more = stage(join_components(open_clusters(clusters, comp, units, BLOCK), *exact(least)), "links")
     if more.limit(1).count():
-        comp = stage(components(links.union(more)), "components")
-    counts = count_links(codes.select("id", "m", "unit"), comp, least)
+        comp = components(links.union(more))
+    counts = stage(count_links(codes.select("id", "m", "unit"), comp, least), "counts")
+    release(groups, pairs, links, clusters, more)
     valid = codes.select(F.col("id").alias("class_id"), F.lit(True).alias("valid"))
     out = (
         member.join(comp.withColumnRenamed("node", "class_id"), "class_id", "left")

@@ -1,12 +1,15 @@
 """Candidate pairs inside shared-key groups, without emitting all pairs of a group.
 
-A group's members are compared by packed signatures, and a maximum spanning forest of the
-similar pairs goes on: fewer edges than members.  The proposals connect the candidates into
+A group's members are compared by packed signatures, and a spanning forest of the similar
+pairs goes on: fewer edges than members.  The proposals connect the candidates into
 clusters; every similar pair of a group lies inside one cluster.  The likely proposals are
 confirmed pair by pair.  Clusters that confirmed links don't hold together yet are then
 compared exactly, member by member across components, where the data of a block lie, and
-only links that join components come out.  Groups and clusters over a block's size are dealt
-into pairs of blocks, each its own group, so no task holds an unbounded one.
+only links that join components come out.
+
+A group over a block's size is cut into blocks, each compared with itself and with the group's
+leader, so every member travels once.  Only if confirmed links leave such a group in several
+components are its blocks compared pair by pair, as an exact answer needs.
 """
 
 from __future__ import annotations
@@ -18,9 +21,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import small_batches
+from .common import hub_join, released, small_batches
 
-BLOCK = 1024
+BLOCK = 8192
 SMALL = 48  # groups up to this size are compared together, vectorised over groups
 
 Similarity = Callable[[np.ndarray, np.ndarray], np.ndarray]
@@ -38,8 +41,28 @@ def _dealt(rows: DataFrame, key: str, size: str, block: int, *keep: str) -> Data
 
 
 def block_rows(groups: DataFrame, sigs: DataFrame) -> DataFrame:
-    """(key, i, j, id, blk, sig) sorted by group, from groups (key, id, c: members) and sigs (id, sig)."""
-    return _dealt(groups.join(sigs, "id"), "key", "c", BLOCK, "sig")
+    """(key, i, j, id, blk, sig) sorted by block, from groups (key, id, c: members, lead: the smallest) and sigs (id, sig).
+
+    A large group's leader is in each of its blocks.
+    """
+    n = F.ceil(F.col("c") / BLOCK).cast("int")
+    own = F.pmod(F.xxhash64("id"), n).cast("int")
+    rows = groups.join(sigs, "id").select(
+        "key", "id", "sig", F.explode(F.when(F.col("id") == F.col("lead"), F.sequence(F.lit(0), n - 1)).otherwise(F.array(own))).alias("i")
+    )
+    rows = rows.select("key", "i", F.col("i").alias("j"), "id", F.col("i").alias("blk"), "sig")
+    return rows.repartition("key", "i").sortWithinPartitions("key", "i", "id")
+
+
+def open_blocks(groups: DataFrame, sigs: DataFrame, comp: DataFrame) -> DataFrame | None:
+    """The rows of groups of several blocks that confirmed links leave in several components, dealt into pairs of blocks."""
+    large = groups.where(F.col("c") > BLOCK)
+    if not large.limit(1).count():
+        return None
+    named = large.join(comp.select(F.col("node").alias("id"), F.col("component").alias("comp")), "id", "left").withColumn("comp", F.coalesce("comp", "id"))
+    parted = named.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count(F.lit(1)).alias("size")).where("lo <> hi")
+    rows = hub_join(large, parted.select("key", "size"), "key", "size", large.count())
+    return _dealt(rows.join(sigs, "id"), "key", "c", BLOCK, "sig")
 
 
 def open_clusters(clusters: DataFrame, comp: DataFrame, payload: DataFrame, block: int) -> DataFrame:
@@ -51,7 +74,7 @@ def open_clusters(clusters: DataFrame, comp: DataFrame, payload: DataFrame, bloc
         comp.select(F.col("node").alias("id"), F.col("component").alias("comp")), "id", "left"
     ).withColumn("comp", F.coalesce("comp", "id"))
     open_ = named.groupBy("cluster").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count(F.lit(1)).alias("c")).where("lo <> hi")
-    rows = named.join(open_.select("cluster", "c"), "cluster").join(payload, "id")
+    rows = hub_join(named, open_.select("cluster", "c"), "cluster", "c", clusters.count()).join(payload, "id")
     return _dealt(rows, "cluster", "c", block, "comp", "payload")
 
 
@@ -73,23 +96,30 @@ def kruskal(a: np.ndarray, b: np.ndarray, s: np.ndarray) -> list[int]:
     return out
 
 
-def _prim(sig, similarity, cutoff) -> list[tuple[int, int]]:
+def _prim(sig, similarity, cutoff, sure) -> list[tuple[int, int]]:
+    """A spanning forest of a group: a star if all are surely similar to the first, else a maximum one."""
     n = len(sig)
-    best, parent, left = np.full(n, -1.0), np.full(n, -1), np.ones(n, dtype=bool)
-    at, out = 0, []
-    for _ in range(n - 1):
-        left[at] = False
-        rest = np.flatnonzero(left)
-        s = similarity(sig[at], sig[rest])
-        up = s > best[rest]
-        best[rest[up]], parent[rest[up]] = s[up], at
-        at = int(rest[best[rest].argmax()])
-        if best[at] >= cutoff:
-            out.append((int(parent[at]), at))
+    s = similarity(sig[0], sig[1:])
+    if (s >= sure).all():
+        return [(0, i) for i in range(1, n)]
+    rest, place = sig[1:].copy(), np.arange(1, n)
+    best, parent = s.copy(), np.zeros(n - 1, dtype=np.int64)
+    out = []
+    for k in range(n - 1, 0, -1):
+        j = int(best[:k].argmax())
+        if best[j] >= cutoff:
+            out.append((int(parent[j]), int(place[j])))
+        at, mine = int(place[j]), rest[j].copy()
+        for x in (rest, place, best, parent):  # the last takes its place
+            x[j] = x[k - 1]
+        if k > 1:
+            s = similarity(mine, rest[: k - 1])
+            up = s > best[: k - 1]
+            best[: k - 1][up], parent[: k - 1][up] = s[up], at
     return out
 
 
-def _proposed(ids, sig, cut, similarity, cutoff):
+def _proposed(ids, sig, cut, similarity, cutoff, sure):
     """(a, b, similarity) of the forests of consecutive groups with bounds `cut`."""
     size, first = np.diff(cut), cut[:-1]
     group = np.repeat(np.arange(len(size)), size)
@@ -114,7 +144,7 @@ def _proposed(ids, sig, cut, similarity, cutoff):
                 keep[lo + np.array(kruskal(x[lo:hi], y[lo:hi], s[lo:hi]))] = True
         xs, ys, ss = [x[keep]], [y[keep]], [s[keep]]
     for f, n in zip(first[size > SMALL], size[size > SMALL]):
-        if pairs := _prim(sig[f : f + n], similarity, cutoff):
+        if pairs := _prim(sig[f : f + n], similarity, cutoff, sure):
             p = np.array(pairs) + f
             xs.append(p[:, 0]), ys.append(p[:, 1]), ss.append(similarity(sig[p[:, 0]], sig[p[:, 1]]))
     if not xs:
@@ -147,19 +177,19 @@ def _whole_groups(batches):
         yield carry.combine_chunks()
 
 
-def propose(rows: DataFrame, similarity: Similarity, cutoff: float) -> DataFrame:
-    """Distinct (a, b, s), a > b, of the forests of the groups of block_rows."""
+def propose(rows: DataFrame, similarity: Similarity, cutoff: float, sure: float) -> DataFrame:
+    """Distinct (a, b, s), a > b, of the forests of the groups of block_rows: pairs with a similarity of `cutoff` at least."""
 
     def run(batches):
         for t in _whole_groups(batches):
             ids = t.column("id").to_numpy()
             sig = np.frombuffer(b"".join(t.column("sig").to_pylist()), dtype=np.uint64).reshape(len(ids), -1)
-            p, s = _proposed(ids, sig, _bounds(t), similarity, cutoff)
+            p, s = _proposed(ids, sig, _bounds(t), similarity, cutoff, sure)
             if p.shape[1]:
                 yield pa.RecordBatch.from_arrays([pa.array(p[0]), pa.array(p[1]), pa.array(s.astype(np.float64))], names=["a", "b", "s"])
 
     small_batches(rows.sparkSession)
-    return rows.mapInArrow(run, "a long, b long, s double").dropDuplicates(["a", "b"])
+    return rows.mapInArrow(released(run), "a long, b long, s double").dropDuplicates(["a", "b"])
 
 
 def join_components(rows: DataFrame, load: Callable, linked: Callable) -> DataFrame:
@@ -195,4 +225,4 @@ def join_components(rows: DataFrame, load: Callable, linked: Callable) -> DataFr
                 yield pa.RecordBatch.from_arrays([pa.array(out_a, pa.int64()), pa.array(out_b, pa.int64())], names=["a", "b"])
 
     small_batches(rows.sparkSession)
-    return rows.mapInArrow(run, "a long, b long").distinct()
+    return rows.mapInArrow(released(run), "a long, b long").distinct()

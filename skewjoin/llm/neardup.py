@@ -4,10 +4,10 @@
    PERMUTATIONS minima, of which BITS low bits are kept and packed, the keys of the bands,
    and the text compressed; the result is staged.
 2. Documents with equal sets are one class, represented by its smallest id.
-3. Band keys shared by several classes make groups.  A large group is dealt into pairs
-   of blocks.  Inside a group the packed signatures are compared by counting
-   equal bit fields, corrected for chance agreement, and a maximum spanning forest of the
-   pairs above a generous cutoff goes on: fewer edges than members, never all pairs.
+3. Band keys shared by several classes make groups.  Inside a group, or a block of a large
+   one, the packed signatures are compared by counting equal bit fields, corrected for
+   chance agreement, and a spanning forest of the pairs above a generous cutoff goes on:
+   fewer edges than members, never all pairs.
 4. The likely pairs are confirmed on the whole sets, and confirmed links make components.
 5. The proposed pairs, confirmed or not, make clusters.  In clusters with several components
    the members' whole sets are compared as bit rows, block by block and across components,
@@ -27,8 +27,8 @@ import zstandard
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import column, components, map_batches, slices, stage
-from .grouping import block_rows, join_components, open_clusters, propose
+from .common import column, components, map_batches, release, slices, stage
+from .grouping import block_rows, join_components, open_blocks, open_clusters, propose
 from .wordhash import Words, buffers, mix64, windows
 
 PERMUTATIONS = 128
@@ -213,19 +213,29 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     reps = member.where("doc_id = class_id").select("doc_id").distinct()
     keyed = feats.select("doc_id", "bands").join(reps, "doc_id", "left_semi").select(F.explode("bands").alias("key"), F.col("doc_id").alias("id"))
     keyed = keyed.groupBy("key", "id").agg(F.lit(1).alias("one")).drop("one")
-    shared = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("c")).where("c > 1")
+    shared = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("c"), F.min("id").alias("lead")).where("c > 1")
     groups = stage(keyed.join(shared, "key"), "groups")
     sigs = feats.select(F.col("doc_id").alias("id"), "sig").join(groups.select("id").distinct(), "id", "left_semi")
     sigs = stage(sigs.dropDuplicates(["id"]), "signatures")
-    pairs = stage(propose(block_rows(groups, sigs), similarity, percent / 100 - MARGIN), "pairs")
-    clusters = stage(components(pairs), "clusters")
-    likely = pairs.where(F.col("s") >= percent / 100 - LIKELY).select("a", "b")
-    links = stage(confirm(likely, feats, k, percent), "links")
-    comp = stage(components(links), "components")
+    cutoff, least = percent / 100 - MARGIN, percent / 100
+
+    def confirmed(pairs: DataFrame) -> DataFrame:
+        return stage(confirm(pairs.where(F.col("s") >= least - LIKELY).select("a", "b"), feats, k, percent), "links")
+
+    pairs = stage(propose(block_rows(groups, sigs), similarity, cutoff, least), "pairs")
+    links = confirmed(pairs)
+    comp = components(links)
+    crossing = open_blocks(groups, sigs, comp)
+    if crossing is not None:
+        more = stage(propose(crossing, similarity, cutoff, least), "pairs")
+        links = stage(links.union(confirmed(more)), "links")
+        pairs, comp = pairs.union(more), components(links)
+    clusters = components(pairs)
     texts = feats.select(F.col("doc_id").alias("id"), F.col("z").alias("payload")).dropDuplicates(["id"])
     more = stage(join_components(open_clusters(clusters, comp, texts, CLUSTER_BLOCK), *exact(k, percent)), "links")
     if more.limit(1).count():
-        comp = stage(components(links.union(more)), "components")
+        comp = components(links.union(more))
+    release(feats, classes, groups, sigs, pairs, links, clusters, more)
     out = member.join(comp.withColumnRenamed("node", "class_id"), "class_id", "left").select(
         "doc_id", F.col("n").alias("n_shingles"), F.coalesce("component", "class_id", "doc_id").alias("component_id")
     ).withColumn("kept", F.col("doc_id") == F.col("component_id"))
