@@ -47,7 +47,8 @@ def weighted_targets(sizes: DataFrame, share: float = 1.0, repeats: int = REPEAT
     Sorted by size / weight the capped sources are a prefix, so the level follows from
     running sums over the sources: no iteration.
     """
-    # sources are few beside rows; ranking them needs them in one order, over aggregated rows only
+    # ranking the sources needs them in one order: a task holds one row of six numbers per source, so
+    # that ten million of them still fit; their documents aren't touched
     order = Window.orderBy(F.col("source").isNull(), "source")
     ranked = sizes.withColumn("place", F.row_number().over(order) - 1)
     weight = F.element_at(F.array(*[F.lit(w) for w in WEIGHTS]), F.pmod("place", F.lit(len(WEIGHTS))).cast("int") + 1)
@@ -100,39 +101,45 @@ def curriculum(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     rest = goal - epochs * F.col("source_size")
     taken = epochs * F.col("size") + F.greatest(F.lit(0).cast("long"), F.least(F.col("size"), rest - F.col("start")))
     rows = rows.withColumn("taken", taken.cast("long"))
-    # demand so far at time t: target * ((1 - slope) t + slope t^2); the first copy's middle meets it at t
-    share_at = F.least(F.lit(1.0), (F.col("start") + F.least("size", "taken") / 2) / F.when(F.col("target") > 0, F.col("target")))
+    rows = rows.withColumn("position", F.when(F.col("taken") > 0, position_of(F.lit(0))))
+    return rows.select("doc_id", "source", "size", "source_size", "target", "taken", "position", "start", "slope")
+
+
+def position_of(copy: Column) -> Column:
+    """The training time of a copy: when the source's demand so far meets the middle of its words.
+
+    Demand so far at time t is target * ((1 - slope) t + slope t^2); copy c of a document starts
+    c times the source's size after its first, and the last copy may be cut.
+    """
+    words = F.least("size", F.col("taken") - copy * F.col("size"))
+    share_at = F.least(F.lit(1.0), (F.col("start") + copy * F.col("source_size") + words / 2) / F.when(F.col("target") > 0, F.col("target")))
     a, b = F.col("slope"), 1 - F.col("slope")
     t = F.when(F.abs(a) < 1e-9, share_at).otherwise((-b + F.sqrt(F.greatest(F.lit(0.0), b * b + 4 * a * share_at))) / (2 * F.when(F.abs(a) >= 1e-9, a)))
-    rows = rows.withColumn("position", F.when(F.col("taken") > 0, F.least(F.lit(1.0), t)))
-    return rows.select("doc_id", "source", "size", "source_size", "target", "taken", "position")
+    return F.least(F.lit(1.0), t)
 
 
 def copies(mixed: DataFrame) -> DataFrame:
-    """One row per copy of each taken document, (doc_id, copy, position), range-sorted by training position.
+    """One row per copy of each taken document, (doc_id, copy, position), range-sorted by training position."""
+    rows = mixed.where("taken > 0").withColumn("copy", F.explode(F.sequence(F.lit(0), _n_copies() - 1)))
+    return rows.withColumn("position", position_of(F.col("copy"))).select("doc_id", "copy", "position").orderBy("position", "doc_id", "copy")
 
-    Copy c of a document comes source_size words later in its source's stream than copy c - 1.
-    """
-    n = F.ceil(F.col("taken") / F.when(F.col("size") > 0, F.col("size"))).cast("int")
-    rows = mixed.where("taken > 0").withColumn("copy", F.explode(F.sequence(F.lit(0), n - 1)))
-    step = F.col("source_size") / F.col("target")
-    rows = rows.withColumn("position", F.least(F.lit(1.0), F.col("position") + F.col("copy") * step))
-    return rows.select("doc_id", "copy", "position").orderBy("position", "doc_id", "copy")
+
+def _n_copies() -> Column:
+    return F.ceil(F.col("taken") / F.when(F.col("size") > 0, F.col("size"))).cast("int")
 
 
 def mixture(docs: DataFrame, **options) -> DataFrame:
     """docs, with all their columns, as the mix takes them: a row per copy, range-sorted by training position.
 
-    Rows without an id can't be drawn and are left out; rows that share an id are drawn together.
+    Rows that share an id are drawn together, and so are those without one: each comes as often,
+    and at the same times, as the one of them that the mix takes most of.
     """
-    drawn = curriculum(docs, **options).where("doc_id is not null")
-    once = drawn.groupBy("doc_id").agg(F.max(F.struct("taken", "size", "source_size", "target", "position")).alias("m")).select("doc_id", "m.*")
-    n = F.ceil(F.col("taken") / F.when(F.col("size") > 0, F.col("size"))).cast("int")
-    plan = once.where("taken > 0").select(
-        F.col("doc_id").alias("__mix_id"), n.alias("__mix_n"), F.col("position").alias("__mix_at"), (F.col("source_size") / F.col("target")).alias("__mix_step")
-    )
-    rows = docs.join(plan, F.col("doc_id") == F.col("__mix_id")).withColumn("__mix_copy", F.explode(F.sequence(F.lit(0), F.col("__mix_n") - 1)))
-    rows = rows.withColumn("__mix_at", F.least(F.lit(1.0), F.col("__mix_at") + F.col("__mix_copy") * F.col("__mix_step")))
+    drawn = curriculum(docs, **options)
+    once = drawn.groupBy("doc_id").agg(F.max(F.struct("taken", "size", "source_size", "target", "start", "slope")).alias("m")).select("doc_id", "m.*")
+    times = F.transform(F.sequence(F.lit(0), _n_copies() - 1), lambda c: position_of(c))
+    plan = once.where("taken > 0").select(F.col("doc_id").alias("__mix_id"), times.alias("__mix_times"))
+    rows = docs.join(plan, F.col("doc_id").eqNullSafe(F.col("__mix_id")))
+    rows = rows.select(*[F.col(c) for c in docs.columns], F.posexplode("__mix_times").alias("__mix_copy", "__mix_at"))
     return rows.orderBy("__mix_at", "doc_id", "__mix_copy").select(docs.columns)
 
 
