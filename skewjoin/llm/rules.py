@@ -3,9 +3,10 @@
 Base measures of every whole text, then per (language, source) a mergeable quantile
 sketch of each ratio, then fences from the sketches joined back to filter.
 
-The sketch is a histogram over integer permille bins, 0..BINS: two sketches merge by
-adding counters, its size is bounded whatever the number of rows, and its rank error
-is zero at bin resolution.  Rows are combined into counters before the shuffle, so a
+The sketch is a histogram over integer permille bins, single up to EXACT, beyond it a
+thousandth of their value wide: two sketches merge by adding counters, its size grows with
+the logarithm of the largest value whatever the number of rows, and its rank error is zero
+at bin resolution.  Fences hold against the unrounded ratios.  Rows are combined into counters before the shuffle, so a
 source with a third of all rows is one small group.
 
 Edge cases: a null or empty text has no words, all measures 0, base_failed, not kept.
@@ -25,7 +26,7 @@ from .wordhash import Words, buffers, mix64, spans_hash, windows
 
 #: Ratios in permille (word length in tenths), the smallest spread a fence may use, and whether it has a lower side.
 RATIOS = {"r_symbols": (20, False), "r_dup_lines": (150, False), "r_repeat": (100, False), "r_word_len": (10, True)}
-BINS = 2000
+EXACT = 2048
 FENCE = 3
 MEASURES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines")
 
@@ -110,7 +111,7 @@ def base_measures(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
 def with_ratios(base: DataFrame) -> DataFrame:
     # integer division keeps every bin exact
     def whole(top: str, bottom: str, scale: int):
-        return F.expr(f"cast(case when {bottom} > 0 then least({BINS}, ({scale} * {top}) div {bottom}) else 0 end as int)")
+        return F.expr(f"case when {bottom} > 0 then ({scale} * {top}) div {bottom} else 0L end")
 
     return base.withColumns({
         "r_symbols": whole("n_symbols", "word_chars", 1000),
@@ -121,11 +122,17 @@ def with_ratios(base: DataFrame) -> DataFrame:
     })
 
 
+def binned(ratio: str):
+    """The lowest value of a ratio's bin: its eleven leading bits."""
+    width = F.expr(f"greatest(0, cast(floor(log2(greatest({ratio}, 1L))) as int) - 10)")
+    return F.call_function("shiftleft", F.call_function("shiftright", F.col(ratio), width), width)
+
+
 def sketch(rows: DataFrame) -> DataFrame:
     """Histogram counters (lang, source, measure, bin, n) of the rows that passed the base rules."""
     long = rows.where("not base_failed").select(
         "lang", "source",
-        F.explode(F.array(*[F.struct(F.lit(r).alias("measure"), F.col(r).alias("bin")) for r in RATIOS])).alias("x"),
+        F.explode(F.array(*[F.struct(F.lit(r).alias("measure"), binned(r).alias("bin")) for r in RATIOS])).alias("x"),
     )
     return long.groupBy("lang", "source", F.col("x.measure").alias("measure"), F.col("x.bin").alias("bin")).agg(F.count(F.lit(1)).alias("n"))
 
@@ -141,7 +148,7 @@ def merge_sketches(*parts: DataFrame) -> DataFrame:
 def fences(counters: DataFrame) -> DataFrame:
     """(lang, source, <ratio>_lo, <ratio>_hi) from the quartiles of each sketch.
 
-    Each sketch has at most BINS + 1 counters, so folding its sorted counters is bounded.
+    Each sketch has at most EXACT + 1024 * log2(largest / EXACT) counters, so folding its sorted counters is bounded.
     """
     hist = counters.groupBy("lang", "source", "measure").agg(
         F.array_sort(F.collect_list(F.struct("bin", "n"))).alias("h"), F.sum("n").alias("total")
@@ -149,7 +156,7 @@ def fences(counters: DataFrame) -> DataFrame:
 
     def quantile(quarters: int):
         return F.aggregate(
-            "h", F.struct(F.lit(0).cast("long").alias("c"), F.lit(None).cast("int").alias("q")),
+            "h", F.struct(F.lit(0).cast("long").alias("c"), F.lit(None).cast("long").alias("q")),
             lambda s, x: F.struct(
                 (s["c"] + x["n"]).alias("c"),
                 F.when(s["q"].isNotNull(), s["q"]).when((s["c"] + x["n"]) * 4 >= F.col("total") * quarters, x["bin"]).alias("q"),
@@ -205,15 +212,15 @@ m AS (
   FROM w LEFT JOIN cov USING (doc_id)),
 r AS (
   SELECT *, n_words < 10 OR 100 * n_repeat_words > 20 * n_words AS base_failed,
-         CASE WHEN word_chars > 0 THEN least(2000, (1000 * n_symbols) // word_chars) ELSE 0 END AS r1,
-         CASE WHEN n_lines > 0 THEN least(2000, (1000 * n_dup_lines) // n_lines) ELSE 0 END AS r2,
-         CASE WHEN n_words > 0 THEN least(2000, (1000 * n_repeat_words) // n_words) ELSE 0 END AS r3,
-         CASE WHEN n_words > 0 THEN least(2000, (10 * word_chars) // n_words) ELSE 0 END AS r4
+         CASE WHEN word_chars > 0 THEN (1000 * n_symbols) // word_chars ELSE 0 END AS r1,
+         CASE WHEN n_lines > 0 THEN (1000 * n_dup_lines) // n_lines ELSE 0 END AS r2,
+         CASE WHEN n_words > 0 THEN (1000 * n_repeat_words) // n_words ELSE 0 END AS r3,
+         CASE WHEN n_words > 0 THEN (10 * word_chars) // n_words ELSE 0 END AS r4
   FROM m),
 q AS (
   SELECT lang, source,
-         quantile_disc(r1, 0.75) AS a3, quantile_disc(r1, 0.25) AS a1, quantile_disc(r2, 0.75) AS b3, quantile_disc(r2, 0.25) AS b1,
-         quantile_disc(r3, 0.75) AS c3, quantile_disc(r3, 0.25) AS c1, quantile_disc(r4, 0.75) AS d3, quantile_disc(r4, 0.25) AS d1
+         quantile_disc((r1 >> greatest(0, floor(log2(greatest(r1, 1)))::INT - 10)) << greatest(0, floor(log2(greatest(r1, 1)))::INT - 10), 0.75) AS a3, quantile_disc((r1 >> greatest(0, floor(log2(greatest(r1, 1)))::INT - 10)) << greatest(0, floor(log2(greatest(r1, 1)))::INT - 10), 0.25) AS a1, quantile_disc((r2 >> greatest(0, floor(log2(greatest(r2, 1)))::INT - 10)) << greatest(0, floor(log2(greatest(r2, 1)))::INT - 10), 0.75) AS b3, quantile_disc((r2 >> greatest(0, floor(log2(greatest(r2, 1)))::INT - 10)) << greatest(0, floor(log2(greatest(r2, 1)))::INT - 10), 0.25) AS b1,
+         quantile_disc((r3 >> greatest(0, floor(log2(greatest(r3, 1)))::INT - 10)) << greatest(0, floor(log2(greatest(r3, 1)))::INT - 10), 0.75) AS c3, quantile_disc((r3 >> greatest(0, floor(log2(greatest(r3, 1)))::INT - 10)) << greatest(0, floor(log2(greatest(r3, 1)))::INT - 10), 0.25) AS c1, quantile_disc((r4 >> greatest(0, floor(log2(greatest(r4, 1)))::INT - 10)) << greatest(0, floor(log2(greatest(r4, 1)))::INT - 10), 0.75) AS d3, quantile_disc((r4 >> greatest(0, floor(log2(greatest(r4, 1)))::INT - 10)) << greatest(0, floor(log2(greatest(r4, 1)))::INT - 10), 0.25) AS d1
   FROM r WHERE NOT base_failed GROUP BY lang, source)
 SELECT doc_id, n_words::BIGINT AS n_words, word_chars, n_symbols::BIGINT AS n_symbols, n_dup_lines::BIGINT AS n_dup_lines,
        n_repeat_words::BIGINT AS n_repeat_words, base_failed,
