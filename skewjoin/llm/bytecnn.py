@@ -10,6 +10,12 @@ convolution are plain matrix products on views of the embedded buffer, without c
 from __future__ import annotations
 
 import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from .common import column, map_batches, slices
+from .wordhash import buffers
 
 WIDTH = 4
 EMB = 8
@@ -69,9 +75,10 @@ class ByteCNN:
             # the bytes after the step belong to the responses of its last positions
             upto = min(at + per, len(buf))
             n = upto - at
-            x = self._embed(buf[at : min(upto + WIDTH, len(buf))])
-            if len(x) < (n + WIDTH) * EMB:
-                x = np.concatenate([x, np.zeros((n + WIDTH) * EMB - len(x), np.float32)])
+            part = buf[at : upto + WIDTH]
+            if len(part) < n + WIDTH:  # behind the last text as behind any other: zero bytes
+                part = np.concatenate([part, np.zeros(n + WIDTH - len(part), np.uint8)])
+            x = self._embed(part)
             rows = slice(at // self.block, upto // self.block)
             best = None
             for o in range(WIDTH):
@@ -131,13 +138,43 @@ class ByteCNN:
             v -= lr * (m / (1 - 0.9**self._t)) / (np.sqrt(s / (1 - 0.99**self._t)) + 1e-7)
 
 
-def training_windows(texts: list[bytes], length: int, most: int) -> tuple[np.ndarray, np.ndarray]:
-    """(windows, index of their text): up to `most` evenly spaced windows of each text, zero padded."""
-    win, own = [], []
-    for i, t in enumerate(texts):
-        n = max(1, -(-len(t) // (length // 2)) - 1)
-        for j in np.unique(np.linspace(0, n - 1, min(n, most)).round().astype(int)):
-            part = t[j * (length // 2) : j * (length // 2) + length]
-            win.append(np.frombuffer(part.ljust(length + WIDTH, b"\0"), dtype=np.uint8))
-            own.append(i)
-    return np.stack(win), np.array(own)
+def training_windows(raw: np.ndarray, offsets: np.ndarray, length: int, most: int) -> tuple[np.ndarray, np.ndarray]:
+    """(windows, index of their text): up to `most` half-overlapping windows of each text, zero padded.
+
+    If a text has more, they are spread evenly over the whole of it.
+    """
+    size = np.diff(offsets)
+    n = np.maximum(1, -(-size // (length // 2)) - 1)
+    take = np.minimum(n, most)
+    own = np.repeat(np.arange(len(size)), take)
+    j = np.arange(len(own)) - np.repeat(np.cumsum(take) - take, take)
+    j = np.rint(j * ((n - 1) / np.maximum(take - 1, 1))[own]).astype(np.int64)
+    start = offsets[:-1][own] + j * (length // 2)
+    place = start[:, None] + np.arange(length + WIDTH)
+    # a window's filters read WIDTH bytes further in scoring too, as far as the text goes
+    inside = place < offsets[1:][own][:, None]
+    if not len(raw):
+        return np.zeros(place.shape, dtype=np.uint8), own
+    return np.where(inside, raw[np.minimum(place, len(raw) - 1)], 0).astype(np.uint8), own
+
+
+def chosen_windows(docs: DataFrame, chosen: list[tuple], label: str, length: int, most: int, id_col: str = "doc_id", text_col: str = "text") -> tuple[np.ndarray, np.ndarray, list]:
+    """(windows, index of their text, label of each text) of the chosen rows (id, label), taken from whole texts where they lie.
+
+    chosen is a bounded sample, hence broadcast; what comes back is at most `most` windows a row.
+    """
+    small = docs.sparkSession.createDataFrame(chosen, f"k long, y {label}")
+    rows = docs.select(F.col(id_col).cast("long").alias("k"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text")).join(F.broadcast(small), "k")
+
+    def cut(batch: pa.RecordBatch):
+        raw, offsets = buffers(column(batch, "text"))
+        for a, b in slices(offsets):
+            win, own = training_windows(raw[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], length, most)
+            parts = [win[own == i].tobytes() for i in range(b - a)]
+            yield pa.RecordBatch.from_arrays([column(batch, "k").slice(a, b - a), column(batch, "y").slice(a, b - a), pa.array(parts, pa.binary())], names=["k", "y", "w"])
+
+    got = sorted(((r["k"], r["y"], bytes(r["w"])) for r in map_batches(rows, cut, f"k long, y {label}, w binary").collect()))
+    width = length + WIDTH
+    count = [len(w) // width for _, _, w in got]
+    win = np.frombuffer(b"".join(w for _, _, w in got), dtype=np.uint8).reshape(-1, width)
+    return win, np.repeat(np.arange(len(got)), count), [y for _, y, _ in got]

@@ -16,14 +16,14 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .bytecnn import ByteCNN, layout, training_windows
+from .bytecnn import ByteCNN, chosen_windows, layout, training_windows
 from .common import column, map_batches, slices
 from .sampling import bounded_sample, crc_mod
 from .wordhash import buffers
 
 WINDOW = 256
 TRAIN_ROWS = 3000  # bound of the training sample
-TRAIN_WINDOWS = 4  # most windows of one training text
+TRAIN_WINDOWS = 4  # bound of the windows of one training text, spread over it
 UNDETERMINED = "und"
 
 
@@ -49,12 +49,17 @@ class LanguageModel:
 def train(pairs: list[tuple[str, str]], epochs: int = 6, seed: int = 7) -> LanguageModel:
     """pairs: (text, language). Deterministic for the same pairs and seed."""
     pairs = [(t, y) for t, y in pairs if t and y is not None]
-    langs = sorted({y for _, y in pairs})
+    raw, offsets = buffers(pa.array([t for t, _ in pairs], pa.large_string()))
+    return train_windows(*training_windows(raw, offsets, WINDOW, TRAIN_WINDOWS), [y for _, y in pairs], epochs, seed)
+
+
+def train_windows(win: np.ndarray, own: np.ndarray, labels: list[str], epochs: int = 6, seed: int = 7) -> LanguageModel:
+    """win: windows, own: the text of each, labels: of the texts."""
+    langs = sorted(set(labels))
     if not langs:
         return LanguageModel([], None)
     label = {y: i for i, y in enumerate(langs)}
-    win, own = training_windows([t.encode() for t, _ in pairs], WINDOW, TRAIN_WINDOWS)
-    y = np.array([label[l] for _, l in pairs])[own]
+    y = np.array([label[l] for l in labels])[own]
     net, rng = ByteCNN(12, len(langs), WINDOW, seed), np.random.default_rng(seed)
     # no class may drown the others: inverse root frequency
     freq = np.bincount(y, minlength=len(langs)) / len(y)
@@ -81,11 +86,14 @@ def train(pairs: list[tuple[str, str]], epochs: int = 6, seed: int = 7) -> Langu
 
 
 def fit(rows: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> LanguageModel:
-    """Train on a bounded sample of the rows with a text and a label."""
-    usable = rows.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"), F.col(lang_col).cast("string").alias("lang")).where(
-        "lang is not null and text is not null and length(text) >= 20"
+    """Train on windows of a bounded sample of the rows with a text and a label, spread over the whole of each text."""
+    usable = rows.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"), F.col(lang_col).cast("string").alias("lang")).where(
+        "doc_id is not null and lang is not null and text is not null and length(text) >= 20"
     )
-    return train([(r["text"], r["lang"]) for r in bounded_sample(usable, "doc_id", TRAIN_ROWS, 1 << 16)])
+    chosen = bounded_sample(usable.select("doc_id", "lang").distinct(), "doc_id", TRAIN_ROWS)
+    if not chosen:
+        return LanguageModel([], None)
+    return train_windows(*chosen_windows(usable, [(r["doc_id"], r["lang"]) for r in chosen], "string", WINDOW, TRAIN_WINDOWS))
 
 
 def _predicted(model: LanguageModel, text: pa.Array) -> tuple[np.ndarray, np.ndarray]:

@@ -16,14 +16,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .bytecnn import ByteCNN, layout, training_windows
+from .bytecnn import ByteCNN, chosen_windows, layout, training_windows
 from .common import column, map_batches, slices
 from .sampling import bounded_sample, crc_mod
 from .wordhash import buffers
 
 CHUNK = 256
 TRAIN_ROWS = 4000  # bound of the training sample
-TRAIN_CHUNKS = 10  # most chunks of one training text
+TRAIN_CHUNKS = 40  # bound of the chunks of one training text, spread over it: all of 5 KB
+STEP_CHUNKS = 10  # of them in an epoch
 
 
 def smooth_max(z: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -59,20 +60,30 @@ class QualityModel:
 def train(pairs: list[tuple[str, int]], epochs: int = 7, seed: int = 3) -> QualityModel:
     """pairs: (text, quality 0/1)."""
     pairs = [(t or "", int(q)) for t, q in pairs if q is not None]
-    if len({q for _, q in pairs}) < 2:
+    raw, offsets = buffers(pa.array([t for t, _ in pairs], pa.large_string()))
+    return train_chunks(*training_windows(raw, offsets, CHUNK, TRAIN_CHUNKS), [q for _, q in pairs], epochs, seed)
+
+
+def train_chunks(win: np.ndarray, own: np.ndarray, labels: list[int], epochs: int = 7, seed: int = 3) -> QualityModel:
+    """win: chunks, own: the text of each in order, labels: of the texts.
+
+    An epoch takes STEP_CHUNKS chunks at most of a text, others in each epoch.
+    """
+    if len(set(labels)) < 2:
         return QualityModel(None)
-    low = np.array([1.0 - q for _, q in pairs])
-    win, own = training_windows([t.encode() for t, _ in pairs], CHUNK, TRAIN_CHUNKS)
-    start = np.searchsorted(own, np.arange(len(pairs) + 1))
+    low = np.array([1.0 - q for q in labels])
+    start = np.searchsorted(own, np.arange(len(labels) + 1))
     net, rng = ByteCNN(12, 1, CHUNK // 2, seed), np.random.default_rng(seed)
     net.p["c"][0] = np.log(max(low.mean(), 1e-3) / max(1 - low.mean(), 1e-3))
-    rounds = epochs if len(pairs) > 1500 else min(40, epochs * 1500 // max(len(pairs), 1))
+    rounds = epochs if len(labels) > 1500 else min(40, epochs * 1500 // max(len(labels), 1))
     for epoch in range(rounds):
-        order = rng.permutation(len(pairs))
+        order = rng.permutation(len(labels))
         for at in range(0, len(order), 32):
             i = order[at : at + 32]
-            take = np.concatenate([np.arange(start[j], start[j + 1]) for j in i])
-            first = np.concatenate([[0], np.cumsum(start[i + 1] - start[i])])
+            some = [np.arange(start[j], start[j + 1]) for j in i]
+            some = [x if len(x) <= STEP_CHUNKS else np.sort(rng.choice(x, STEP_CHUNKS, replace=False)) for x in some]
+            take = np.concatenate(some)
+            first = np.concatenate([[0], np.cumsum([len(x) for x in some])])
 
             def loss(z, i=i, first=first):
                 pooled, weight = smooth_max(z[:, 0], first)
@@ -84,9 +95,13 @@ def train(pairs: list[tuple[str, int]], epochs: int = 7, seed: int = 3) -> Quali
     return QualityModel(net.trim())
 
 
-def fit(rows: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality") -> QualityModel:
-    usable = rows.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"), F.col(label_col).alias("y")).where("y is not null")
-    return train([(r["text"], r["y"]) for r in bounded_sample(usable, "doc_id", TRAIN_ROWS, 1 << 16)])
+def fit(docs: DataFrame, labels: DataFrame, learn, label: str = "quality") -> QualityModel:
+    """Train on chunks of a bounded sample of the labelled rows that may be learned from, spread over the whole of each text."""
+    usable = labels.where(learn & F.col(label).isin(0, 1)).select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label).cast("int").alias("y")).where("doc_id is not null")
+    chosen = bounded_sample(usable.distinct(), "doc_id", TRAIN_ROWS)
+    if not chosen:
+        return QualityModel(None)
+    return train_chunks(*chosen_windows(docs, [(r["doc_id"], r["y"]) for r in chosen], "int", CHUNK, TRAIN_CHUNKS))
 
 
 def score(docs: DataFrame, model: QualityModel, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -104,32 +119,10 @@ def score(docs: DataFrame, model: QualityModel, id_col: str = "doc_id", text_col
     return map_batches(src, run, "doc_id long, score double")
 
 
-def labelled(docs: DataFrame, labels: DataFrame, label: str, learn) -> DataFrame:
-    """The labelled documents that may be learned from: (doc_id, text, label)."""
-    ids = labels.where(learn & F.col(label).isNotNull()).select("doc_id", label)
-    return docs.select("doc_id", "text").join(ids, "doc_id")
-
-
 def op4(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
-    chosen = bounded_labels(labels, "quality", crc_mod("doc_id", 3) != 1, TRAIN_ROWS)
-    model = train(texts_of(docs, chosen))
+    model = fit(docs, labels, crc_mod("doc_id", 3) != 1)
     return score(docs, model).select(
         "doc_id", (crc_mod("doc_id", 3) == 1).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted")
     )
-
-
-def bounded_labels(labels: DataFrame, label: str, learn, most: int) -> list:
-    """A bounded sample of the labels that may be learned from."""
-    return bounded_sample(labels.where(learn & F.col(label).isNotNull()).select("doc_id", F.col(label).alias("y")).distinct(), "doc_id", most)
-
-
-def texts_of(docs: DataFrame, chosen: list, chars: int = 1 << 14) -> list[tuple[str, int]]:
-    """(text, label) of the chosen rows, in order of their ids; the chosen side is bounded, hence broadcast."""
-    if not chosen:
-        return []
-    spark = docs.sparkSession
-    small = spark.createDataFrame([(r["doc_id"], int(r["y"])) for r in chosen], "doc_id long, y int")
-    got = docs.select(F.col("doc_id"), F.substring("text", 1, chars).alias("text")).join(F.broadcast(small), "doc_id").collect()
-    return [(r["text"], r["y"]) for r in sorted(got, key=lambda r: (r["doc_id"], r["y"], r["text"] or ""))]

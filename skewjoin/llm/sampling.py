@@ -6,12 +6,11 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
-def bounded_sample(rows: DataFrame, id_col: str, most: int, per_text: int = 1 << 20) -> list:
+def bounded_sample(rows: DataFrame, id_col: str, most: int) -> list:
     """At most `most` rows, chosen by a hash of the id: the same rows for the same table.
 
     A hash threshold keeps about 1.25 x `most` rows in the scan's tasks, so that what is
-    sorted does not grow with the table.  The texts of training rows alone are cut, at
-    `per_text` characters, to bound the driver's memory.
+    sorted does not grow with the table.
     """
     total = rows.count()
     if not total:
@@ -20,8 +19,6 @@ def bounded_sample(rows: DataFrame, id_col: str, most: int, per_text: int = 1 <<
     bound = min(buckets, int(buckets * (1.25 * most + 50) / total) + 1)
     key = F.xxhash64(F.lit("sample"), F.col(id_col))
     kept = rows.where(F.pmod(key, F.lit(buckets)) < bound)
-    if "text" in rows.columns:
-        kept = kept.withColumn("text", F.substring("text", 1, per_text))
     return kept.orderBy(key, id_col).limit(most).collect()
 
 

@@ -165,3 +165,23 @@ def test_chat_log_folds_edits_and_regenerations(spark):
     assert got == [(1, "user", "Hi!"), (2, "assistant", "good"), (4, "user", "")]
     one = chat.render(chat.fold(df)).select("formatted", chat.masked(F.col("formatted"), F.col("loss")).alias("m"), chat.parse(F.col("formatted")).alias("p")).first()
     assert one["m"] == "good" and [tuple(t) for t in one["p"]] == [("user", "Hi!"), ("assistant", "good"), ("user", "")]
+
+
+def test_pipeline_on_hard_rows_and_empty_tables(spark, docs, empty, tmp_path):
+    import corpus_pipeline
+    from skewjoin.llm.common import stage
+
+    ten = [(100 + i, " ".join(["der hund und die katze sind heute nicht da", "the dog and the cat are not there today"][i % 2].split()[i % 5 :]) + f" wort{i} word{i}", ["de", "en"][i % 2], "s", 1) for i in range(400)]
+    more = spark.createDataFrame(ten, "doc_id long, text string, lang string, source string, n_chars long").withColumns({c: F.lit(None).cast(t) for c, t in [("id", "long"), ("h1", "string"), ("key", "string"), ("class_id", "int"), ("comp", "string"), ("size", "int")]})
+    for table in (docs.unionByName(more), empty):
+        now, n = table, []
+        for name, step in corpus_pipeline.STAGES:
+            out = stage(step(spark, now, ""), name)
+            assert name == "sentencepiece" or out.columns == table.columns
+            now = out
+            n.append(now.count())
+        if table is not empty:
+            assert n[0] >= 380 and n[2] == n[1] <= n[0] and n[4] == n[3] > 300
+    for name, table in (("full", docs.unionByName(more)), ("none", empty)):
+        table.write.parquet(str(tmp_path / name / "documents.parquet"))
+        assert (corpus_pipeline.run(spark, str(tmp_path / name)).count() > 0) == (name == "full")

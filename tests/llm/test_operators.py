@@ -2,6 +2,7 @@
 
 import math
 import random
+import re
 from collections import Counter
 
 import numpy as np
@@ -225,7 +226,8 @@ def test_rotation_is_orthogonal_and_balanced():
     x = rng.normal(size=(500, 32))
     x /= np.linalg.norm(x, axis=1)[:, None]
     rot = embdup.learn_rotation(x)
-    assert np.allclose(rot.project.T @ rot.project, np.eye(32), atol=1e-8)
+    for part in (rot.project[:, :32], rot.project[:, 32:]):  # two rotations, of 32 bits each
+        assert np.allclose(part.T @ part, np.eye(32), atol=1e-8)
     bits = ((x - rot.mean) @ rot.project > 0).mean(0)
     assert (abs(bits - 0.5) < 0.2).all()
 
@@ -420,14 +422,160 @@ def test_toxicity_learns_from_the_ends_of_long_texts(spark):
     probe = spark.createDataFrame([(1, calm(60)), (2, calm(30) + " vile brute go away" * 4)], "doc_id long, text string")
     got = {r["doc_id"]: r["score"] for r in toxicity.score(probe, model).collect()}
     assert got[2] > 0.5 > got[1]
-    words = {n: int(toxicity._tokens(*wordhash.buffers(pa.array([n])))[0][0]) for n in ("vile", "brute")}
-    at = np.searchsorted(model.kn.vocab, np.array(list(words.values()), dtype=np.uint64))
-    assert (model.kn.vocab[at] == list(words.values())).all()
+    words = {n: toxicity._tokens(*wordhash.buffers(pa.array([n])))[0] for n in ("vile", "brute")}
+    assert all(model.kn.llr(w, np.zeros(1, np.uint64))[0] > model.kn.base + 0.3 for w in words.values())
+
+
+def naive_ratio(rows, errors):
+    """log p1(w | v) - log p0(w | v) by dictionaries, from (text, class, weight): the definition in the module's text."""
+    n, c, b, total = Counter(), Counter(), Counter(), [0.0, 0.0]
+    for text, y, weight in rows:
+        words = re.findall("[a-z]+", text.lower())
+        for v, w in set(zip(["<s>", *words], words)):
+            n[w, y] += weight
+            c[v, y] += weight
+            b[v, w, y] += weight
+            total[y] += weight
+    share = [t / sum(total) for t in total]
+
+    def left(count, pooled, own, other):
+        return max(count - max(0.5 + pooled + errors * math.sqrt(pooled * (1 - own)), toxicity.TIMES * other), 0.0)
+
+    vocab = {w for w, _ in n}
+    shared = {w: (n[w, 0] + n[w, 1]) / sum(total) for w in vocab}
+    rest = {(w, y): left(n[w, y], total[y] * shared[w], share[y], n[w, 1 - y] * total[y] / total[1 - y]) for w in vocab for y in (0, 1)}
+    lam = [1 - sum(rest[w, y] for w in vocab) / total[y] for y in (0, 1)]
+    p = lambda w, y: rest[w, y] / total[y] + lam[y] * shared[w]
+    known = {(v, w) for v, w, _ in b if v in vocab}
+    more = {}
+    for v, w in known:
+        own = [max(c[v, y], 1e-9) for y in (0, 1)]
+        for y in (0, 1):
+            pooled = (b[v, w, 0] + b[v, w, 1]) / sum(own)
+            more[v, w, y] = left(b[v, w, y], own[y] * max(pooled, p(w, y)), own[y] / sum(own), max(b[v, w, 1 - y] * own[y] / own[1 - y], own[y] * p(w, y)))
+
+    def prob(v, w, y):
+        used = min(sum(more[x, z, y] for x, z in known if x == v) / max(c[v, y], 1e-9), 0.999)
+        return (more.get((v, w, y), 0) / max(c[v, y], 1e-9) if v in vocab else 0) + (1 - used) * p(w, y)
+
+    return lambda v, w: math.log(prob(v, w, 1)) - math.log(prob(v, w, 0)) if w in vocab else math.log(lam[1]) - math.log(lam[0])
+
+
+@pytest.mark.parametrize("seed", [1, 2])
+def test_toxicity_ratios_are_those_of_the_definition(spark, seed, monkeypatch):
+    """Counts by Spark over labelled texts with near copies, against dictionaries; every word of every text."""
+    monkeypatch.setattr(toxicity, "LEAST", 0.0)
+    rng = random.Random(seed)
+    word = lambda: rng.choice(CALM[:6]) + rng.choice("ab")
+    texts = []
+    for i in range(160):
+        body = [word() for _ in range(rng.randrange(8, 40))]
+        y = int(i % 4 == 0)
+        if y:
+            body[rng.randrange(len(body)) :] = ["vile", "brute", "go"] + body[-3:]
+        texts += [(" ".join(body), y)] * rng.choice([1, 1, 1, 4])
+    docs = spark.createDataFrame(list(enumerate(t for t, _ in texts)), "doc_id long, text string").repartition(3)
+    labels = spark.createDataFrame([(i, y) for i, (_, y) in enumerate(texts)], "doc_id long, toxic int")
+    rows = toxicity.learned(docs, labels, F.lit(True)).select("doc_id", "text")
+    groups = toxicity.copy_groups(toxicity.learned(docs, labels, F.lit(True)))
+    weighted = [(r["text"], r["y"], r["weight"]) for r in rows.join(groups, "doc_id").collect()]
+    assert sum(w for _, _, w in weighted) < 0.8 * len(texts)
+    model = toxicity.fit(docs, labels, F.lit(True)).kn
+    want = naive_ratio(weighted, model.errors)
+    told = 0
+    for text, _ in texts[::7]:
+        words = re.findall("[a-z]+", text)
+        w, v, _ = toxicity._tokens(*wordhash.buffers(pa.array([text])))
+        got = model.llr(w, v)
+        exact = [want(x, y) for x, y in zip(["<s>", *words], words)]
+        assert np.allclose(got, exact, atol=2e-4)
+        told += sum(abs(x - model.base) > 0.5 for x in got)
+    assert told
 
 
 CALM = ["river", "hill", "tree", "cloud", "stone", "field", "bridge", "garden", "lamp", "winter", "bread", "paper"]
 
 
+# ---- convolution and curriculum against plain loops ----
+
+
+def test_convolution_against_a_loop():
+    """Pooled responses of every block, by positions, filters and bytes one at a time."""
+    from skewjoin.llm import bytecnn
+
+    net = bytecnn.ByteCNN(3, 2, 16, seed=5)
+    texts = ["a short one", "", "something longer than a single block of bytes, é and all", "x" * 16]
+    raw, off = wordhash.buffers(pa.array(texts))
+    buf, first = bytecnn.layout(raw, off, net.block)
+    got = net.pool(buf, step=32)
+    emb, w = net.p["E"].astype(float), net.p["W"].astype(float)
+    padded = bytes(buf) + bytes(bytecnn.WIDTH)
+    for block in range(len(buf) // net.block):
+        for f in range(net.filters):
+            best = -math.inf
+            for at in range(block * net.block, (block + 1) * net.block):
+                x = sum(float(emb[padded[at + k], e]) * float(w[k * bytecnn.EMB + e, f]) for k in range(bytecnn.WIDTH) for e in range(bytecnn.EMB))
+                best = max(best, x)
+            assert abs(best - got[block, f]) < 1e-4
+    assert first.tolist() == [0, 1, 2, 6, 8]
+    wide = {w: [f for f in range(net.filters) if f // 3 == i] for i, w in enumerate(bytecnn.WIDTHS)}
+    assert all(not net.p["W"][w * bytecnn.EMB :, wide[w]].any() for w in wide)
+
+
+def test_training_windows_are_spread_over_the_whole_text():
+    from skewjoin.llm import bytecnn
+
+    texts = ["", "abc", "".join(chr(97 + i // 100) for i in range(2000))]
+    raw, off = wordhash.buffers(pa.array(texts))
+    win, own = bytecnn.training_windows(raw, off, 100, 5)
+    assert np.bincount(own).tolist() == [1, 1, 5] and win.shape[1] == 100 + bytecnn.WIDTH
+    assert not win[0].any() and bytes(win[1][:4]) == b"abc\0" and bytes(win[2][:2]) == b"aa" and bytes(win[6][:100]).endswith(b"t")
+
+
+def test_copies_invert_the_cumulative_demand(spark):
+    """Every copy stands where the source's integrated demand meets the middle of its words; found by bisection."""
+    from skewjoin.llm import mixing
+
+    rng = random.Random(8)
+    rows = [(i, "w " * rng.randrange(0, 30), rng.choice(["a", "b", "b", "c", "c", "c", "c", None])) for i in range(150)] + [(None, "lost words here", "a")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    mixed = mixing.curriculum(docs, share=2.0)
+    plan = {r["doc_id"]: r for r in mixed.collect()}
+    seen = Counter()
+    for r in mixing.copies(mixed).collect():
+        m = plan[r["doc_id"]]
+        words = min(m["size"], m["taken"] - r["copy"] * m["size"])
+        middle = m["start"] + r["copy"] * m["source_size"] + words / 2
+        low, high = 0.0, 1.0
+        for _ in range(60):
+            t = (low + high) / 2
+            low, high = (t, high) if m["target"] * ((1 - m["slope"]) * t + m["slope"] * t * t) < middle else (low, t)
+        assert abs(low - r["position"]) < 1e-6
+        seen[r["doc_id"]] += words
+    assert seen == Counter({i: m["taken"] for i, m in plan.items() if m["taken"]})
+    out = mixing.mixture(docs, share=2.0)
+    assert out.columns == docs.columns
+    assert Counter(r["doc_id"] for r in out.collect()) == Counter(r["doc_id"] for r in mixing.copies(mixed).collect())
+    order = [r["doc_id"] for r in out.collect()]
+    assert order == [r["doc_id"] for r in mixing.copies(mixed).collect()] and None in order
+
+
+@pytest.mark.parametrize("dim", [16, 32, 64, 256])
+def test_embedding_recall_in_other_dimensions(spark, dim):
+    rng = np.random.default_rng(dim)
+    centre = rng.normal(size=(60, dim))
+    x = np.concatenate([centre[rng.integers(0, 60, 500)] + rng.normal(size=(500, dim)) * rng.choice([0.1, 0.25, 0.33], (500, 1)), rng.normal(size=(400, dim))])
+    df = spark.createDataFrame([(int(i), [float(v) for v in r]) for i, r in enumerate(x)], "vec_id long, embedding array<double>").repartition(4)
+    got = {r["vec_id"]: r["n_links"] for r in embdup.near_vectors(df).collect()}
+    u = x / np.linalg.norm(x, axis=1)[:, None]
+    near = u @ u.T >= 0.9
+    np.fill_diagonal(near, False)
+    assert sum(got.values()) >= 0.98 * near.sum() and all(got[i] <= near[i].sum() for i in range(len(x)))
+    codes = embdup.learn_rotation(u).codes(u)
+    keys = [(t, int(c) >> 16 * t & 0xFFFF) for t in range(4) for c in codes[500:]]
+    assert Counter(keys).most_common(1)[0][1] < 120  # the buckets tell vectors apart
+
+
 # ---- the pipeline against the stages' definitions ----
 
 
