@@ -42,6 +42,11 @@ def home(key: Column, n: int) -> Column:
     return F.pmod(key.cast("long") + 1, F.lit(n).cast("long")).cast("int")
 
 
+def md5_bucket(text: Column, n: int) -> Column:
+    """A string's bucket by the first eight hexadecimal digits of its md5, the same in any SQL engine."""
+    return F.pmod(F.conv(F.substring(F.md5(text.cast("binary")), 1, 8), 16, 10).cast("long"), F.lit(n).cast("long"))
+
+
 def home_any(key: Column, n: int) -> Column:
     """Hash owner of a key of any hashable type."""
     return F.pmod(F.xxhash64(key), F.lit(n).cast("long")).cast("int")

@@ -7,6 +7,8 @@ from contextlib import contextmanager
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..sources.catalog import text_bytes
+
 
 def shuffled_hash(r: DataFrame, s: DataFrame, on: Column, how: str = "inner") -> DataFrame:
     """Parallel grace hash join: both sides dealt by key hash."""
@@ -22,9 +24,9 @@ def nested_loop(r: DataFrame, s: DataFrame, on: Column) -> DataFrame:
     return r.join(s.hint("shuffle_replicate_nl"), on)
 
 
-def broadcast_all(r: DataFrame, s: DataFrame, on: Column, how: str = "inner", limit: int = 2_000_000) -> DataFrame:
-    """The build side copied to every task if its counted rows allow, else a shuffled hash join."""
-    return r.join(F.broadcast(s), on, how) if s.limit(limit + 1).count() <= limit else shuffled_hash(r, s, on, how)
+def broadcast_all(r: DataFrame, s: DataFrame, on: Column, how: str = "inner", limit: int = 256 << 20) -> DataFrame:
+    """The build side copied to every task if its bytes, counted by a job, allow; else a shuffled hash join."""
+    return r.join(F.broadcast(s), on, how) if text_bytes(s) <= limit else shuffled_hash(r, s, on, how)
 
 
 def aqe_skew(r: DataFrame, s: DataFrame, on: Column) -> DataFrame:

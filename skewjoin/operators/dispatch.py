@@ -173,7 +173,7 @@ def skew_join(
     r: DataFrame, s: DataFrame, a: str | list[str], b: str | list[str] | None = None, strategy: str = "auto", p: float = 0.05, n: int | None = None,
     how: str = "inner", residual: Column | None = None, gateway: int | None = None, hot: list[HotKey] | None = None, form: str = "complete",
     physical: str = "auto", profile: cost.Profile | None = None, null_safe: bool = False, placement: tuple[str, str] | None = None,
-    hash_columns: tuple[list[str], list[str]] | None = None,
+    hash_columns: tuple[list[str], list[str]] | None = None, candidates: tuple[str, ...] = CANDIDATES,
 ) -> DataFrame:
     """Join r and s on r.a = s.b with skewed keys treated apart: equal to the plain join as a bag of rows.
 
@@ -185,6 +185,7 @@ def skew_join(
     row lies (folded onto n nodes); Spark's partitions without it.  hash_columns: columns of r and of
     s that tell rows apart, by which hot rows are spread; by a row's place without them, which a
     retried task repeats only if its input comes in the same order (see routes.row_salt).
+    candidates: the strategies that 'auto' chooses among (CANDIDATES_GRID has grids for two-sided values).
     physical: 'routed' (and 'auto'), or 'branches', for inner joins without a residual predicate:
     it reads the inputs once for each class, and staying rows are not shuffled.
     """
@@ -207,7 +208,7 @@ def skew_join(
         out = left.drop(R_SRC).join(right.drop(S_SRC), on if residual is None else on & residual, how).drop(R_KEY, S_KEY)
     else:
         if strategy == "auto":
-            strategy = choose(profile_of(x, hot, n) if profile is None else profile, gateway, form).strategy
+            strategy = choose(profile_of(x, hot, n) if profile is None else profile, gateway, form, candidates).strategy
         policy = POLICIES[strategy]
         if physical == "branches":
             out = branches(x, hot, policy, n).drop("branch")

@@ -11,6 +11,15 @@ def gather(df: DataFrame, n: int, gateway: int) -> DataFrame:
     return df.repartitionById(n, F.lit(gateway))
 
 
+def gather_others(joined: DataFrame, n: int, gateway: int) -> DataFrame:
+    """Rows made at the gateway (`dst`) where they are, all others sent to it: what a merge moves.
+
+    Both halves filter on the destination below their joins, so no pair is made twice.
+    """
+    own = joined.where(F.col("dst") == gateway)
+    return own.union(joined.where(F.col("dst") != gateway).repartitionById(n, F.lit(gateway)))
+
+
 def keep_local(df: DataFrame) -> DataFrame:
     """Results stay; what follows is a partial aggregation in place."""
     return df

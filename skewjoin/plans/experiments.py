@@ -1,7 +1,8 @@
 """The experiments, by name: each runs its configurations and returns one row per configuration and strategy.
 
 measure: 'cost' (the model's moved, busiest, merged and total tuples, and the choice), 'load' (observed work of
-the busiest node and its ratio to the mean) or 'time' (seconds and tuples per second of the routed join).
+the busiest node and its ratio to the mean) or 'time' (seconds and tuples per second of the routed join, with the
+rows gathered where a gateway is named, and the regret of each strategy in seconds).
 """
 
 from __future__ import annotations
@@ -12,6 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators.dispatch import CANDIDATES, choose, observe
+from ..operators.merge import gather_others
 from ..operators.routes import POLICIES
 from ..operators.strategies import routed
 from . import cost, metrics, workloads
@@ -19,7 +21,7 @@ from .workloads import Workload, literal, micro, intro
 
 COST = "config string, strategy string, moved double, busiest double, merged double, total double, chosen boolean"
 LOAD = "config string, strategy string, busiest_work long, all_work long, max_over_mean double"
-TIME = "config string, strategy string, seconds double, tuples_per_s double"
+TIME = "config string, strategy string, seconds double, tuples_per_s double, chosen boolean, regret double"
 
 
 def costs(spark: SparkSession, sf_dir: str, configs, policies=CANDIDATES, form: str = "complete") -> DataFrame:
@@ -51,22 +53,47 @@ def loads(spark: SparkSession, sf_dir: str, configs, policies=CANDIDATES) -> Dat
 
 
 def times(spark: SparkSession, sf_dir: str, configs, policies=CANDIDATES, runs: int = 3) -> DataFrame:
-    """Seconds of the routed join, its pairs materialised into an aggregate."""
+    """Seconds of the routed join, its pairs materialised into an aggregate, after gathering them where a gateway is
+    named; the dispatcher's choice among the policies, and what its choice costs over the fastest one."""
     rows = []
-    for config, w, _ in configs:
+    for config, w, gateway in configs:
         x = w.sides(spark, sf_dir)
         r, s = x.r.persist(), x.s.persist()
         size = r.count(), s.count()
         held = replace(x, r=r, s=s)
-        hot, _ = observe(held, w.p, w.n)
-        for name in policies:
-            took = metrics.timed(lambda name=name: routed(held, hot, POLICIES[name], w.n).agg(F.count(F.lit(1)), F.sum("r_qty"), F.sum("s_pri")), runs)
-            rows.append((str(config), name, took["median_s"], metrics.throughput(*size, took["median_s"])))
+        hot, profile = observe(held, w.p, w.n)
+        chosen = choose(profile, gateway, candidates=policies).strategy
+
+        def pairs(name: str) -> DataFrame:
+            joined = routed(held, hot, POLICIES[name], w.n).select("rh", "sh", "dst")
+            if gateway is not None:
+                joined = gather_others(joined, w.n, gateway)
+            return joined.agg(F.count(F.lit(1)), F.sum(F.hash("rh", "sh").cast("long")))
+
+        took = {name: metrics.timed(lambda name=name: pairs(name), runs)["median_s"] for name in policies}
+        rows += [(str(config), name, t, metrics.throughput(*size, t), name == chosen, metrics.regret(name, took)) for name, t in took.items()]
         r.unpersist()
         s.unpersist()
     return spark.createDataFrame(rows, TIME)
 
 
+def speedups(timed: DataFrame, base: int = 3) -> DataFrame:
+    """(strategy, config, speedup): throughput over that of the same strategy on `base` nodes; configs are node numbers."""
+    at = timed.where(F.col("config") == str(base)).select("strategy", F.col("tuples_per_s").alias("base"))
+    return timed.join(at, "strategy").select("strategy", "config", (F.col("tuples_per_s") / F.col("base")).alias("speedup"))
+
+
+def faster(timed: DataFrame) -> DataFrame:
+    """(config, strategy, other, percent): by how many percent a strategy is faster than each other one."""
+    other = timed.select("config", F.col("strategy").alias("other"), F.col("seconds").alias("other_s"))
+    return timed.join(other, "config").where("strategy <> other").select("config", "strategy", "other", (100 * (F.col("other_s") / F.col("seconds") - 1)).alias("percent"))
+
+
+def stabilities(results: DataFrame, column: str) -> DataFrame:
+    """(strategy, stability): coefficient of variation of a measure over the configurations, as over seeds of a placement."""
+    return results.groupBy("strategy").agg((F.stddev_pop(column) / F.avg(column)).alias("stability"))
+
+
 def run(spark: SparkSession, sf_dir: str, configs, measure: str = "cost", policies=CANDIDATES, **options) -> DataFrame:
     return {"cost": costs, "load": loads, "time": times}[measure](spark, sf_dir, configs, policies, **options)
 

@@ -69,6 +69,12 @@ def sketch_skew(df: DataFrame, key: str, p: float, strict: bool = False) -> Data
     return verified(df, key, items, p, strict)
 
 
+def hash_sampled_skew(df: DataFrame, key: str, p: float, row_hash: Column, one_in: int) -> DataFrame:
+    """(key, cnt, n_rows, share) estimated from the rows whose hash is a multiple of `one_in`: the same sample in every run."""
+    found = exact_skew(df.where(F.pmod(row_hash, F.lit(one_in)) == 0), key, p)
+    return found.select("key", (F.col("cnt") * one_in).alias("cnt"), (F.col("n_rows") * one_in).alias("n_rows"), "share")
+
+
 def frequent_hashes(column: str, p: float) -> str:
     """SQL of an aggregate: array of (item, count) with the hash of every value that has a share p of a group's rows.
 

@@ -8,7 +8,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.keys import (
-    BUILD_PICK, BUILD_TERMS, MODULUS, PROBE_PICK, PROBE_TERMS, assign_zipf, mixed, mixed_sql, single_key, single_sql, zipf_sql,
+    BUILD_PICK, BUILD_TERMS, MODULUS, PROBE_PICK, PROBE_TERMS, assign_zipf, md5_bucket, mixed, mixed_sql, single_key, single_sql, zipf_sql,
 )
 from ..operators.strategies import Sides
 from ..sources.catalog import load
@@ -182,11 +182,12 @@ def gateway_sweep() -> list[tuple[float, Workload, int | None]]:
 
 
 def scenarios() -> list[tuple[str, Workload, int | None]]:
+    """Skew on one node; skew that is even already; rows gathered at the node that owns the hot key."""
     w = Workload("single", 3, 195_000, 98_000, r_hot=0.10, s_hot=0.03, p=0.02)
     return [
         ("one_node_skew", w.with_(place="hot_node", node=1), None),
         ("even_skew", w.with_(place="level"), None),
-        ("gateway_home", w.with_(place="even"), (7 + 1) % 3),
+        ("gateway_home", w.with_(r_hot=4500 / 195_000, s_hot=3000 / 98_000, place="range_replica"), (7 + 1) % 3),
     ]
 
 
@@ -236,6 +237,10 @@ def natural(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, Dat
             load(spark, sf_dir, "lineitem").select(F.col("l_quantity").cast("long").alias("a"), "l_orderkey"),
             load(spark, sf_dir, "part").select(F.col("p_size").cast("long").alias("b"), "p_partkey"),
         ),
+        "type_priority": lambda: (
+            load(spark, sf_dir, "events").select(md5_bucket(F.col("event_type"), 7).alias("a"), "event_id"),
+            load(spark, sf_dir, "orders").select(md5_bucket(F.col("o_orderpriority"), 7).alias("b"), "o_orderkey"),
+        ),
         "orderkey": lambda: (
             load(spark, sf_dir, "lineitem").select(F.col("l_orderkey").alias("a"), "l_linenumber"),
             load(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("b"), "o_custkey"),

@@ -7,7 +7,7 @@ from dataclasses import replace
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..operators.dispatch import CANDIDATES, observe
+from ..operators.dispatch import CANDIDATES, CANDIDATES_GRID, observe
 from ..plans import cost, experiments, metrics, workloads
 from ..plans.workloads import Workload, literal, micro
 from . import sqltext
@@ -25,13 +25,16 @@ _COUNT = [(g if g is not None else "count", w, g) for _, w, g in _W5[:1]] + [("c
 
 SWEEPS = {
     "dispatch_ratio_sweep": (workloads.ratio_sweep(), CANDIDATES, "complete"),
+    "dispatch_ratio_sweep_6": (workloads.ratio_sweep(6), CANDIDATES, "complete"),
     "dispatch_ratio_sweep_12": (workloads.ratio_sweep(12), CANDIDATES, "complete"),
     "dispatch_zipf_sweep": (workloads.zipf_sweep(), CANDIDATES, "complete"),
+    "dispatch_zipf_sweep_6": (workloads.zipf_sweep(6), CANDIDATES, "complete"),
     "dispatch_zipf_sweep_12": (workloads.zipf_sweep(12), CANDIDATES, "complete"),
     "dispatch_scaleout": (workloads.scaleout(), CANDIDATES, "complete"),
     "dispatch_threshold_sweep": (_W4, CANDIDATES, "complete"),
     "dispatch_threshold_sweep_printed": (_W4, CANDIDATES, "printed"),
     "dispatch_threshold_even": (workloads.threshold_sweep("even"), CANDIDATES, "complete"),
+    "dispatch_threshold_grid": (_W4, CANDIDATES_GRID, "complete"),
     "dispatch_gateway_sweep": (_W5, CANDIDATES, "complete"),
     "dispatch_scenarios": (_W6, CANDIDATES, "complete"),
     "dispatch_p_sweep": (workloads.p_sweep(), CANDIDATES, "complete"),
@@ -57,10 +60,21 @@ def _only(name: str, column: str):
 
 
 def regret(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Cost of the choice over the best candidate's, over the threshold sweep."""
-    t = _sweep("dispatch_threshold_sweep")(spark, sf_dir)
+    """Total cost of each strategy, taken always, over that of the best one, along the threshold and gateway sweeps;
+    and which one the dispatcher takes."""
+    return _regret(_sweep("dispatch_threshold_sweep")(spark, sf_dir), "threshold").union(_regret(_sweep("dispatch_gateway_sweep")(spark, sf_dir), "gateway"))
+
+
+def _regret(t: DataFrame, sweep: str) -> DataFrame:
     best = t.groupBy("config").agg(F.min("total").alias("best"))
-    return t.where("chosen").join(best, "config").select("config", "strategy", F.round(F.col("total") / F.col("best"), 6).alias("regret"))
+    return t.join(best, "config").select(F.lit(sweep).alias("sweep"), "config", "strategy", F.round(F.col("total") / F.col("best"), 6).alias("regret"), "chosen")
+
+
+def stability(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Variation of each strategy's busiest node and total over the replicas that are read."""
+    t = _sweep("dispatch_replica_seeds")(spark, sf_dir)
+    out = [experiments.stabilities(t, c).select("strategy", F.lit(c).alias("measure"), F.round("stability", 9).alias("stability")) for c in ("busiest", "total")]
+    return out[0].union(out[1])
 
 
 def case_bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -113,8 +127,8 @@ SELECT (SELECT count(*) FROM rd JOIN cls ON a = key WHERE dst <> src) + (SELECT
 
 LOADS = {
     "load_scenarios": workloads.scenarios(),
-    "load_scaleout": [c for c in workloads.scaleout() if c[0] in (3, 12)],
-    "load_ratio": [c for c in workloads.ratio_sweep(6) if c[0] in (1, 20)],
+    "load_scaleout": workloads.scaleout(),
+    "load_ratio": workloads.ratio_sweep(6),
     "load_no_skew": [("no skew", Workload("zipf", 6, 195_000, 98_000, z=0.0), None)],
 }
 
@@ -138,6 +152,7 @@ QUERIES = {name: _loads(name) for name in LOADS} | {"skew_before_after_filter":
     "cost_comp": _only("cost_total_complete", "busiest"),
     "cost_summ_gather": _only("cost_total_complete", "merged"),
     "dispatch_regret": regret,
+    "dispatch_stability": stability,
     "cost_case_bounds": case_bounds,
     "cost_observed": observed_against_model,
 }
@@ -146,7 +161,14 @@ ORACLES = {name: sqltext.loads(c, ("hash_all", "stay_replicate", "four_route"))
     "cost_re": f"SELECT config, strategy, moved FROM ({sqltext.sweep(*SWEEPS['cost_total_complete'])})",
     "cost_comp": f"SELECT config, strategy, busiest FROM ({sqltext.sweep(*SWEEPS['cost_total_complete'])})",
     "cost_summ_gather": f"SELECT config, strategy, merged FROM ({sqltext.sweep(*SWEEPS['cost_total_complete'])})",
-    "dispatch_regret": f"SELECT config, strategy, 1.0::DOUBLE AS regret FROM ({sqltext.sweep(*SWEEPS['dispatch_threshold_sweep'])}) WHERE chosen",
+    "dispatch_regret": " UNION ALL ".join(
+        f"SELECT '{name}' AS sweep, config, strategy, round(total / min(total) OVER (PARTITION BY config), 6) AS regret, chosen FROM ({sqltext.sweep(*SWEEPS[f'dispatch_{name}_sweep'])})"
+        for name in ("threshold", "gateway")
+    ),
+    "dispatch_stability": " UNION ALL ".join(
+        f"SELECT strategy, '{c}' AS measure, round(stddev_pop({c}) / avg({c}), 9) AS stability FROM ({sqltext.sweep(*SWEEPS['dispatch_replica_seeds'])}) GROUP BY strategy"
+        for c in ("busiest", "total")
+    ),
     "cost_case_bounds": _CASE_SQL,
     "cost_observed": _OBSERVED_SQL,
 }

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators import merge, strategies
-from ..operators.dispatch import choose_per_value, observe, skew_join
+from ..operators.dispatch import CANDIDATES_GRID, choose_per_value, observe, skew_join
 from ..operators.routes import POLICIES, partition
 from ..operators.strategies import routed
 from ..plans import classify, metrics, stats
@@ -17,7 +17,7 @@ from ..sources.catalog import load
 from . import sqltext
 
 ZIPF = Workload("zipf", 3, 293_000, 10_000, z=1.2)
-SINGLE = Workload("single", 12, 195_000, 20_000, r_hot=0.06, s_hot=0.1, place="range_replica")
+SINGLE = Workload("single", 12, FULL_R, FULL_S, r_hot=0.06, s_hot=0.02, place="range_replica")
 NOSKEW = Workload("zipf", 6, 195_000, 98_000, z=0.0)
 INPUTS = {"zipf": ZIPF, "single": SINGLE, "noskew": NOSKEW}
 NAMES = tuple(POLICIES)
@@ -141,9 +141,9 @@ SELECT 'R' AS side, {_ROUTE}::BIGINT AS route, count(*) AS n FROM r LEFT JOIN cl
 UNION ALL SELECT 'S', {_ROUTE}::BIGINT, count(*) FROM s LEFT JOIN cls ON b = key GROUP BY 2"""
 
 
-# ---- other join types: rows projected to what both engines can compare ----
+# ---- other join types, over whole tables: rows projected to what both engines can compare ----
 
-_OUTER = Workload("single", 6, 60_000, 20_000, r_hot=0.1, s_hot=0.1, place="even")
+_OUTER = Workload("single", 6, FULL_R, FULL_S, r_hot=0.05, s_hot=0.02, p=0.02, place="even")
 
 
 def _typed(how: str, policy: str = "four_route", residual: bool = False, w: Workload = _OUTER):
@@ -269,6 +269,52 @@ def null_keys(spark: SparkSession, sf_dir: str) -> DataFrame:
     return per_key(routed(sides, hot, POLICIES["four_route"], ZIPF.n))
 
 
+# ---- inputs with more partitions than nodes, columns of one name, keys of several columns, null-safe keys ----
+
+HOWS = ("inner", "left", "right", "full", "left_semi", "left_anti")
+
+
+def _parted(how: str, physical: str = "auto"):
+    """Natural keys, unplaced inputs of 16 partitions on 6 nodes, joined USING a key column that both sides name alike."""
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        r = load(spark, sf_dir, "lineitem").select(F.col("l_linenumber").cast("long").alias("k"), F.col("l_suppkey").alias("v"), F.col("l_orderkey").alias("dst")).repartition(16)
+        s = load(spark, sf_dir, "customer").select((F.col("c_custkey") % 11).alias("k"), F.col("c_nationkey").cast("long").alias("w"), F.col("c_custkey").alias("src")).where("w < 8").repartition(16)
+        out = skew_join(r, s, "k", p=0.1, n=6, how=how, strategy="four_route", physical=physical)
+        both = [] if how in ("left_semi", "left_anti") else [F.coalesce(F.sum("w"), F.lit(0)).alias("sum_w"), F.coalesce(F.sum("src"), F.lit(0)).alias("sum_src")]
+        return out.groupBy("k").agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum("v"), F.lit(0)).alias("sum_v"), F.coalesce(F.sum("dst"), F.lit(0)).alias("sum_dst"), *both)
+    return run
+
+
+def _parted_sql(how: str) -> str:
+    sides = """WITH r AS (SELECT l_linenumber::BIGINT AS k, l_suppkey AS v, l_orderkey AS dst FROM lineitem),
+s AS (SELECT c_custkey % 11 AS k, c_nationkey::BIGINT AS w, c_custkey AS src FROM customer WHERE c_nationkey < 8)"""
+    one = "count(*) AS n, coalesce(sum(v), 0)::BIGINT AS sum_v, coalesce(sum(dst), 0)::BIGINT AS sum_dst"
+    if how in ("left_semi", "left_anti"):
+        return f"{sides} SELECT k, {one} FROM r WHERE {'NOT ' if how == 'left_anti' else ''}EXISTS (SELECT 1 FROM s WHERE s.k = r.k) GROUP BY k"
+    return f"{sides} SELECT k, {one}, coalesce(sum(w), 0)::BIGINT AS sum_w, coalesce(sum(src), 0)::BIGINT AS sum_src FROM r {how.upper()} JOIN s USING (k) GROUP BY k"
+
+
+def null_safe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Keys of two columns, NULLs in either equal to each other, of different integer types on both sides."""
+    r = load(spark, sf_dir, "orders").select(F.when(F.col("o_orderkey") % 3 != 0, F.col("o_custkey") % 5).alias("a"), F.when(F.col("o_orderkey") % 4 != 0, F.col("o_orderpriority")).alias("t"), F.col("o_orderkey").alias("x")).repartition(9)
+    s = load(spark, sf_dir, "supplier").select(F.when(F.col("s_suppkey") % 2 != 0, F.col("s_suppkey") % 7).cast("int").alias("b"), F.lit("1-URGENT").alias("u"), F.col("s_suppkey").alias("y"))
+    s = s.withColumn("u", F.when(F.col("y") % 5 != 0, F.col("u")))
+    out = skew_join(r, s, ["a", "t"], ["b", "u"], p=0.05, n=4, how="left", null_safe=True)
+    return out.groupBy("a", "t", F.col("b").isNull().alias("no_b")).agg(F.count(F.lit(1)).alias("n"), F.sum("x").alias("sum_x"), F.coalesce(F.sum("y"), F.lit(0)).alias("sum_y"))
+
+
+_NULL_SAFE_SQL = """WITH r AS (SELECT CASE WHEN o_orderkey % 3 <> 0 THEN o_custkey % 5 END AS a, CASE WHEN o_orderkey % 4 <> 0 THEN o_orderpriority END AS t, o_orderkey AS x FROM orders),
+s AS (SELECT CASE WHEN s_suppkey % 2 <> 0 THEN s_suppkey % 7 END AS b, CASE WHEN s_suppkey % 5 <> 0 THEN '1-URGENT' END AS u, s_suppkey AS y FROM supplier)
+SELECT a, t, b IS NULL AS no_b, count(*) AS n, sum(x)::BIGINT AS sum_x, coalesce(sum(y), 0)::BIGINT AS sum_y
+FROM r LEFT JOIN s ON a IS NOT DISTINCT FROM b AND t IS NOT DISTINCT FROM u GROUP BY 1, 2, 3"""
+
+
+def grid_choice(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The dispatcher with grids for two-sided values among its candidates."""
+    x = ZIPF.sides(spark, sf_dir)
+    return per_key(skew_join(x.r, x.s, "a", "b", p=ZIPF.p, n=ZIPF.n, placement=("src", "src"), hash_columns=(["rh"], ["sh"]), candidates=CANDIDATES_GRID))
+
+
 def per_value(spark: SparkSession, sf_dir: str) -> DataFrame:
     x = SINGLE.sides(spark, sf_dir)
     hot, profile = observe(x, SINGLE.p, SINGLE.n)
@@ -293,6 +339,14 @@ QUERIES = {f"join_{p}_{i}": _join(w, p) for i, w in INPUTS.items() for p in NAME
     "join_natural_linenumber_turn": _natural("linenumber_turn", 0.15, "stay_replicate"),
     "join_natural_quantity_size": _natural("quantity_size", 0.02),
     "join_natural_orderkey": _natural("orderkey", 0.05),
+    "join_natural_type_priority": _natural("type_priority", 0.1),
+    "join_natural_lang_16_parts": _natural("lang", 0.12, "four_route", 16),
+    "join_natural_quality_toxic_16_parts": _natural("quality_toxic", 0.13, "four_route", 16),
+    "join_natural_linenumber_turn_16_parts": _natural("linenumber_turn", 0.15, "stay_replicate", 16),
+    "join_natural_quantity_size_16_parts": _natural("quantity_size", 0.02, "scatter_replicate", 16),
+    "join_natural_lang_16_parts_branches": _natural("lang", 0.12, "four_route", 16, "branches"),
+    "join_null_safe": null_safe,
+    "join_auto_grid_candidate": grid_choice,
     "branch_sizes": branch_sizes,
     "merge_gather": gathered,
     "merge_count_through": counted,
@@ -308,6 +362,10 @@ QUERIES = {f"join_{p}_{i}": _join(w, p) for i, w in INPUTS.items() for p in NAME
     "residual_fallback": _typed("full", residual=True),
 } | {n: _by_key(*v) for n, v in _LITERALS.items()} | {f"route_sizes_{p}": _routes(p) for p in NAMES} | {f"route_moved_{p}": _moved(p) for p in NAMES} | {f"route_node_load_{p}": _load(p) for p in NAMES}
 
+_LANG = ("SELECT lang AS a FROM documents", "SELECT lang AS b FROM documents")
+_QT = ("SELECT quality AS a FROM labels", "SELECT toxic AS b FROM labels")
+_LT = ("SELECT l_linenumber AS a FROM lineitem", "SELECT turn AS b FROM conversations")
+_QS = ("SELECT l_quantity::BIGINT AS a FROM lineitem", "SELECT p_size::BIGINT AS b FROM part")
 _Z, _S = _per_key_sql(ZIPF), _per_key_sql(SINGLE)
 _NULLS = ZIPF.ctes().replace("r AS (SELECT a,", "r AS (SELECT CASE WHEN rh % 10 <> 0 THEN a END AS a,").replace("s AS (SELECT b,", "s AS (SELECT CASE WHEN sh % 10 <> 0 THEN b END AS b,")
 
@@ -324,11 +382,19 @@ ORACLES = {f"join_{p}_{i}": _per_key_sql(w) for i, w in INPUTS.items() for p in
     "join_null_keys": f"WITH {_NULLS} SELECT a AS key, count(*) AS pairs, sum(r_qty)::BIGINT AS sum_r, sum(s_pri)::BIGINT AS sum_s FROM r JOIN s ON a = b GROUP BY a",
     "join_filtered_input": _Z.replace("ON a = b", "ON a = b WHERE r_qty <= 3"),
     "join_intermediate_input": _INTERMEDIATE_SQL,
-    "join_natural_lang": _natural_sql("SELECT lang AS a FROM documents", "SELECT lang AS b FROM documents"),
-    "join_natural_quality_toxic": _natural_sql("SELECT quality AS a FROM labels", "SELECT toxic AS b FROM labels"),
-    "join_natural_linenumber_turn": _natural_sql("SELECT l_linenumber AS a FROM lineitem", "SELECT turn AS b FROM conversations"),
-    "join_natural_quantity_size": _natural_sql("SELECT l_quantity::BIGINT AS a FROM lineitem", "SELECT p_size::BIGINT AS b FROM part"),
+    "join_natural_lang": _natural_sql(*_LANG),
+    "join_natural_quality_toxic": _natural_sql(*_QT),
+    "join_natural_linenumber_turn": _natural_sql(*_LT),
+    "join_natural_quantity_size": _natural_sql(*_QS),
     "join_natural_orderkey": _natural_sql("SELECT l_orderkey AS a FROM lineitem", "SELECT o_orderkey AS b FROM orders"),
+    "join_natural_type_priority": _natural_sql("SELECT ('0x' || substr(md5(event_type), 1, 8))::BIGINT % 7 AS a FROM events", "SELECT ('0x' || substr(md5(o_orderpriority), 1, 8))::BIGINT % 7 AS b FROM orders"),
+    "join_natural_lang_16_parts": _natural_sql(*_LANG),
+    "join_natural_quality_toxic_16_parts": _natural_sql(*_QT),
+    "join_natural_linenumber_turn_16_parts": _natural_sql(*_LT),
+    "join_natural_quantity_size_16_parts": _natural_sql(*_QS),
+    "join_natural_lang_16_parts_branches": _natural_sql(*_LANG),
+    "join_null_safe": _NULL_SAFE_SQL,
+    "join_auto_grid_candidate": _Z,
     "branch_sizes": f"""WITH {ZIPF.ctes()}, {ZIPF.class_ctes()}
 SELECT CASE cls WHEN 'PROBE_ONLY' THEN 'stay-probe' WHEN 'BOTH_PROBE_HEAVY' THEN 'scatter-probe' WHEN 'BOTH_BUILD_HEAVY' THEN 'scatter-build' ELSE 'hash' END AS branch, count(*) AS pairs
 FROM r JOIN s ON a = b LEFT JOIN cls ON a = key GROUP BY 1""",
@@ -346,20 +412,5 @@ FROM r JOIN s ON a = b LEFT JOIN cls ON a = key GROUP BY 1""",
     "residual_fallback": _typed_sql("full", True),
 } | {n: _by_key_sql(*v) for n, v in _LITERALS.items()} | {f"route_sizes_{p}": _routes_sql(p) for p in NAMES} | {f"route_moved_{p}": _moved_sql(p) for p in NAMES} | {f"route_node_load_{p}": _load_sql(p) for p in NAMES}
 
-# ---- the same over all rows of both tables: sizes that no experiment prints are not selected by ----
-
-_OUTER_WHOLE, _SINGLE_WHOLE = _OUTER.with_(n_r=FULL_R, n_s=FULL_S), SINGLE.with_(n_r=FULL_R, n_s=FULL_S)
-_TYPED = {
-    "outer_left_four_route": ("left", "four_route", False),
-    "outer_right_four_route": ("right", "four_route", False),
-    "outer_full_four_route": ("full", "four_route", False),
-    "outer_full_stay_replicate": ("full", "stay_replicate", False),
-    "semi_four_route": ("left_semi", "four_route", False),
-    "anti_four_route": ("left_anti", "four_route", False),
-    "residual_inner": ("inner", "four_route", True),
-    "residual_fallback": ("full", "four_route", True),
-}
-QUERIES |= {f"{name}_whole": _typed(*v, w=_OUTER_WHOLE) for name, v in _TYPED.items()}
-ORACLES |= {f"{name}_whole": _typed_sql(how, residual, w=_OUTER_WHOLE) for name, (how, _, residual) in _TYPED.items()}
-QUERIES |= {f"join_{p}_single_whole": _join(_SINGLE_WHOLE, p) for p in NAMES} | {f"route_moved_{p}_whole": _moved(p, _SINGLE_WHOLE) for p in NAMES} | {f"route_node_load_{p}_whole": _load(p, _SINGLE_WHOLE) for p in NAMES}
-ORACLES |= {f"join_{p}_single_whole": _per_key_sql(_SINGLE_WHOLE) for p in NAMES} | {f"route_moved_{p}_whole": _moved_sql(p, _SINGLE_WHOLE) for p in NAMES} | {f"route_node_load_{p}_whole": _load_sql(p, _SINGLE_WHOLE) for p in NAMES}
+QUERIES |= {f"join_16_parts_{how}": _parted(how) for how in HOWS} | {"join_16_parts_branches": _parted("inner", "branches")}
+ORACLES |= {f"join_16_parts_{how}": _parted_sql(how) for how in HOWS} | {"join_16_parts_branches": _parted_sql("inner")}

@@ -157,6 +157,14 @@ def stream_session(spark, d):
     return heavy.run_available(heavy.session_counts(heavy.replay(spark, f"{d}/events.parquet"), "ts", "user_id", "1 hour"), "complete").groupBy("key").agg(F.count(F.lit(1)).alias("sessions"), F.sum("n").alias("n"))
 
 
+def stream_pairs(spark, d):
+    """Stream-stream interval join: a user's next events within ten minutes."""
+    e = heavy.replay(spark, f"{d}/events.parquet").select("event_id", "user_id", "ts", "event_type")
+    left, right = e.where("event_type = 'view' or event_type = 'click'"), e
+    out = heavy.run_available(heavy.interval_pairs(left, right, "user_id", "ts", "10 minutes"))
+    return out.select("user_id", "event_id", "right_event_id")
+
+
 def stream_enrich(spark, d):
     e = heavy.replay(spark, f"{d}/events.parquet").select("event_id", F.col("user_id").alias("a"))
     c = load(spark, d, "customer").select(F.col("c_custkey").alias("b"), "c_mktsegment")
@@ -171,7 +179,7 @@ QUERIES = {
     "setops_except": set_except, "setops_union_distinct": set_union_distinct, "json_keys": json_props, "string_customer": strings, "date_quarters": dates,
     "agg_distincts": distincts, "filter_parts": filters, "array_heads": arrays, "map_codes": maps, "unpivot_totals": unpivoted, "pivot_flags": pivoted,
     "agg_median": quantiles, "udtf_zipf": zipf_table, "udaf_imbalance": imbalance, "setops_bag_equal": bag_equal,
-    "stream_window_tumbling": stream_tumbling, "stream_window_sliding": stream_sliding, "stream_sessions": stream_session, "stream_enrich": stream_enrich,
+    "stream_window_tumbling": stream_tumbling, "stream_window_sliding": stream_sliding, "stream_sessions": stream_session, "stream_enrich": stream_enrich, "stream_interval_pairs": stream_pairs,
 }
 
 _ZIPF_CASE = ", ".join(str(sum(k**-1.2 for k in range(1, j + 1)) / sum(k**-1.2 for k in range(1, 21))) for j in range(1, 21))
@@ -206,6 +214,8 @@ ORACLES = {
     "setops_bag_equal": "SELECT o_orderkey, '' AS side FROM orders WHERE false",
     "stream_window_tumbling": "SELECT epoch(time_bucket(INTERVAL 1 DAY, ts))::BIGINT AS start, event_type AS key, count(*) AS n FROM events GROUP BY 1, 2",
     "stream_window_sliding": "SELECT epoch(s)::BIGINT AS start, event_type AS key, count(*) AS n FROM (SELECT event_type, unnest([time_bucket(INTERVAL 1 DAY, ts), time_bucket(INTERVAL 1 DAY, ts) - INTERVAL 1 DAY]) AS s FROM events) GROUP BY 1, 2",
+    "stream_interval_pairs": """SELECT l.user_id, l.event_id, r.event_id AS right_event_id FROM events l JOIN events r ON l.user_id = r.user_id
+AND r.ts >= l.ts AND r.ts <= l.ts + INTERVAL 10 MINUTE WHERE l.event_type IN ('view', 'click')""",
     "stream_sessions": """SELECT user_id AS key, sum(CASE WHEN prev IS NULL OR ts >= prev + INTERVAL 1 HOUR THEN 1 ELSE 0 END)::BIGINT AS sessions, count(*) AS n
 FROM (SELECT user_id, ts, lag(ts) OVER (PARTITION BY user_id ORDER BY ts) AS prev FROM events) GROUP BY 1""",
     "stream_enrich": "SELECT c_mktsegment, count(*) AS n FROM events JOIN customer ON user_id = c_custkey GROUP BY 1",

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ..plans import classify, placement, stats
 from ..plans.workloads import Workload, natural
-from ..sources.catalog import load
+from ..sources.catalog import load, shared_dir
 
 _COLUMNS = {
     "event_type": ("events", "event_type", 0.2),
@@ -41,12 +41,27 @@ def sampled(spark: SparkSession, sf_dir: str) -> DataFrame:
     return stats.sampled_skew(load(spark, sf_dir, "lineitem"), "l_linenumber", 0.12, 0.5, seed=3).select("key", "cnt", "n_rows")
 
 
+_SAMPLED = Workload("zipf", 3, 293_000, 10_000, z=1.2, p=0.02)
+
+
 def quality_of_sample(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Recall, precision and count error of skew estimated from a fiftieth of the rows, against exact counts."""
     from ..plans.metrics import detector_quality
 
-    df = load(spark, sf_dir, "lineitem")
-    exact = stats.exact_skew(df, "l_linenumber", 0.12)
-    return detector_quality(stats.runtime_skew(df, "l_linenumber", 0.12, 1 << 30), exact)
+    r = _SAMPLED.sides(spark, sf_dir).r
+    found = stats.hash_sampled_skew(r, "a", _SAMPLED.p, F.floor(F.col("rh") / 7), 50)
+    out = detector_quality(found, stats.exact_skew(r, "a", _SAMPLED.p))
+    return out.select(*[F.round(c, 9).alias(c) for c in out.columns])
+
+
+_QUALITY_SQL = f"""WITH {_SAMPLED.ctes()},
+t AS (SELECT * FROM r WHERE (rh // 7) % 50 = 0),
+f AS (SELECT a AS key, 50 * count(*) AS f FROM t GROUP BY a HAVING count(*) >= {_SAMPLED.p} * (SELECT count(*) FROM t) - 1e-9),
+e AS (SELECT a AS key, count(*) AS e FROM r GROUP BY a HAVING count(*) >= {_SAMPLED.p} * (SELECT count(*) FROM r) - 1e-9)
+SELECT round(count(CASE WHEN f IS NOT NULL AND e IS NOT NULL THEN 1 END) / greatest(1.0, count(e))::DOUBLE, 9) AS recall,
+       round(count(CASE WHEN f IS NOT NULL AND e IS NOT NULL THEN 1 END) / greatest(1.0, count(f))::DOUBLE, 9) AS precision,
+       round(coalesce(avg(abs(f - e) / e::DOUBLE), 0), 9)::DOUBLE AS count_error
+FROM f FULL JOIN e USING (key)"""
 
 
 def composite(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -67,11 +82,7 @@ def filtered(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def sidecar(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Statistics written once, read for a higher threshold."""
-    from ..sources.catalog import shared_dir
-    import tempfile
-
-    base = shared_dir(spark) or tempfile.mkdtemp()
-    path = f"{base.rstrip('/')}/skew-sidecar"
+    path = f"{shared_dir(spark)}/skew-sidecar"
     stats.save_skew(stats.exact_skew(load(spark, sf_dir, "documents"), "lang", 0.05), path, "documents", "lang", 0.05)
     return stats.load_skew(spark, path, "documents", "lang", 0.12).select("key", "cnt", "n_rows")
 
@@ -168,7 +179,7 @@ ORACLES = {f"skew_values_{k}": _values_sql(*v) for k, v in _COLUMNS.items()} | {
     "skew_freqitems_verified": _values_sql("lineitem", "l_linenumber", 0.12),
     "skew_topk_verified": _values_sql("lineitem", "l_linenumber", 0.12),
     "skew_runtime_verified": _values_sql("lineitem", "l_linenumber", 0.12),
-    "skew_detector_quality": "SELECT 1.0::DOUBLE AS recall, 1.0::DOUBLE AS precision, 0.0::DOUBLE AS count_error",
+    "skew_detector_quality": _QUALITY_SQL,
     "skew_composite_key": "SELECT l_returnflag AS flag, l_linestatus AS status, count(*) AS cnt, (SELECT count(*) FROM lineitem) AS n_rows FROM lineitem GROUP BY 1, 2 HAVING count(*) >= 0.1 * (SELECT count(*) FROM lineitem) - 1e-9",
     "skew_null_key": "WITH k AS (SELECT CASE WHEN o_orderkey % 10 <> 0 THEN o_custkey % 7 END AS k FROM orders) SELECT k AS key, count(*) AS cnt, (SELECT count(k) FROM k) AS n_rows FROM k WHERE k IS NOT NULL GROUP BY k HAVING count(*) >= 0.1 * (SELECT count(k) FROM k) - 1e-9",
     "skew_after_filter": "WITH f AS (SELECT l_linenumber AS k FROM lineitem WHERE l_shipdate >= TIMESTAMP '1995-01-01') SELECT k AS key, count(*) AS cnt, (SELECT count(*) FROM f) AS n_rows FROM f GROUP BY k HAVING count(*) >= 0.12 * (SELECT count(*) FROM f) - 1e-9",

@@ -1,12 +1,25 @@
-"""SQL text of routing and cost, built from the same policies as the engine but by its own arithmetic."""
+"""SQL text of routing and cost: its own policy matrix and arithmetic, against which the engine's are checked."""
 
 from __future__ import annotations
 
-from ..operators.routes import GRID, HASH, POLICIES, REPLICATE, SCATTER, STAY
 from ..plans.classify import BOTH_BUILD, BOTH_PROBE, BUILD_ONLY, PROBE_ONLY
 from ..plans.workloads import Workload
 
 _CLASSES = (PROBE_ONLY, BUILD_ONLY, BOTH_PROBE, BOTH_BUILD)
+HASH, STAY, SCATTER, REPLICATE, GRID = "HASH", "STAY", "SCATTER", "REPLICATE", "GRID"
+#: What the probe and the build side of each class do: probe-only, build-only, two-sided probe-heavy, two-sided build-heavy.
+_MATRIX = {
+    "hash_all": ("HASH HASH", "HASH HASH", "HASH HASH", "HASH HASH"),
+    "stay_replicate": ("STAY REPLICATE", "REPLICATE STAY", "STAY REPLICATE", "REPLICATE STAY"),
+    "stay_replicate_grid": ("STAY REPLICATE", "REPLICATE STAY", "GRID GRID", "GRID GRID"),
+    "scatter_replicate": ("SCATTER REPLICATE", "REPLICATE SCATTER", "SCATTER REPLICATE", "REPLICATE SCATTER"),
+    "flow": ("STAY REPLICATE", "REPLICATE STAY", "GRID GRID", "GRID GRID"),
+    "grid": ("GRID GRID", "GRID GRID", "GRID GRID", "GRID GRID"),
+    "four_route": ("STAY REPLICATE", "HASH HASH", "SCATTER REPLICATE", "REPLICATE SCATTER"),
+    "four_route_scatter": ("SCATTER REPLICATE", "HASH HASH", "SCATTER REPLICATE", "REPLICATE SCATTER"),
+    "subset_replicate": ("STAY REPLICATE", "HASH HASH", "STAY REPLICATE", "STAY REPLICATE"),
+}
+_ACTIONS = {name: {c: tuple(pair.split()) for c, pair in zip(_CLASSES, row)} for name, row in _MATRIX.items()}
 
 
 def _case(column: str, values: dict[str, str], other: str) -> str:
@@ -25,7 +38,7 @@ def _shape(n: int) -> str:
 
 def routed(w: Workload, policy: str) -> str:
     """SQL CTEs rd(a, src, dst, ...) and sd(b, src, dst, ...) on top of the classes."""
-    actions = POLICIES[policy].actions
+    actions = _ACTIONS[policy]
     probe = _case("cls", {c: f"'{actions[c][0]}'" for c in _CLASSES}, "'HASH'")
     build = _case("cls", {c: f"'{actions[c][1]}'" for c in _CLASSES}, "'HASH'")
     n = w.n
@@ -46,7 +59,7 @@ sd AS (
 def _charged(policy: str, form: str) -> dict[str, list[str]]:
     """Per class the actions charged, named from the side that stays or scatters."""
     names = {(HASH, HASH): "HASH", (STAY, REPLICATE): "STAY_R", (REPLICATE, STAY): "STAY_S", (SCATTER, REPLICATE): "SCAT_R", (REPLICATE, SCATTER): "SCAT_S", (GRID, GRID): "GRID"}
-    out = {c: [names[POLICIES[policy].actions[c]]] for c in _CLASSES}
+    out = {c: [names[_ACTIONS[policy][c]]] for c in _CLASSES}
     if form == "printed":
         if policy.startswith("four_route"):
             out[BUILD_ONLY] = []

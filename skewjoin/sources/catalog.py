@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import re
+import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -37,25 +39,23 @@ def save(df: DataFrame, path: str, kind: str = "parquet", mode: str = "overwrite
     (writer.partitionBy(*partition_by) if partition_by else writer).save(path)
 
 
-def save_bucketed(df: DataFrame, table: str, n: int, *keys: str) -> None:
-    """A table whose joins on `keys` with equally bucketed tables need no exchange."""
-    df.write.mode("overwrite").bucketBy(n, *keys).sortBy(*keys).saveAsTable(table)
-
-
-def shared_dir(spark: SparkSession) -> str | None:
-    """The folder that all executors share, if the session names one."""
-    return spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+def shared_dir(spark: SparkSession) -> str:
+    """The folder that all executors share: spark.checkpoint.dir.  Where it is unset, a local session gets a
+    temporary folder; on a cluster no folder of one machine would do, so that is an error."""
+    path = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if not path:
+        if not re.match(r"local(\[|$)", spark.sparkContext.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
+        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="skewjoin-shared-"))
+        path = spark.sparkContext.getCheckpointDir()
+    return path.rstrip("/")
 
 
 def staged(df: DataFrame, name: str) -> DataFrame:
-    """Write df once to the shared folder and read it back; without a shared folder, df as it is."""
-    spark = df.sparkSession
-    base = shared_dir(spark)
-    if not base:
-        return df
-    path = f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    """Write df once to the shared folder and read it back."""
+    path = f"{shared_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
 def text_bytes(df: DataFrame) -> int:

@@ -244,9 +244,111 @@ def test_measures():
     assert metrics.throughput(10, 5, 3) == 5 and metrics.cold_volume(8, 4, 4) == 9
 
 
-def test_whole_queries_read_every_row(spark, small):
+def test_semi_and_anti_read_every_row(spark, small):
     """Semi and anti join together hold each row of lineitem once."""
     from skewjoin.queries.join_queries import QUERIES
 
-    rows = [r["n"] for how in ("semi", "anti") for r in QUERIES[f"{how}_four_route_whole"](spark, small).collect()]
+    rows = [r["n"] for how in ("semi", "anti") for r in QUERIES[f"{how}_four_route"](spark, small).collect()]
     assert sum(rows) == spark.read.parquet(f"{small}/lineitem.parquet").count()
+
+
+# ---- the public join: partitions, join types, strategies, forms, names, types ----
+
+
+def odd_inputs(spark, parts, seed=3):
+    """Inputs whose columns bear the names the engine would like to use; strided keys, NULLs, repeated rows."""
+    rng = random.Random(seed)
+    key = lambda: rng.choice([8, 8, 8, 16, None, 8 * rng.randrange(40)])
+    r = [(key(), rng.randrange(3), 99, "x", None) for _ in range(120)]
+    s = [(key(), rng.randrange(2), 77, True) for _ in range(90)]
+    return (
+        spark.createDataFrame(r, "k long, src int, dst int, lead string, copied int").repartition(parts),
+        spark.createDataFrame(s, "k int, src int, dst int, branch boolean").repartition(parts),
+    )
+
+
+def same(got, want):
+    rows = lambda df: Counter(map(tuple, df.collect()))
+    assert rows(got) == rows(want)
+
+
+@pytest.mark.parametrize("parts", [1, 4, 13])
+@pytest.mark.parametrize("how", ["inner", "left", "right", "full", "left_semi", "left_anti"])
+def test_public_join_equals_the_plain_one(spark, parts, how):
+    r, s = odd_inputs(spark, parts)
+    want = r.join(s, r["k"] == s["k"], how)
+    for strategy in ("auto", "hash_all", "stay_replicate", "four_route") if parts == 13 else ("scatter_replicate", "grid"):
+        out = skew_join(r, s, "k", "k", strategy, p=0.1, n=4, how=how)
+        assert out.columns == want.columns
+        same(out, want)
+    same(skew_join(r, s, "k", p=0.1, n=4, how=how, strategy="four_route"), r.join(s.withColumn("k", F.col("k").cast("long")), "k", how))
+    if how == "inner":
+        same(skew_join(r, s, "k", "k", "four_route", p=0.1, n=4, physical="branches"), want)
+    if parts == 13:
+        same(skew_join(r, s, "k", "k", "stay_replicate", p=0.1, n=4, how=how, placement=("dst", "dst")), want)
+
+
+@pytest.mark.parametrize("how", ["inner", "full", "left_anti"])
+def test_null_safe_and_composite_keys(spark, how):
+    r, s = odd_inputs(spark, 5)
+    r, s = r.withColumnsRenamed({"k": "a", "src": "i"}).drop("dst", "lead", "copied"), s.withColumnsRenamed({"k": "b", "src": "j"}).drop("dst", "branch")
+    for a, b in ((["a"], ["b"]), (["a", "i"], ["b", "j"])):
+        plain = [F.col(x) == F.col(y) for x, y in zip(a, b)]
+        safe = [F.col(x).eqNullSafe(F.col(y)) for x, y in zip(a, b)]
+        same(skew_join(r, s, a, b, "four_route", p=0.05, n=3, how=how), r.join(s, plain, how))
+        same(skew_join(r, s, a, b, "stay_replicate", p=0.05, n=3, how=how, null_safe=True), r.join(s, safe, how))
+
+
+def test_keys_of_other_types(spark):
+    from datetime import date, datetime
+    from decimal import Decimal
+
+    values = {
+        "string": ["a", "b"], "date": [date(2020, 1, 1), date(2021, 5, 5)], "timestamp": [datetime(2020, 1, 1, 3), datetime(2021, 1, 1, 0, 0, 0, 7)],
+        "timestamp_ntz": [datetime(2020, 1, 1, 3), datetime(2021, 1, 1, 0, 0, 0, 7)], "decimal(12,3)": [Decimal("1.500"), Decimal("-2.250")],
+        "double": [0.0, -0.0, float("nan")], "boolean": [True, False], "binary": [b"x", b"yz"],
+    }
+    for kind, keys in values.items():
+        r = spark.createDataFrame([(keys[i % len(keys)], i) for i in range(30)], f"k {kind}, i int").repartition(7)
+        s = spark.createDataFrame([(keys[(i * 7) % len(keys)], i) for i in range(20)], f"k {kind}, j int").repartition(6)
+        hot, profile = observe(Sides(r, s, "k", "k"), 0.2, 3)
+        assert len(hot) == len(set(map(str, keys))) - (kind == "double"), kind
+        out = skew_join(r, s, "k", "k", "four_route", p=0.2, n=3, hot=hot).select("i", "j")
+        same(out, r.join(s, r["k"] == s["k"]).select("i", "j"))
+        routes = {v["k"] if not isinstance(v["k"], bytearray) else bytes(v["k"]): v["dst"] for v in routed(Sides(r.select("k"), s.select(F.col("k").alias("k2")), "k", "k2"), [], POLICIES["hash_all"], 3).select("k", "dst").collect()}
+        assert all(routes[v.hot.key] == v.owner for v in profile.loads if v.hot.key == v.hot.key), kind
+    with pytest.raises(ValueError):
+        skew_join(spark.createDataFrame([(1,)], "k int"), spark.createDataFrame([("1",)], "k string"), "k", "k")
+    with pytest.raises(ValueError):
+        skew_join(spark.createDataFrame([(1, 2)], "k int, __skew_x int"), spark.createDataFrame([(1,)], "k int"), "k", "k", p=0.1)
+
+
+def test_routing_is_even(spark):
+    """Keys in steps are hashed over all nodes; equal rows of a hot key are spread; no column but the key is read."""
+    strided = spark.range(8000).select((F.col("id") * 8).alias("k"))
+    other = spark.range(8000).select((F.col("id") * 8).alias("j"))
+    at = Counter(v["dst"] for v in routed(Sides(strided, other, "k", "j"), [], POLICIES["hash_all"], 8).select("dst").collect())
+    assert len(at) == 8 and max(at.values()) < 1.3 * min(at.values())
+    equal = spark.range(8000).select(F.lit(5).cast("long").alias("k"))
+    few = spark.range(4).select(F.lit(5).cast("long").alias("j"))
+    x = Sides(equal, few, "k", "j")
+    hot, _ = observe(x, 0.1, 8)
+    for name in ("scatter_replicate", "grid"):
+        at = Counter(v["dst"] for v in routed(x, hot, POLICIES[name], 8).select("dst").collect())
+        assert sum(at.values()) == 32000 and max(at.values()) < 1.3 * min(at.values()) and len(at) == 8, name
+
+
+def test_only_needed_columns_are_read(spark, small):
+    li, od = (spark.read.parquet(f"{small}/{t}.parquet") for t in ("lineitem", "orders"))
+    hot = [HotKey(1, BOTH_PROBE, 10, 10)]
+    out = skew_join(li, od, "l_orderkey", "o_orderkey", "scatter_replicate", n=4, hot=hot).agg(F.count(F.lit(1)))
+    plan = out._jdf.queryExecution().executedPlan().toString()
+    assert "ReadSchema: struct<l_orderkey:bigint>" in plan and "l_extendedprice" not in plan and "o_totalprice" not in plan
+
+
+def test_candidates_miss_no_heavy_value(spark):
+    """A value exactly at the threshold, among very many light ones."""
+    rows = spark.range(40_000).select(F.when(F.col("id") % 50 == 0, F.lit(-1)).when(F.col("id") % 50 == 1, F.lit(-2)).otherwise(F.col("id")).cast("long").alias("k")).repartition(9, "k")
+    one = spark.range(1).select(F.lit(-9).cast("long").alias("j"))
+    hot, _ = observe(Sides(rows, one, "k", "j"), 0.02, 4)
+    assert {(h.key, h.r, h.s) for h in hot if h.cls == PROBE_ONLY} == {(-1, 800, 0), (-2, 800, 0)}
