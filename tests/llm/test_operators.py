@@ -478,7 +478,7 @@ def test_toxicity_ratios_are_those_of_the_definition(spark, seed, monkeypatch):
     labels = spark.createDataFrame([(i, y) for i, (_, y) in enumerate(texts)], "doc_id long, toxic int")
     rows = toxicity.learned(docs, labels, F.lit(True)).select("doc_id", "text")
     groups = toxicity.copy_groups(toxicity.learned(docs, labels, F.lit(True)))
-    weighted = [(r["text"], r["y"], r["weight"]) for r in rows.join(groups, "doc_id").collect()]
+    weighted = [(r["text"], r["y"], r["weight"] / toxicity.UNIT) for r in rows.join(groups, "doc_id").collect()]
     assert sum(w for _, _, w in weighted) < 0.8 * len(texts)
     model = toxicity.fit(docs, labels, F.lit(True)).kn
     want = naive_ratio(weighted, model.errors)
