@@ -300,12 +300,12 @@ def null_safe(spark: SparkSession, sf_dir: str) -> DataFrame:
     s = load(spark, sf_dir, "supplier").select(F.when(F.col("s_suppkey") % 2 != 0, F.col("s_suppkey") % 7).cast("int").alias("b"), F.lit("1-URGENT").alias("u"), F.col("s_suppkey").alias("y"))
     s = s.withColumn("u", F.when(F.col("y") % 5 != 0, F.col("u")))
     out = skew_join(r, s, ["a", "t"], ["b", "u"], p=0.05, n=4, how="left", null_safe=True)
-    return out.groupBy("a", "t", F.col("b").isNull().alias("no_b")).agg(F.count(F.lit(1)).alias("n"), F.sum("x").alias("sum_x"), F.coalesce(F.sum("y"), F.lit(0)).alias("sum_y"))
+    return out.groupBy(F.coalesce("a", F.lit(-1)).alias("a"), F.coalesce("t", F.lit("")).alias("t"), F.col("b").isNull().alias("no_b")).agg(F.count(F.lit(1)).alias("n"), F.sum("x").alias("sum_x"), F.coalesce(F.sum("y"), F.lit(0)).alias("sum_y"))
 
 
 _NULL_SAFE_SQL = """WITH r AS (SELECT CASE WHEN o_orderkey % 3 <> 0 THEN o_custkey % 5 END AS a, CASE WHEN o_orderkey % 4 <> 0 THEN o_orderpriority END AS t, o_orderkey AS x FROM orders),
 s AS (SELECT CASE WHEN s_suppkey % 2 <> 0 THEN s_suppkey % 7 END AS b, CASE WHEN s_suppkey % 5 <> 0 THEN '1-URGENT' END AS u, s_suppkey AS y FROM supplier)
-SELECT a, t, b IS NULL AS no_b, count(*) AS n, sum(x)::BIGINT AS sum_x, coalesce(sum(y), 0)::BIGINT AS sum_y
+SELECT coalesce(a, -1) AS a, coalesce(t, '') AS t, b IS NULL AS no_b, count(*) AS n, sum(x)::BIGINT AS sum_x, coalesce(sum(y), 0)::BIGINT AS sum_y
 FROM r LEFT JOIN s ON a IS NOT DISTINCT FROM b AND t IS NOT DISTINCT FROM u GROUP BY 1, 2, 3"""
 
 
