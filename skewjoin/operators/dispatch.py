@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from dataclasses import dataclass
+from math import isnan, nan
 from time import perf_counter
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -12,7 +13,7 @@ from pyspark.sql import types as T
 from ..plans import classify, cost, stats
 from ..plans.classify import HotKey
 from .routes import HASH, POLICIES, REPLICATE, SCATTER, STAY, Policy, fan_out, member
-from .strategies import R_KEY, R_SRC, RESERVED, S_KEY, S_SRC, Sides, branches, keyed, routed_
+from .strategies import R_KEY, R_SRC, RESERVED, S_KEY, S_SRC, Sides, branches_, keyed, routed_
 
 #: Tried in this order; a later one must be strictly cheaper.
 CANDIDATES = ("stay_replicate", "four_route", "hash_all")
@@ -82,7 +83,9 @@ def _tagged(r: DataFrame, s: DataFrame, placed: bool) -> DataFrame:
 
 
 def _plain(key):
-    """A collected key that can stand in a dictionary."""
+    """A collected key that can stand in a dictionary: one and the same NaN, as Spark has it."""
+    if isinstance(key, float) and isnan(key):
+        return nan
     return bytes(key) if isinstance(key, bytearray) else key
 
 
@@ -211,7 +214,7 @@ def skew_join(
             strategy = choose(profile_of(x, hot, n) if profile is None else profile, gateway, form, candidates).strategy
         policy = POLICIES[strategy]
         if physical == "branches":
-            out = branches(x, hot, policy, n).drop("branch")
+            out = branches_(x, hot, policy, n).drop(RESERVED + "branch")
         else:
             out = routed_(x, hot, policy, n, how, residual, fan=fan_out(hot, policy, n)).drop(RESERVED + "dst")
     if not using or how in ("left_semi", "left_anti"):

@@ -186,6 +186,11 @@ def branches(x: Sides, hot: list[HotKey], policy: Policy, n: int, limit: int = B
 
     A slice is broadcast if its bytes, counted by a job, stay under `limit`.
     """
+    return branches_(x, hot, policy, n, limit).withColumnRenamed(RESERVED + "branch", "branch")
+
+
+def branches_(x: Sides, hot: list[HotKey], policy: Policy, n: int, limit: int = BROADCAST_BYTES) -> DataFrame:
+    """branches, with the label in a column of a reserved name."""
     r, s = keyed(x, n)
     r, s = r.drop(R_SRC).where(F.col(R_KEY).isNotNull()), s.drop(S_SRC).where(F.col(S_KEY).isNotNull())
     kind = r.schema[R_KEY].dataType
@@ -193,7 +198,7 @@ def branches(x: Sides, hot: list[HotKey], policy: Policy, n: int, limit: int = B
     rest = lambda df, key, values: df.where(~member(F.col(key), values, kind)) if values else df
     special = [h.key for h in hot if policy.of(h) != ("HASH", "HASH")]
     on = F.col(R_KEY) == F.col(S_KEY)
-    label = lambda df, name: df.drop(R_KEY, S_KEY).withColumn("branch", F.lit(name))
+    label = lambda df, name: df.drop(R_KEY, S_KEY).withColumn(RESERVED + "branch", F.lit(name))
     out = label(rest(r, R_KEY, special).join(rest(s, S_KEY, special), on), "hash")
     groups: dict[tuple[str, str], list[HotKey]] = {}
     for h in hot:
@@ -210,7 +215,7 @@ def branches(x: Sides, hot: list[HotKey], policy: Policy, n: int, limit: int = B
             # the probe side's columns first: an inner join with the left side broadcast
             out = out.union(label(F.broadcast(r_part).join(moved, on), f"{build.lower()}-build"))
         else:  # a grid, or too much to broadcast
-            out = out.union(_grid(x, keys, n, kind).withColumn("branch", F.lit("grid")))
+            out = out.union(_grid(x, keys, n, kind).withColumn(RESERVED + "branch", F.lit("grid")))
     return out
 
 
