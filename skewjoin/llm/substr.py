@@ -11,8 +11,11 @@ and flagged windows come back as runs, merged per document into maximal removal
 A minimizer that a bounded sample shows to be very common is dealt by window hash instead
 (this changes the placement only, not the result).
 
-The hash has 64 bits; at n windows in all, a window is flagged falsely with probability
-below n / 2**64.
+The hash has 64 bits, and only windows of one bucket are compared: a bucket holds the windows of
+BUCKET_BYTES of text, some 10**6, whatever the size of the corpus, so the false flags expected
+are below 10**12 / 2**65 a bucket: under one in 100 TB of text, whose buckets are 2 * 10**7.
+Windows of very common minimizers, dealt by their own hash, lack that; they add n**2 / 2**65 for
+n of them.
 
 Edge cases: a null or empty text has no words; texts under WINDOW words lose nothing; a
 null doc_id takes no part and its text is kept; rows that share a doc_id are one document
