@@ -8,6 +8,7 @@ from ..functions.keys import ZipfRows
 from ..operators import relational as rel
 from ..plans import stats
 from ..plans.metrics import imbalance_udaf
+from ..sources import catalog
 from ..sources.catalog import load
 from ..streaming import heavy
 
@@ -145,6 +146,13 @@ def bag_equal(spark, d):
     return rel.bag_difference(o.join(c.hint("merge"), on), o.join(F.broadcast(c), on)).select("o_orderkey", "side")
 
 
+def observed_rows(spark, d):
+    """Rows that pass a filter, and the sum of a column, measured while they are consumed."""
+    rows, seen = catalog.observed(load(spark, d, "lineitem").where("l_quantity > 30"), n=F.count(F.lit(1)), total=F.sum("l_linenumber"))
+    catalog.consume(rows)
+    return spark.createDataFrame([(seen.get["n"], seen.get["total"])], "n long, total long")
+
+
 def stream_tumbling(spark, d):
     return heavy.run_available(heavy.windowed_counts(heavy.replay(spark, f"{d}/events.parquet"), "ts", "event_type", "1 day"), "complete").withColumn("start", F.unix_timestamp("start"))
 
@@ -179,7 +187,7 @@ QUERIES = {
     "setops_except": set_except, "setops_union_distinct": set_union_distinct, "json_keys": json_props, "string_customer": strings, "date_quarters": dates,
     "agg_distincts": distincts, "filter_parts": filters, "array_heads": arrays, "map_codes": maps, "unpivot_totals": unpivoted, "pivot_flags": pivoted,
     "agg_median": quantiles, "udtf_zipf": zipf_table, "udaf_imbalance": imbalance, "setops_bag_equal": bag_equal,
-    "stream_window_tumbling": stream_tumbling, "stream_window_sliding": stream_sliding, "stream_sessions": stream_session, "stream_enrich": stream_enrich, "stream_interval_pairs": stream_pairs,
+    "stream_window_tumbling": stream_tumbling, "stream_window_sliding": stream_sliding, "stream_sessions": stream_session, "stream_enrich": stream_enrich, "stream_interval_pairs": stream_pairs, "observe_rows": observed_rows,
 }
 
 _ZIPF_CASE = ", ".join(str(sum(k**-1.2 for k in range(1, j + 1)) / sum(k**-1.2 for k in range(1, 21))) for j in range(1, 21))
@@ -214,6 +222,7 @@ ORACLES = {
     "setops_bag_equal": "SELECT o_orderkey, '' AS side FROM orders WHERE false",
     "stream_window_tumbling": "SELECT epoch(time_bucket(INTERVAL 1 DAY, ts))::BIGINT AS start, event_type AS key, count(*) AS n FROM events GROUP BY 1, 2",
     "stream_window_sliding": "SELECT epoch(s)::BIGINT AS start, event_type AS key, count(*) AS n FROM (SELECT event_type, unnest([time_bucket(INTERVAL 1 DAY, ts), time_bucket(INTERVAL 1 DAY, ts) - INTERVAL 1 DAY]) AS s FROM events) GROUP BY 1, 2",
+    "observe_rows": "SELECT count(*) AS n, sum(l_linenumber)::BIGINT AS total FROM lineitem WHERE l_quantity > 30",
     "stream_interval_pairs": """SELECT l.user_id, l.event_id, r.event_id AS right_event_id FROM events l JOIN events r ON l.user_id = r.user_id
 AND r.ts >= l.ts AND r.ts <= l.ts + INTERVAL 10 MINUTE WHERE l.event_type IN ('view', 'click')""",
     "stream_sessions": """SELECT user_id AS key, sum(CASE WHEN prev IS NULL OR ts >= prev + INTERVAL 1 HOUR THEN 1 ELSE 0 END)::BIGINT AS sessions, count(*) AS n

@@ -6,7 +6,7 @@ import re
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 TABLES = (
@@ -66,6 +66,17 @@ def text_bytes(df: DataFrame) -> int:
     return df.agg(F.sum(total)).first()[0] or 0
 
 
+def observed(df: DataFrame, **measures: Column) -> tuple[DataFrame, Observation]:
+    """df, and aggregates of the rows that pass through it, known once an action has run: counts without a job of their own."""
+    seen = Observation(f"seen-{uuid.uuid4().hex}")
+    return df.observe(seen, *[c.alias(name) for name, c in measures.items()]), seen
+
+
+def input_files(df: DataFrame) -> list[str]:
+    """The files that df reads, as its readers know them."""
+    return sorted(df.inputFiles())
+
+
 def consume(df: DataFrame) -> None:
     """Run df to the end without keeping its rows: the timing sink."""
     df.write.format("noop").mode("overwrite").save()
