@@ -121,8 +121,9 @@ def map_batches(df: DataFrame, fn: Callable[[pa.RecordBatch], Iterator[pa.Record
     return df.mapInArrow(released(run), schema)
 
 
-#: Keys with over 1 / HUBS of all rows are joined by broadcast; there are at most HUBS of them.
-HUBS = 1000
+#: Keys with over 1 / HUBS of all rows, and over HUB_ROWS, are joined by broadcast; there are at most HUBS of them.
+#: HUB_ROWS rows of a few numbers are little for one task, and a plan without broadcasts is lighter for the driver.
+HUBS, HUB_ROWS = 1000, 100_000
 
 
 def hub_join(rows: DataFrame, small: DataFrame, key: str, size: str, total: int) -> DataFrame:
@@ -131,7 +132,7 @@ def hub_join(rows: DataFrame, small: DataFrame, key: str, size: str, total: int)
     total: the sum of `size`.  A key with a large part of the rows would be one task of a shuffled
     join; such keys, at most HUBS, are sent to the rows instead.
     """
-    bound = max(total / HUBS, 1000)
+    bound = max(total / HUBS, HUB_ROWS)
     if total <= bound:
         return rows.join(small, key)
     hubs = F.broadcast(small.where(F.col(size) > bound))
