@@ -72,10 +72,11 @@ def split_points(r: DataFrame, a: str, n: int, fraction: float = 1.0, seed: int
     return sample.agg(F.percentile_approx(a, cuts, 100_000).alias("q")).first()["q"] or []
 
 
-def range_split(r: DataFrame, s: DataFrame, a: str, b: str, n: int, row_hash: Column, fraction: float = 1.0) -> DataFrame:
+def range_split(r: DataFrame, s: DataFrame, a: str, b: str, n: int, row_hash: Column, fraction: float = 1.0, rows: DataFrame | None = None) -> DataFrame:
     """Ranges of the key from a split vector.  A key that fills several ranges occurs several times in the
-    vector: its probe rows are spread over those ranges and its build rows copied to all of them."""
-    cuts = split_points(r, a, n, fraction)
+    vector: its probe rows are spread over those ranges and its build rows copied to all of them.  rows: those that
+    r's rows stand for, if r has groups of them."""
+    cuts = split_points(r if rows is None else rows, a, n, fraction)
     if not cuts:
         return r.join(s, F.col(a) == F.col(b))
     points = F.array(*[F.lit(c) for c in cuts])
@@ -125,11 +126,12 @@ def multifit(weights: dict[int, int], n: int, steps: int = 20) -> dict[int, int]
     return best
 
 
-def _bucketed(r: DataFrame, s: DataFrame, a: str, b: str, n: int, buckets: int, plan) -> DataFrame:
+def _bucketed(r: DataFrame, s: DataFrame, a: str, b: str, n: int, buckets: int, plan, rows: tuple[str, str] | None = None) -> DataFrame:
+    count = [F.count(F.lit(1)) if rows is None else F.sum(c) for c in rows or ("", "")]
     bucket = lambda key: F.pmod(F.col(key).cast("long") * 40503, F.lit(buckets)).cast("int")
     left, right = r.withColumn("__bucket", bucket(a)), s.withColumn("__bucket_s", bucket(b))
-    weights = {x["__bucket"]: x["count"] for x in left.groupBy("__bucket").count().collect() if x["__bucket"] is not None}
-    for x in right.groupBy("__bucket_s").count().collect():
+    weights = {x["__bucket"]: x["count"] for x in left.groupBy("__bucket").agg(count[0].alias("count")).collect() if x["__bucket"] is not None}
+    for x in right.groupBy("__bucket_s").agg(count[1].alias("count")).collect():
         if x["__bucket_s"] is not None:
             weights[x["__bucket_s"]] = weights.get(x["__bucket_s"], 0) + x["count"]
     if not weights:
@@ -141,10 +143,13 @@ def _bucketed(r: DataFrame, s: DataFrame, a: str, b: str, n: int, buckets: int,
     return left.join(right.hint("shuffle_hash"), (F.col("__node") == F.col("__node_s")) & (F.col(a) == F.col(b))).drop("__bucket", "__bucket_s", "__node", "__node_s")
 
 
-def bucket_lpt(r: DataFrame, s: DataFrame, a: str, b: str, n: int, buckets: int = 256) -> DataFrame:
-    """Hash buckets scheduled by size, longest first; only `buckets` counts reach the driver."""
-    return _bucketed(r, s, a, b, n, buckets, lpt)
+def bucket_lpt(r: DataFrame, s: DataFrame, a: str, b: str, n: int, buckets: int = 256, rows: tuple[str, str] | None = None) -> DataFrame:
+    """Hash buckets scheduled by size, longest first; only `buckets` counts reach the driver.
 
+    rows: columns of r and s that say how many rows a row stands for; one each without them.
+    """
+    return _bucketed(r, s, a, b, n, buckets, lpt, rows)
 
-def bucket_multifit(r: DataFrame, s: DataFrame, a: str, b: str, n: int, buckets: int = 256) -> DataFrame:
-    return _bucketed(r, s, a, b, n, buckets, multifit)
+
+def bucket_multifit(r: DataFrame, s: DataFrame, a: str, b: str, n: int, buckets: int = 256, rows: tuple[str, str] | None = None) -> DataFrame:
+    return _bucketed(r, s, a, b, n, buckets, multifit, rows)
