@@ -4,8 +4,11 @@ A rotation of the leading principal directions is learned on a bounded sample so
 signs of the rotated coordinates are balanced binary codes.  Every vector is indexed: its
 code is cut into TABLES substrings, and it enters the bucket of each substring and of
 all substrings one bit away, so two vectors meet if some substring differs in two bits at
-most.  Inside the buckets a maximum spanning forest by Hamming distance proposes pairs,
-cosines of the original vectors in double precision confirm them, pairs still in
+most.  Inside the buckets a maximum spanning forest by the Hamming distance of longer sketches
+proposes pairs: signs on SKETCH drawn directions, of which a pair differs in the share of its
+angle in a half turn, so that unrelated vectors are never near, however many there are.  With
+the codes' few bits chance pairs would join all vectors of a large table in one cluster, whose
+components are compared with each other.  Cosines of the original vectors in double precision confirm them, pairs still in
 different components follow, and confirmed pairs make the components.  As all links of a
 vector lie in its component, links are then counted by products of blocks of a component,
 each vector against all others there, without a row per pair.
@@ -29,8 +32,10 @@ from .sampling import bounded_sample
 SAMPLE = 4000  # bound of the sample the rotation is learned on
 BITS = 64
 TABLES = 4
-RERANK_MARGIN = 17.5 / BITS  # share of differing bits up to which a pair is reranked
-SURE = 5.5 / BITS  # share of differing bits up to which a pair is nearly always a link
+SKETCH = 256  # bits of the sketch by which members of a bucket are compared
+MARGIN = 4  # standard deviations of the differing bits of a pair at the threshold, up to which it is reranked
+SURE = 5.5 / 64  # share of differing bits up to which a pair is nearly always a link
+PAIRWISE = 2048  # buckets up to this size are compared at once
 BLOCK = 8192
 
 
@@ -102,9 +107,25 @@ def unit_rows(values: pa.Array) -> tuple[list[np.ndarray], np.ndarray]:
 
 
 def hamming_similarity(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """1 - share of differing bits of (code, length) signatures; different lengths are never similar."""
-    same = a[..., 1] == b[..., 1]
-    return np.where(same, 1 - np.bitwise_count(a[..., 0] ^ b[..., 0]).astype(np.float64) / BITS, -1.0)
+    """1 - share of differing bits of (sketch words, length) signatures; different lengths are never similar."""
+    differ = np.bitwise_count(a[..., 0] ^ b[..., 0]).astype(np.uint16)
+    for k in range(1, a.shape[-1] - 1):  # word by word: a sum over a last axis of four is slow
+        differ += np.bitwise_count(a[..., k] ^ b[..., k])
+    return np.where(a[..., -1] == b[..., -1], 1 - differ / (64.0 * (a.shape[-1] - 1)), -1.0)
+
+
+def sketches(unit: np.ndarray, seed: int = 11) -> np.ndarray:
+    """(n, SKETCH / 64) words: the signs of unit vectors on drawn directions, the same for all vectors of a length."""
+    dim = unit.shape[1]
+    bits = unit @ np.random.default_rng([seed, dim]).normal(size=(dim, SKETCH)) > 0
+    return np.packbits(bits, axis=1, bitorder="little").view(np.uint64)
+
+
+def least_similar(least: float) -> float:
+    """The share of equal bits below which a pair is left out: one with the cosine `least` has as few
+    with a probability of 1 in 30,000."""
+    p = np.arccos(min(max(least, -1.0), 1.0)) / np.pi
+    return 1 - p - MARGIN * np.sqrt(p * (1 - p) / SKETCH)
 
 
 def encode(vectors: DataFrame, rotations: dict[int, Rotation]) -> DataFrame:
@@ -230,13 +251,14 @@ def near_vectors(vectors: DataFrame, least: float = 0.9, id_col: str = "vec_id",
     keyed = bucket_keys(codes).distinct()
     shared = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("c"), F.min("id").alias("lead")).where("c > 1")
     groups = stage(keyed.join(shared, "key"), "groups")
-    sigs = _signatures(codes)
-    pairs = stage(propose(block_rows(groups, sigs), hamming_similarity, 1 - RERANK_MARGIN, 1 - SURE), "pairs")
+    sigs = stage(_signatures(codes), "sigs")
+    cutoff = least_similar(least)
+    pairs = stage(propose(block_rows(groups, sigs), hamming_similarity, cutoff, max(cutoff, 1 - SURE), PAIRWISE), "pairs")
     links = stage(confirm(pairs.select("a", "b"), codes, least), "links")
     comp = components(links)
     crossing = open_blocks(groups, sigs, comp)
     if crossing is not None:
-        extra = stage(propose(crossing, hamming_similarity, 1 - RERANK_MARGIN, 1 - SURE), "pairs")
+        extra = stage(propose(crossing, hamming_similarity, cutoff, max(cutoff, 1 - SURE), PAIRWISE), "pairs")
         links = stage(links.union(confirm(extra.select("a", "b"), codes, least)), "links")
         pairs, comp = pairs.union(extra), components(links)
     clusters = components(pairs)
@@ -245,7 +267,7 @@ def near_vectors(vectors: DataFrame, least: float = 0.9, id_col: str = "vec_id",
     if more.limit(1).count():
         comp = components(links.union(more))
     counts = stage(count_links(codes.select("id", "m", "unit"), comp, least), "counts")
-    release(groups, pairs, links, clusters, more)
+    release(groups, sigs, pairs, links, clusters, more)
     valid = codes.select(F.col("id").alias("class_id"), F.lit(True).alias("valid"))
     out = (
         member.join(comp.withColumnRenamed("node", "class_id"), "class_id", "left")
@@ -264,14 +286,18 @@ def near_vectors(vectors: DataFrame, least: float = 0.9, id_col: str = "vec_id",
 
 
 def _signatures(codes: DataFrame) -> DataFrame:
-    """(id, sig): code and length as 16 bytes."""
+    """(id, sig): sketch and length as words of 8 bytes."""
 
     def run(batch: pa.RecordBatch):
-        code, dim = column(batch, "code").to_numpy(), column(batch, "dim").to_numpy()
-        both = np.stack([code, dim.astype(np.int64)], axis=1)
-        yield pa.RecordBatch.from_arrays([column(batch, "id"), pa.array([r.tobytes() for r in both], pa.binary())], names=["id", "sig"])
-
-    return map_batches(codes.select("id", "code", "dim"), run, "id long, sig binary")
+        unit, dim = column(batch, "unit").to_pylist(), column(batch, "dim").to_numpy()
+        sig = np.empty((len(dim), SKETCH // 64 + 1), dtype=np.uint64)
+        sig[:, -1] = dim
+        for d in np.unique(dim):
+            at = np.flatnonzero(dim == d)
+            sig[at, :-1] = sketches(np.frombuffer(b"".join([unit[i] for i in at])).reshape(len(at), d))
+        yield pa.RecordBatch.from_arrays([column(batch, "id"), pa.array([r.tobytes() for r in sig], pa.binary())], names=["id", "sig"])
+
+    return map_batches(codes.select("id", "unit", "dim"), run, "id long, sig binary")
 
 
 def op3(spark, sf_dir: str) -> DataFrame:

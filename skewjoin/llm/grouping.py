@@ -119,7 +119,26 @@ def _prim(sig, similarity, cutoff, sure) -> list[tuple[int, int]]:
     return out
 
 
-def _proposed(ids, sig, cut, similarity, cutoff, sure):
+def _pairwise(sig, similarity, cutoff, sure) -> list[tuple[int, int]]:
+    """The forest of _prim for a group with few similar pairs, from all of its pairs at once; else by _prim."""
+    n = len(sig)
+    if (similarity(sig[0], sig[1:]) >= sure).all():
+        return [(0, i) for i in range(1, n)]
+    xs, ys, ss, found, step = [], [], [], 0, max(1, (1 << 16) // n)
+    for lo in range(0, n - 1, step):
+        s = similarity(sig[lo : lo + step, None], sig[None, lo + 1 :])
+        i, j = np.nonzero(s >= cutoff)
+        some = j >= i  # column j is member lo + 1 + j
+        i, j = i[some], j[some]
+        xs.append(lo + i), ys.append(lo + 1 + j), ss.append(s[i, j])
+        found += len(i)
+        if found > 4 * n:
+            return _prim(sig, similarity, cutoff, sure)
+    x, y, s = np.concatenate(xs), np.concatenate(ys), np.concatenate(ss)
+    return [(int(x[e]), int(y[e])) for e in kruskal(x, y, s)]
+
+
+def _proposed(ids, sig, cut, similarity, cutoff, sure, pairwise=0):
     """(a, b, similarity) of the forests of consecutive groups with bounds `cut`."""
     size, first = np.diff(cut), cut[:-1]
     group = np.repeat(np.arange(len(size)), size)
@@ -144,7 +163,7 @@ def _proposed(ids, sig, cut, similarity, cutoff, sure):
                 keep[lo + np.array(kruskal(x[lo:hi], y[lo:hi], s[lo:hi]))] = True
         xs, ys, ss = [x[keep]], [y[keep]], [s[keep]]
     for f, n in zip(first[size > SMALL], size[size > SMALL]):
-        if pairs := _prim(sig[f : f + n], similarity, cutoff, sure):
+        if pairs := (_pairwise if n <= pairwise else _prim)(sig[f : f + n], similarity, cutoff, sure):
             p = np.array(pairs) + f
             xs.append(p[:, 0]), ys.append(p[:, 1]), ss.append(similarity(sig[p[:, 0]], sig[p[:, 1]]))
     if not xs:
@@ -177,14 +196,17 @@ def _whole_groups(batches):
         yield carry.combine_chunks()
 
 
-def propose(rows: DataFrame, similarity: Similarity, cutoff: float, sure: float) -> DataFrame:
-    """Distinct (a, b, s), a > b, of the forests of the groups of block_rows: pairs with a similarity of `cutoff` at least."""
+def propose(rows: DataFrame, similarity: Similarity, cutoff: float, sure: float, pairwise: int = 0) -> DataFrame:
+    """Distinct (a, b, s), a > b, of the forests of the groups of block_rows: pairs with a similarity of `cutoff` at least.
+
+    pairwise: groups up to this size are compared at once, which is faster where few members are similar.
+    """
 
     def run(batches):
         for t in _whole_groups(batches):
             ids = t.column("id").to_numpy()
             sig = np.frombuffer(b"".join(t.column("sig").to_pylist()), dtype=np.uint64).reshape(len(ids), -1)
-            p, s = _proposed(ids, sig, _bounds(t), similarity, cutoff, sure)
+            p, s = _proposed(ids, sig, _bounds(t), similarity, cutoff, sure, pairwise)
             if p.shape[1]:
                 yield pa.RecordBatch.from_arrays([pa.array(p[0]), pa.array(p[1]), pa.array(s.astype(np.float64))], names=["a", "b", "s"])
 
